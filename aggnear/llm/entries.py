@@ -1,6 +1,6 @@
 """Queries and SQL of the corpus operators."""
 
-from . import mixing
+from . import mixing, topk, urls
 
-QUERIES = {"op6_mix": mixing.op6_mix}
-ORACLES = {"op6_mix": mixing.SQL}
+QUERIES = {"op4_urls": urls.op4_urls, "op6_mix": mixing.op6_mix, "op8_topk": topk.op8_topk}
+ORACLES = {"op4_urls": urls.SQL, "op6_mix": mixing.SQL, "op8_topk": topk.SQL}
