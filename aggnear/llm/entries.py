@@ -1,6 +1,6 @@
 """Queries and SQL of the corpus operators."""
 
-from . import mixing, topk, urls
+from . import capfilters, mixing, topk, urls
 
-QUERIES = {"op4_urls": urls.op4_urls, "op6_mix": mixing.op6_mix, "op8_topk": topk.op8_topk}
-ORACLES = {"op4_urls": urls.SQL, "op6_mix": mixing.SQL, "op8_topk": topk.SQL}
+QUERIES = {"op3_caps": capfilters.op3_caps, "op4_urls": urls.op4_urls, "op6_mix": mixing.op6_mix, "op8_topk": topk.op8_topk}
+ORACLES = {"op3_caps": capfilters.SQL, "op4_urls": urls.SQL, "op6_mix": mixing.SQL, "op8_topk": topk.SQL}
