@@ -57,6 +57,14 @@ def _rank(u: Column, p: Column) -> Column:
     return (u / (1 - u)) / (p / (1 - p))
 
 
+def _bucket(q: Column, target: Column, source_size: Column) -> Column:
+    """Bucket of a rank, in units of its source's mean odds so that buckets hold like numbers of rows."""
+    _, p = _copies(F.coalesce(target / source_size, F.lit(0.0)))
+    p = F.greatest(F.least(p, F.lit(1 - 1e-12)), F.lit(1e-12))
+    x = q * (p / (1 - p))
+    return F.floor(x / (1 + x) * BUCKETS).cast("int")
+
+
 def _copies(e: Column) -> tuple[Column, Column]:
     whole = F.floor(e + F.lit(1e-12))
     return whole, F.greatest(e - whole, F.lit(0.0))
@@ -70,8 +78,8 @@ def cuts(rows: DataFrame, goal: DataFrame, seed: int, max_copies: int = 2) -> Da
     x = rows.alias("r").join(goal.alias("t"), F.col("r.source").eqNullSafe(F.col("t.source")))
     e = F.least(F.coalesce(F.col("target") / F.col("g_size"), F.lit(0.0)) * F.col("g"), F.lit(float(max_copies)))
     whole, p = _copies(e)
-    x = x.select("r.source", "doc_id", "size", "target", whole.alias("whole"), _rank(uniform(F.col("doc_id"), seed), p).alias("q"), (p > 0).alias("open"))
-    x = x.withColumn("bucket", F.floor(F.col("q") / (1 + F.col("q")) * BUCKETS).cast("int"))
+    x = x.select("r.source", "doc_id", "size", "target", "source_size", whole.alias("whole"), _rank(uniform(F.col("doc_id"), seed), p).alias("q"), (p > 0).alias("open"))
+    x = x.withColumn("bucket", _bucket(F.col("q"), F.col("target"), F.col("source_size")))
     sums = x.groupBy("source", "bucket").agg(
         F.sum(F.when(F.col("open"), F.col("size")).otherwise(0)).alias("here"),
         F.sum(F.col("whole") * F.col("size")).alias("sure"),
@@ -111,7 +119,7 @@ def mix(docs: DataFrame, *, cycle=(3, 1, 2), share: float = 1.5, max_copies: int
     x = docs.withColumn("mix_size", word_count(F.col("text"))).withColumn("mix_g", g).alias("d").join(plan.alias("p"), F.col("d.source").eqNullSafe(F.col("p.mix_source")))
     whole, p = _copies(F.least(F.col("mix_rate") * F.col("mix_g"), F.lit(float(max_copies))))
     q = _rank(uniform(F.col("doc_id"), seed), p)
-    bucket = F.floor(q / (1 + q) * BUCKETS).cast("int")
+    bucket = _bucket(q, F.col("target"), F.col("source_size"))
     in_cut = F.struct(q.alias("q"), F.col("doc_id").alias("id"), F.col("mix_size").alias("size")) <= F.col("mix_cut")
     take = (p > 0) & ((bucket < F.col("mix_bucket")) | ((bucket == F.col("mix_bucket")) & F.coalesce(in_cut, F.lit(False))))
     copies = (whole + F.coalesce(take, F.lit(False)).cast("int")).cast("int")
