@@ -59,7 +59,7 @@ def _rank(u: Column, p: Column) -> Column:
 
 def _bucket(q: Column, target: Column, source_size: Column) -> Column:
     """Bucket of a rank, in units of its source's mean odds so that buckets hold like numbers of rows."""
-    _, p = _copies(F.coalesce(target / source_size, F.lit(0.0)))
+    _, p = _copies(F.coalesce(F.try_divide(target, source_size), F.lit(0.0)))
     p = F.greatest(F.least(p, F.lit(1 - 1e-12)), F.lit(1e-12))
     x = q * (p / (1 - p))
     return F.floor(x / (1 + x) * BUCKETS).cast("int")
