@@ -77,11 +77,14 @@ def _cluster(x: np.ndarray, k: int, rng) -> np.ndarray:
 
 def train(docs: DataFrame, sample: int = SAMPLE, centroids: int = CENTROIDS) -> Model | None:
     """Fit on ``sample`` rows of docs(doc_id, text, lang) per language, those of least hashed id."""
-    by_hash = Window.partitionBy("lang").orderBy(F.xxhash64(F.lit(5), "doc_id"), "doc_id")
+    h = F.xxhash64(F.lit(5), "doc_id")
     ids = docs.filter("lang is not null and doc_id is not null and text is not null").select("doc_id", "lang")
-    ids = ids.withColumn("n", F.row_number().over(by_hash)).filter(F.col("n") <= sample)
     wanted = ids.groupBy("lang").count().orderBy(F.col("count").desc(), "lang").limit(LANGUAGES)
-    ids = ids.join(F.broadcast(wanted.select("lang")), "lang").select("doc_id").distinct()  # at most SAMPLE * LANGUAGES ids
+    ids = ids.join(F.broadcast(wanted), "lang")  # at most LANGUAGES rows
+    # a share of each language that holds its `sample` least hashes, then exactly those
+    ids = ids.filter((h.cast("double") / 2.0**64 + 0.5) * F.col("count") <= sample + 10 * sample**0.5 + 50)
+    ids = ids.withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy(h, "doc_id"))).filter(F.col("n") <= sample)
+    ids = ids.select("doc_id").distinct()  # at most SAMPLE * LANGUAGES ids
     rows = docs.join(F.broadcast(ids), "doc_id").filter("lang is not null").select("lang", "text")
 
     def run(batches):

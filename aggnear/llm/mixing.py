@@ -5,8 +5,9 @@ Each source gets a target number of words: a weighted share of the wanted total,
 document of a source is expected ``target / source size`` times (times its own relative weight, if
 a weight column is given): the whole part of that is allocated with certainty, the fraction is its
 inclusion probability ``p`` in an ordered sample. Documents are ranked by ``(u/(1-u)) / (p/(1-p))``
-with ``u`` a hash of the id, and the sample is the start of that order that comes nearest to the
-words still wanted. Nothing is sorted globally: a histogram of the rank finds the one rank bucket in
+with ``u`` a hash of the id, and the sample is the longest start of that order that stays within the
+words still wanted, closed by the one document further down whose size comes nearest to what is then
+short (if any brings the sum nearer). Nothing is sorted globally: a histogram of the rank finds the one rank bucket in
 which the cut lies, and only that bucket's rows are ordered.
 
 Defined results: null texts have size 0; null sources form one source, ranked last; repeated rows
@@ -36,7 +37,7 @@ def targets(sizes: DataFrame, cycle=(3, 1, 2), share: float = 1.5, max_copies: i
     """(source, source_size) -> the same with weight and target in words.
 
     Water level: with sources ordered by cap per unit of weight, the level is the first for which
-    the sources before are at their cap and this one is not. One row per source, so the unkeyed
+    the sources before are at their cap and this one is not; later ones give lower levels. One row per source, so the unkeyed
     windows run over as many rows as there are sources.
     """
     by_name = Window.orderBy(F.col("source").asc_nulls_last())
@@ -47,7 +48,7 @@ def targets(sizes: DataFrame, cycle=(3, 1, 2), share: float = 1.5, max_copies: i
     everything = Window.partitionBy()
     level = (F.sum("source_size").over(everything) * F.lit(share) - F.coalesce(F.sum("cap").over(before), F.lit(0.0))) / F.sum("weight").over(after)
     x = x.withColumn("level", level)
-    x = x.withColumn("level", F.min(F.when(F.col("level") * F.col("weight") <= F.col("cap"), F.col("level"))).over(everything))
+    x = x.withColumn("level", F.max(F.when(F.col("level") * F.col("weight") <= F.col("cap"), F.col("level"))).over(everything))
     full = F.least(F.col("cap"), F.coalesce(F.col("level") * F.col("weight"), F.col("cap")))
     return x.select("source", "source_size", "weight", full.alias("target"))
 
@@ -75,14 +76,15 @@ def cuts(rows: DataFrame, goal: DataFrame, seed: int, max_copies: int = 2) -> Da
 
     rows: doc_id, source, size, g (relative weight). goal: source, source_size, target, g_size.
     """
-    x = rows.alias("r").join(goal.alias("t"), F.col("r.source").eqNullSafe(F.col("t.source")))
+    same = rows.groupBy("source", "doc_id", "size", "g").agg(F.count("*").alias("rows"))
+    x = same.alias("r").join(goal.alias("t"), F.col("r.source").eqNullSafe(F.col("t.source")))
     e = F.least(F.coalesce(F.col("target") / F.col("g_size"), F.lit(0.0)) * F.col("g"), F.lit(float(max_copies)))
     whole, p = _copies(e)
-    x = x.select("r.source", "doc_id", "size", "target", "source_size", whole.alias("whole"), _rank(uniform(F.col("doc_id"), seed), p).alias("q"), (p > 0).alias("open"))
-    x = x.withColumn("bucket", _bucket(F.col("q"), F.col("target"), F.col("source_size")))
+    x = x.select("r.source", "doc_id", "size", (F.col("size") * F.col("rows")).alias("words"), "target", "source_size", whole.alias("whole"), _rank(uniform(F.col("doc_id"), seed), p).alias("q"), (p > 0).alias("open"))
+    x = stage(x.withColumn("bucket", _bucket(F.col("q"), F.col("target"), F.col("source_size"))), "mix-ranks")
     sums = x.groupBy("source", "bucket").agg(
-        F.sum(F.when(F.col("open"), F.col("size")).otherwise(0)).alias("here"),
-        F.sum(F.col("whole") * F.col("size")).alias("sure"),
+        F.sum(F.when(F.col("open"), F.col("words")).otherwise(0)).alias("here"),
+        F.sum(F.col("whole") * F.col("words")).alias("sure"),
         F.first("target").alias("target"),
     )
     along = Window.partitionBy("source").orderBy("bucket")
@@ -91,12 +93,20 @@ def cuts(rows: DataFrame, goal: DataFrame, seed: int, max_copies: int = 2) -> Da
     edge = sums.filter((F.col("before") <= F.col("left")) & (F.col("here") > 0)).groupBy("source").agg(
         F.max_by(F.struct("bucket", "before", "left"), "bucket").alias("edge")
     )
-    inside = x.filter("open").alias("x").join(edge.alias("e"), F.col("x.source").eqNullSafe(F.col("e.source")) & (F.col("x.bucket") == F.col("edge.bucket")))
-    run = Window.partitionBy("x.source").orderBy("q", "doc_id", "size").rowsBetween(Window.unboundedPreceding, 0)
-    inside = inside.withColumn("mid", F.col("edge.before") + F.sum("size").over(run) - F.col("size") / 2)
-    last = inside.filter(F.col("mid") <= F.col("edge.left")).groupBy("x.source").agg(F.max(F.struct("q", F.col("doc_id").alias("id"), "size")).alias("cut"))
-    out = goal.alias("t").join(edge.alias("e"), F.col("t.source").eqNullSafe(F.col("e.source")), "left")
-    out = out.join(last.alias("l"), F.col("t.source").eqNullSafe(F.col("l.source")), "left")
+    edge = stage(edge.select(F.col("source").alias("edge_source"), "edge"), "mix-edges")
+    x = x.filter("open").join(edge, F.col("source").eqNullSafe(F.col("edge_source")))
+    key = F.struct("q", F.col("doc_id").alias("id"), "size")
+    run = Window.partitionBy("source").orderBy("q", "doc_id", "size").rowsBetween(Window.unboundedPreceding, 0)
+    inside = x.filter(F.col("bucket") == F.col("edge.bucket")).withColumn("upto", F.col("edge.before") + F.sum("words").over(run))
+    last = inside.filter(F.col("upto") <= F.col("edge.left")).groupBy("edge_source").agg(F.max(key).alias("cut"), F.max("upto").alias("upto"))
+    plan = edge.alias("e").join(last.alias("l"), F.col("e.edge_source").eqNullSafe(F.col("l.edge_source")), "left")
+    plan = stage(plan.select(F.col("e.edge_source").alias("plan_source"), "e.edge", "cut", (F.col("edge.left") - F.coalesce("upto", "edge.before")).alias("short")), "mix-cuts")
+    rest = x.drop("edge").join(plan, F.col("source").eqNullSafe(F.col("plan_source")))
+    rest = rest.filter((F.col("bucket") > F.col("edge.bucket")) | ((F.col("bucket") == F.col("edge.bucket")) & F.coalesce(key > F.col("cut"), F.lit(True))))
+    off = F.abs(F.col("words") - F.col("short"))
+    closing = rest.filter(off < F.col("short")).groupBy("plan_source").agg(F.min(F.struct(off.alias("off"), key.alias("key"))).alias("c"))
+    out = goal.alias("t").join(plan.alias("e"), F.col("t.source").eqNullSafe(F.col("e.plan_source")), "left")
+    out = out.join(closing.alias("l"), F.col("t.source").eqNullSafe(F.col("l.plan_source")), "left")
     return out.select(
         F.col("t.source").alias("mix_source"),
         "source_size",
@@ -104,6 +114,7 @@ def cuts(rows: DataFrame, goal: DataFrame, seed: int, max_copies: int = 2) -> Da
         F.coalesce(F.col("target") / F.col("g_size"), F.lit(0.0)).alias("mix_rate"),
         F.col("edge.bucket").alias("mix_bucket"),
         F.col("cut").alias("mix_cut"),
+        F.col("c.key").alias("mix_closing"),
     )
 
 
@@ -120,8 +131,9 @@ def mix(docs: DataFrame, *, cycle=(3, 1, 2), share: float = 1.5, max_copies: int
     whole, p = _copies(F.least(F.col("mix_rate") * F.col("mix_g"), F.lit(float(max_copies))))
     q = _rank(uniform(F.col("doc_id"), seed), p)
     bucket = _bucket(q, F.col("target"), F.col("source_size"))
-    in_cut = F.struct(q.alias("q"), F.col("doc_id").alias("id"), F.col("mix_size").alias("size")) <= F.col("mix_cut")
-    take = (p > 0) & ((bucket < F.col("mix_bucket")) | ((bucket == F.col("mix_bucket")) & F.coalesce(in_cut, F.lit(False))))
+    key = F.struct(q.alias("q"), F.col("doc_id").alias("id"), F.col("mix_size").alias("size"))
+    in_cut = F.coalesce(key <= F.col("mix_cut"), F.lit(False))
+    take = (p > 0) & ((bucket < F.col("mix_bucket")) | ((bucket == F.col("mix_bucket")) & in_cut) | F.coalesce(key == F.col("mix_closing"), F.lit(False)))
     copies = (whole + F.coalesce(take, F.lit(False)).cast("int")).cast("int")
     return x.select(*[F.col(f"d.`{c}`") for c in docs.columns], "mix_size", F.col("source_size").alias("mix_source_size"), F.col("target").alias("mix_target"), copies.alias("mix_copies"))
 
@@ -150,14 +162,19 @@ w AS (SELECT *, [3.0, 1.0, 2.0][(row_number() OVER (ORDER BY source ASC NULLS LA
 l AS (SELECT *, (sum(source_size) OVER () * 1.5::DOUBLE
                - coalesce(sum(cap) OVER (ORDER BY cap / weight, source ASC NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))
               / sum(weight) OVER (ORDER BY cap / weight, source ASC NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM w),
-m AS (SELECT *, min(CASE WHEN level * weight <= cap THEN level END) OVER () AS flat FROM l),
+m AS (SELECT *, max(CASE WHEN level * weight <= cap THEN level END) OVER () AS flat FROM l),
 t AS (SELECT source, source_size, least(cap, coalesce(flat * weight, cap)) AS target FROM m),
 e AS (SELECT d.*, t.source_size, t.target, least(coalesce(t.target / nullif(t.source_size, 0), 0), 2.0::DOUBLE) AS e
       FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
 f AS (SELECT *, floor(e + 1e-12)::BIGINT AS whole, greatest(e - floor(e + 1e-12), 0) AS p0 FROM e),
 q AS (SELECT *, (u / (1 - u)) / (greatest(least(p0, 1 - 1e-12), 1e-12) / (1 - greatest(least(p0, 1 - 1e-12), 1e-12))) AS q FROM f),
 c AS (SELECT *, target - sum(whole * size) OVER (PARTITION BY source) AS wanted,
-             sum(size) OVER (PARTITION BY source ORDER BY q, doc_id, size ROWS UNBOUNDED PRECEDING) - size / 2.0::DOUBLE AS mid FROM q),
-k AS (SELECT *, whole + (p0 > 0 AND mid <= wanted)::BIGINT AS copies FROM c)
+             CASE WHEN p0 > 0 THEN sum(size) OVER (PARTITION BY source ORDER BY q, doc_id, size RANGE UNBOUNDED PRECEDING) END AS upto,
+             size * count(*) OVER (PARTITION BY source, doc_id, size) AS words FROM q),
+h AS (SELECT *, wanted - coalesce(max(CASE WHEN upto <= wanted THEN upto END) OVER (PARTITION BY source), 0) AS short FROM c),
+z AS (SELECT source, arg_min({'id': doc_id, 's': size}, {'a': abs(words - short), 'q': q, 'i': doc_id, 's': size}) AS z FROM h
+      WHERE p0 > 0 AND upto > wanted AND abs(words - short) < short GROUP BY source),
+k AS (SELECT h.*, whole + (p0 > 0 AND (upto <= wanted OR coalesce(h.doc_id = z.z.id AND h.size = z.z.s, false)))::BIGINT AS copies
+      FROM h LEFT JOIN z ON h.source IS NOT DISTINCT FROM z.source)
 SELECT doc_id, size, source_size, target, (copies * size)::BIGINT AS taken, copies::INT AS copies FROM k
 """
