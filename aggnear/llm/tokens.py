@@ -1,17 +1,21 @@
 """Token ids of whole texts, word by word with a cache.
 
 The vocabulary drops white space and never merges over it, so a text's ids are those of its ASCII
-space-separated words one after another; a word seen before costs a dictionary lookup.
+space-separated words one after another; a word seen before costs a dictionary lookup. Words are
+looked up in lower case, as the vocabulary lowers letters itself, except where that could differ:
+texts with combining marks, which are composed before letters are lowered, keep their case, and
+texts that may hold special tokens are encoded as they stand.
 """
 
 from __future__ import annotations
 
 import numpy as np
 
-#: Words remembered per worker process.
-CACHE = 300_000
+#: Words remembered per worker process; once it is full, further words are encoded anew each time.
+CACHE = 800_000
 #: Ids are stored in two bytes each while the vocabulary allows it.
 END = 1
+_SEPARATOR = "~"
 
 _encoders: dict[str, "Encoder"] = {}
 
@@ -21,25 +25,69 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
+        self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() < 1 << 16 else "<u4")
         self.known: dict[bytes, bytes] = {}
+        alone = self._plain(_SEPARATOR)
+        self.separator = int(alone[0]) if len(alone) == 1 else None
+        self.marks = {c: self._plain(c.decode()).tobytes() for c in (b",", b".")}
+
+    def _plain(self, text: str) -> np.ndarray:
+        return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, self.kind)
+
+    def _encode_new(self, words: set[bytes]) -> dict[bytes, bytes]:
+        """Ids of words not known; a comma or full stop after a letter is a token of its own."""
+        known, out, marked, joined = self.known, {}, [], []
+        for w in words:
+            if w[-1] in b".," and len(w) > 1 and 97 <= w[-2] <= 122:
+                marked.append(w)
+                w = w[:-1]
+            if w in known or w in out:
+                continue
+            if self.separator is None or b"~" in w:
+                out[w] = self._plain(w.decode()).tobytes()
+            else:
+                out[w] = b""
+                joined.append(w)
+        size = self.kind.itemsize
+        for at in range(0, len(joined), 20_000):
+            part = joined[at : at + 20_000]
+            ids = self._plain(f" {_SEPARATOR} ".join(w.decode() for w in part))
+            raw, ends = ids.tobytes(), np.r_[np.flatnonzero(ids == self.separator), len(ids)]
+            first = 0
+            for w, end in zip(part, ends.tolist()):
+                out[w] = raw[first * size : end * size]
+                first = end + 1
+        for w in marked:
+            core = w[:-1]
+            out[w] = (known[core] if core in known else out[core]) + self.marks[w[-1:]]
+        return out
 
     def ids(self, texts: list[bytes | None]) -> list[np.ndarray]:
         """Ids (uint32) of each text, END appended; null is empty."""
-        split = [(t or b"").split() for t in texts]
+        split: list = []
+        for t in texts:
+            t = t or b""
+            if b"<|" in t:
+                split.append(None)
+            else:
+                split.append((t if b"\xcc" in t or b"\xcd" in t else t.lower()).split())
         known = self.known
-        new = {w for words in split for w in words if w not in known}
-        if len(known) + len(new) > CACHE:
-            known.clear()
-            new = {w for words in split for w in words}
-        if new:
-            new = list(new)
-            for at in range(0, len(new), 20_000):
-                part = new[at : at + 20_000]
-                for w, e in zip(part, self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)):
-                    known[w] = np.array(e.ids, "<u4").tobytes()
-        end = np.array([END], "<u4").tobytes()
-        get = known.__getitem__
-        return [np.frombuffer(b"".join(map(get, words)) + end, "<u4") for words in split]
+        found = [words and list(map(known.get, words)) for words in split]
+        new = {w for words, got in zip(split, found) if words and None in got for w, g in zip(words, got) if g is None}
+        more = self._encode_new(new) if new else {}
+        end = np.array([END], self.kind).tobytes()
+        out = []
+        for t, words, got in zip(texts, split, found):
+            if words is None:
+                raw = self._plain(t.decode()).tobytes()
+            elif words and None in got:
+                raw = b"".join([more[w] if g is None else g for w, g in zip(words, got)])
+            else:
+                raw = b"".join(got)
+            out.append(np.frombuffer(raw + end, self.kind).astype("<u4"))
+        if more and len(known) < CACHE:
+            known.update(more)
+        return out
 
 
 def encoder(path: str) -> Encoder:
