@@ -20,6 +20,7 @@ doc_id in order of their roots; extra columns are not read; an empty table gives
 
 from __future__ import annotations
 
+from bisect import bisect_left
 from hashlib import sha256
 from zlib import crc32
 
@@ -32,28 +33,26 @@ from pyspark.sql import functions as F
 from .common import drop, new_folder, parallelism, stage, table
 from .tokens import default_path, encode_batches
 
-SPAN, LOW, MEAN_BITS, HIGH = 8, 64, 8, 2048
-_GEAR = np.random.default_rng(17).integers(0, 1 << 63, (SPAN, 65536), dtype=np.uint64)
-_LOG = "doc_id long, n long, root binary, digests array<binary>, lengths array<int>, payloads array<binary>"
+SPAN, LOW, MEAN_BITS, HIGH = 4, 64, 8, 2048
+_GEAR = np.random.default_rng(17).integers(0, 1 << 32, (SPAN, 65536), dtype=np.uint32)
 
 
-def cut_points(ids: np.ndarray) -> np.ndarray:
+def cut_points(ids: np.ndarray) -> list[int]:
     """Ends of the chunks of an id stream."""
     n = len(ids)
     if n <= LOW:
-        return np.array([n])
-    low = ids & 0xFFFF
-    h = np.zeros(n - SPAN + 1, np.uint64)
-    for j in range(SPAN):
+        return [n]
+    low = ids.astype(np.uint16)
+    h = _GEAR[0][low[: n - SPAN + 1]]
+    for j in range(1, SPAN):
         h += _GEAR[j][low[j : n - SPAN + 1 + j]]
-    marks = np.flatnonzero((h >> np.uint64(40)) & np.uint64((1 << MEAN_BITS) - 1) == 0) + SPAN
+    marks = (np.flatnonzero(h >> np.uint32(32 - MEAN_BITS) == 0) + SPAN).tolist()
     ends, at = [], 0
     while at < n:
-        i = np.searchsorted(marks, at + LOW)
-        end = int(marks[i]) if i < len(marks) else n
-        at = min(end, at + HIGH, n)
+        i = bisect_left(marks, at + LOW)
+        at = min(marks[i] if i < len(marks) else n, at + HIGH, n)
         ends.append(at)
-    return np.array(ends)
+    return ends
 
 
 def merkle(leaves: list[bytes]) -> bytes:
@@ -66,8 +65,10 @@ def merkle(leaves: list[bytes]) -> bytes:
     return leaves[0]
 
 
-def _pack(ids: np.ndarray) -> bytes:
-    return ids.astype("<u2").tobytes() if int(ids.max(initial=0)) < 1 << 16 else ids.astype("<u4").tobytes()
+def _pack(ids: np.ndarray) -> tuple[bytes, int]:
+    """Bytes of a document's ids, and the bytes of each."""
+    kind = "<u2" if int(ids.max(initial=0)) < 1 << 16 else "<u4"
+    return ids.astype(kind).tobytes(), int(kind[2])
 
 
 def unpack(payload: bytes, n: int) -> np.ndarray:
@@ -81,10 +82,11 @@ def _chunk(path: str):
             at, rows = [], []
             for i, ids in encode_batches(path, batch.column(1).to_pylist()):
                 ends = cut_points(ids)
-                loads = [_pack(x) for x in np.split(ids, ends[:-1])]
+                raw, size = _pack(ids)
+                loads = [raw[a * size : b * size] for a, b in zip([0, *ends[:-1]], ends)]
                 digests = [sha256(x).digest() for x in loads]
                 at.append(i)
-                rows.append((len(ids), merkle(digests), digests, np.diff(np.r_[0, ends]).tolist(), loads))
+                rows.append((len(ids), merkle(digests), digests, [b - a for a, b in zip([0, *ends[:-1]], ends)], loads))
                 if len(rows) == 256:
                     yield _rows(batch, at, rows, kinds)
                     at, rows = [], []
