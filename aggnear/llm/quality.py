@@ -148,7 +148,7 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model:
     given = labels.filter("quality in (0, 1) and doc_id is not null").groupBy("doc_id").agg(F.min("quality").alias("quality"))
     given = first_by_hash(given, sample)
     rows = docs.select("doc_id", F.col("text").cast("binary").alias("text")).join(F.broadcast(given), "doc_id")  # at most `sample` rows
-    few = rows.repartition(4, "doc_id")
+    few = rows.repartition(4)  # the sample is bounded, so is the number of sums that come back
     sums = few.select("text").mapInArrow(_neighbours, "sums binary").collect()
     vectors = sum((np.frombuffer(bytes(r.sums), "<f8").reshape(WORDS, DIM) for r in sums), np.zeros((WORDS, DIM)))
     vectors = (vectors / np.maximum(np.linalg.norm(vectors, axis=1, keepdims=True), 1e-9)).astype(np.float32)
