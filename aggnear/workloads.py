@@ -1,4 +1,98 @@
-"""Registry of the group-proximity workloads."""
+"""Registry of the group-proximity workloads: Spark query and DuckDB text under one name."""
+
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from .functions import weights
+from .operators import line
+from .sources import adapters as A
+from .sources import oracle as O
 
 QUERIES: dict = {}
 ORACLES: dict = {}
+
+
+def register(name: str, sql: str | None = None):
+    def put(f):
+        QUERIES[name] = f
+        if sql:
+            ORACLES[name] = sql
+        return f
+
+    return put
+
+
+def _orders(spark, d):
+    return A.table(spark, d, "orders").filter(F.col("o_custkey") < 20)
+
+
+@register("line_nn_customer", O.topk("customer", "supplier", 10, plane=False))
+def line_nn_customer(spark, d):
+    return line.topk(A.customer_line(spark, d), A.supplier_by_nation(spark, d), 10)
+
+
+@register("line_fn_customer", O.topk("customer", "supplier", 10, "farthest", plane=False))
+def line_fn_customer(spark, d):
+    return line.topk(A.customer_line(spark, d), A.supplier_by_nation(spark, d), 10, "farthest")
+
+
+@register("line_nn_k1", O.topk("customer", "supplier", 1, plane=False))
+def line_nn_k1(spark, d):
+    return line.nearest(A.customer_line(spark, d), A.supplier_by_nation(spark, d))
+
+
+@register("line_fn_k1", O.topk("customer", "supplier", 1, "farthest", plane=False))
+def line_fn_k1(spark, d):
+    return line.farthest_ends(A.customer_line(spark, d), A.supplier_by_nation(spark, d))
+
+
+@register("line_nn_unweighted", O.topk("orders_price", "orders_price", 5, plane=False))
+def line_nn_unweighted(spark, d):
+    p = A.points(A.table(spark, d, "orders"), "o_orderkey", A.cents("o_totalprice"))
+    q = A.query(_orders(spark, d), "o_custkey", A.cents("o_totalprice"), w=A.priority())
+    return line.topk(p, weights.unweighted(q), 5)
+
+
+@register("line_nn_dates", O.topk("orders_day", "orders_day", 10, plane=False))
+def line_nn_dates(spark, d):
+    p = A.points(A.table(spark, d, "orders"), "o_orderkey", A.days("o_orderdate"))
+    return line.topk(p, A.query(_orders(spark, d), "o_custkey", A.days("o_orderdate"), w=A.priority()), 10)
+
+
+@register("line_nn_bigk", O.topk("supplier", "segment", 1000, plane=False))
+def line_nn_bigk(spark, d):
+    p = A.points(A.table(spark, d, "supplier"), "s_suppkey", A.cents("s_acctbal"))
+    return line.topk(p, A.query(A.table(spark, d, "customer"), F.ascii("c_mktsegment"), A.cents("c_acctbal")), 1000)
+
+
+def _evaluator(name: str):
+    def run(spark, d):
+        return line.topk(A.customer_line(spark, d), A.supplier_by_nation(spark, d), 3, evaluator=name, q_sorted=name == "merge")
+
+    return run
+
+
+for _e in ("direct", "prefix", "merge"):
+    register(f"line_evaluator_{_e}", O.topk("customer", "supplier", 3, plane=False))(_evaluator(_e))
+
+_ANCHOR = f"WITH {O.anchors('supplier')} SELECT query_id, min(v) FILTER (2 * cw >= wt) AS ax, min(v) FILTER (2 * cw > wt) AS ax_hi, max(wt)::BIGINT AS w_total FROM c GROUP BY query_id"
+
+
+@register("anchor_by_nation", _ANCHOR)
+def anchor_by_nation(spark, d):
+    return weights.anchor(A.supplier_by_nation(spark, d))
+
+
+@register("anchor_by_selection", _ANCHOR)
+def anchor_by_selection(spark, d):
+    return weights.anchor(A.supplier_by_nation(spark, d), how="select")
+
+
+@register(
+    "profile_by_nation",
+    f"""WITH {O.anchors('supplier')} SELECT query_id, v, cw::BIGINT AS cw, (sum(w * v) OVER (PARTITION BY query_id ORDER BY v))::BIGINT AS cwv,
+(wt - cw + w)::BIGINT AS sw, (sum(w * v) OVER (PARTITION BY query_id ORDER BY v DESC))::BIGINT AS swv FROM c""",
+)
+def profile_by_nation(spark, d):
+    return weights.profile_rows(A.supplier_by_nation(spark, d))
