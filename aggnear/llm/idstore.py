@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 from .common import drop, new_folder, parallelism, stage, table
 from .tokens import default_path, encode_batches
 
-SPAN, LOW, MEAN_BITS, HIGH = 4, 64, 8, 2048
+SPAN, LOW, MEAN_BITS, HIGH = 4, 128, 9, 4096
 _GEAR = np.random.default_rng(17).integers(0, 1 << 32, (SPAN, 65536), dtype=np.uint32)
 _LOG = "doc_id long, n long, root binary, digests array<binary>, lengths array<int>, payloads array<binary>"
 

@@ -20,13 +20,27 @@ _SEPARATOR = "~"
 _encoders: dict[str, "Encoder"] = {}
 
 
+class _Known(dict):
+    """word -> ids as bytes; a word not known yet gets a buffer that is filled once its text's run is encoded."""
+
+    def __init__(self):
+        super().__init__()
+        self.pending: dict[bytes, bytearray] = {}
+
+    def __missing__(self, word: bytes) -> bytearray:
+        slot = self.pending.get(word)
+        if slot is None:
+            slot = self.pending[word] = bytearray()
+        return slot
+
+
 class Encoder:
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() < 1 << 16 else "<u4")
-        self.known: dict[bytes, bytes] = {}
+        self.known = _Known()
         alone = self._plain(_SEPARATOR)
         self.separator = int(alone[0]) if len(alone) == 1 else None
         self.marks = {c: self._plain(c.decode()).tobytes() for c in (b",", b".")}
@@ -34,7 +48,7 @@ class Encoder:
     def _plain(self, text: str) -> np.ndarray:
         return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, self.kind)
 
-    def _encode_new(self, words: set[bytes]) -> dict[bytes, bytes]:
+    def _encode_new(self, words: list[bytes]) -> dict[bytes, bytes]:
         """Ids of words not known; a comma or full stop after a letter is a token of its own."""
         known, out, marked, joined = self.known, {}, [], []
         for w in words:
@@ -48,10 +62,10 @@ class Encoder:
             else:
                 out[w] = b""
                 joined.append(w)
-        size = self.kind.itemsize
+        size, between = self.kind.itemsize, f" {_SEPARATOR} ".encode()
         for at in range(0, len(joined), 20_000):
             part = joined[at : at + 20_000]
-            ids = self._plain(f" {_SEPARATOR} ".join(w.decode() for w in part))
+            ids = self._plain(between.join(part).decode())
             raw, ends = ids.tobytes(), np.r_[np.flatnonzero(ids == self.separator), len(ids)]
             first = 0
             for w, end in zip(part, ends.tolist()):
@@ -72,21 +86,20 @@ class Encoder:
             else:
                 split.append((t if b"\xcc" in t or b"\xcd" in t else t.lower()).split())
         known = self.known
-        found = [words and list(map(known.get, words)) for words in split]
-        new = {w for words, got in zip(split, found) if words and None in got for w, g in zip(words, got) if g is None}
-        more = self._encode_new(new) if new else {}
+        get = known.__getitem__
+        found = [words and list(map(get, words)) for words in split]
+        if known.pending:
+            pending, known.pending = known.pending, {}
+            new = self._encode_new(list(pending))
+            for w, slot in pending.items():
+                slot += new[w]
+            if len(known) < CACHE:
+                known.update(new)
         end = np.array([END], self.kind).tobytes()
         out = []
-        for t, words, got in zip(texts, split, found):
-            if words is None:
-                raw = self._plain(t.decode()).tobytes()
-            elif words and None in got:
-                raw = b"".join([more[w] if g is None else g for w, g in zip(words, got)])
-            else:
-                raw = b"".join(got)
+        for t, got in zip(texts, found):
+            raw = self._plain(t.decode()).tobytes() if got is None else b"".join(got)
             out.append(np.frombuffer(raw + end, self.kind).astype("<u4"))
-        if more and len(known) < CACHE:
-            known.update(more)
         return out
 
 
