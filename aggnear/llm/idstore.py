@@ -30,7 +30,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import drop, new_folder, parallelism, stage, table
+from .common import drop, new_folder, parallelism, slices, stage, table
 from .tokens import default_path, encode_batches
 
 SPAN, LOW, MEAN_BITS, HIGH = 4, 128, 9, 4096
@@ -79,7 +79,7 @@ def unpack(payload: bytes, n: int) -> np.ndarray:
 def _chunk(path: str):
     def run(batches):
         kinds = [pa.int64(), pa.binary(), pa.list_(pa.binary()), pa.list_(pa.int32()), pa.list_(pa.binary())]
-        for batch in batches:
+        for batch in slices(batches, 256):
             at, rows = [], []
             for i, ids in encode_batches(path, batch.column(1).to_pylist()):
                 ends = cut_points(ids)

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import slices, table
 from .features import bucket_of, gram_counts
 
 BUCKETS = 4096
@@ -88,7 +88,7 @@ def train(docs: DataFrame, sample: int = SAMPLE, centroids: int = CENTROIDS) ->
     rows = docs.join(F.broadcast(ids), "doc_id").filter("lang is not null").select("lang", "text")
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches):
             lang, text = batch.column(0).to_pylist(), [_lower(t) for t in batch.column(1).to_pylist()]
             for at in range(0, len(text), 64):
                 some = [(l, t) for l, t in zip(lang[at : at + 64], text[at : at + 64]) if t]
@@ -116,19 +116,17 @@ def identify(docs: DataFrame, model: Model | None) -> DataFrame:
     """docs(doc_id, text) -> doc_id, lang_pred, score, distance, rejected."""
 
     def run(batches):
-        for batch in batches:
-            texts = batch.column(1).to_pylist()
-            for at in range(0, max(1, len(texts)), 256):
-                low = [_lower(t) for t in texts[at : at + 256]]
-                has = [i for i, t in enumerate(low) if t] if model else []
-                lang, score, far = ["und"] * len(low), np.zeros(len(low)), np.ones(len(low), bool)
-                if has:
-                    best, cos = model.judge([low[i] for i in has])
-                    score[has] = np.clip(cos, 0, 1)
-                    far[has] = 1 - cos > model.limit
-                    for i, b in zip(has, best):
-                        lang[i] = model.names[b]
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, 256), pa.array(lang), pa.array(score), pa.array(1 - score), pa.array(far)], names=["doc_id", "lang_pred", "score", "distance", "rejected"])
+        for batch in slices(batches):
+            low = [_lower(t) for t in batch.column(1).to_pylist()]
+            has = [i for i, t in enumerate(low) if t] if model else []
+            lang, score, far = ["und"] * len(low), np.zeros(len(low)), np.ones(len(low), bool)
+            if has:
+                best, cos = model.judge([low[i] for i in has])
+                score[has] = np.clip(cos, 0, 1)
+                far[has] = 1 - cos > model.limit
+                for i, b in zip(has, best):
+                    lang[i] = model.names[b]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(lang), pa.array(score), pa.array(1 - score), pa.array(far)], names=["doc_id", "lang_pred", "score", "distance", "rejected"])
 
     x = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     return x.mapInArrow(run, "doc_id long, lang_pred string, score double, distance double, rejected boolean")
@@ -139,14 +137,12 @@ def keep_identified(docs: DataFrame, model: Model | None) -> DataFrame:
     names, kinds = docs.columns, docs.schema
 
     def run(batches):
-        for batch in batches:
-            texts = batch.column(at_text).to_pylist()
-            stay = np.zeros(len(texts), bool)
-            for at in range(0, len(texts), 256):
-                low = [_lower(t) for t in texts[at : at + 256]]
-                has = [i for i, t in enumerate(low) if t]
-                if has and model:
-                    stay[[at + i for i in has]] = 1 - model.judge([low[i] for i in has])[1] <= model.limit
+        for batch in slices(batches):
+            low = [_lower(t) for t in batch.column(at_text).to_pylist()]
+            has = [i for i, t in enumerate(low) if t]
+            stay = np.zeros(len(low), bool)
+            if has and model:
+                stay[has] = 1 - model.judge([low[i] for i in has])[1] <= model.limit
             yield batch.filter(pa.array(stay))
 
     at_text = names.index("text")

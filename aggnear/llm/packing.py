@@ -32,7 +32,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import stage, table
+from .common import slices, stage, table
 from .tokens import default_path, encode_batches
 
 CAPACITY = 4096
@@ -281,7 +281,7 @@ def _cut(path: str, capacity: int):
     def run(batches):
         part = TaskContext.get().partitionId()
         seen = np.zeros(capacity + 1, np.int64)
-        for batch in batches:
+        for batch in slices(batches, 256):
             out = []
             for i, ids in encode_batches(path, batch.column(1).to_pylist()):
                 for p, a in enumerate(range(0, len(ids), capacity)):

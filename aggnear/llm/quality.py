@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import slices, table
 from .features import bucket_of, first_by_hash, gram_counts
 
 #: Most labelled texts that the model is fitted on.
@@ -61,7 +61,7 @@ def _words(text: bytes, cache: _Buckets) -> np.ndarray:
 def _neighbours(batches):
     """One task's sums of neighbours' index vectors per word bucket."""
     cache, out = _Buckets(), np.zeros((WORDS, DIM))
-    for batch in batches:
+    for batch in slices(batches):
         for text in batch.column(0).to_pylist():
             w = _words(text or b"", cache)
             for off in range(1, WINDOW + 1):
@@ -154,11 +154,9 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model:
     vectors = (vectors / np.maximum(np.linalg.norm(vectors, axis=1, keepdims=True), 1e-9)).astype(np.float32)
 
     def run(batches):
-        for batch in batches:
-            for at in range(0, batch.num_rows, _CHUNK):
-                part = batch.slice(at, _CHUNK)
-                x = pool(part.column(1).to_pylist(), vectors)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([r.astype("<f4").tobytes() for r in x], pa.binary()), part.column(2)], names=["doc_id", "x", "y"])
+        for part in slices(batches, _CHUNK):
+            x = pool(part.column(1).to_pylist(), vectors)
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array([r.astype("<f4").tobytes() for r in x], pa.binary()), part.column(2)], names=["doc_id", "x", "y"])
 
     got = sorted((r.doc_id, bytes(r.x), r.y) for r in few.select("doc_id", "text", F.col("quality").cast("long").alias("y")).mapInArrow(run, "doc_id long, x binary, y long").collect())
     y = np.array([g[2] for g in got], float)
@@ -174,7 +172,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
     """docs(doc_id, text) -> doc_id, score."""
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches):
             s = model.score(batch.column(1).to_pylist())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.asarray(s, float))], names=["doc_id", "score"])
 

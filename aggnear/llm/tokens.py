@@ -12,7 +12,7 @@ from __future__ import annotations
 import numpy as np
 
 #: Words remembered per worker process; once it is full, further words are encoded anew each time.
-CACHE = 800_000
+CACHE = 600_000
 #: Ids are stored in two bytes each while the vocabulary allows it.
 END = 1
 _SEPARATOR = "~"
@@ -40,6 +40,7 @@ class Encoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() < 1 << 16 else "<u4")
+        self.model = self.tokenizer.model
         self.known = _Known()
         alone = self._plain(_SEPARATOR)
         self.separator = int(alone[0]) if len(alone) == 1 else None
@@ -57,7 +58,9 @@ class Encoder:
                 w = w[:-1]
             if w in known or w in out:
                 continue
-            if self.separator is None or b"~" in w:
+            if w.isalpha() and w.islower():  # ASCII letters only: normaliser and splitter leave such a word as it is
+                out[w] = np.array([t.id for t in self.model.tokenize(w.decode())], self.kind).tobytes()
+            elif self.separator is None or b"~" in w:
                 out[w] = self._plain(w.decode()).tobytes()
             else:
                 out[w] = b""
