@@ -41,7 +41,7 @@ def _repeel(groups: list[Group], k: int, direction: str, reuse: str | None):
     known = {g.query_id: g for g in groups}
     sign = 1 if direction == "nearest" else -1
 
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         g = known[int(key[0])]
         pl = peel.of_group(g, int(key[1]), direction, pdf["point_id"], pdf["x"], pdf["y"])
         q, taken, searched, optima, kept = pl.q, [], 0, 0, set()
@@ -83,7 +83,7 @@ def rebuild_hulls(layout: PlaneLayout, gone: DataFrame) -> DataFrame:
     touched = layout.points.join(gone.select("point_id"), "point_id", "left_semi").select("slab", "band").distinct()
     left = layout.points.join(touched, ["slab", "band"], "left_semi").join(gone.select("point_id"), "point_id", "left_anti")
 
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         x, y, ids = (pdf[c].to_numpy(np.int64) for c in ("x", "y", "point_id"))
         at = hull(x, y, ids)
         v = [{"point_id": int(ids[i]), "x": int(x[i]), "y": int(y[i])} for i in at]

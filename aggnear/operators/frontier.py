@@ -6,6 +6,7 @@ Input rows are (query_id, quad, u, v, point_id, x, y): points in a quadrant's ow
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -95,7 +96,7 @@ def band(quads: DataFrame, k: int) -> DataFrame:
 
     schema = quads.schema
 
-    def whole(pdf):
+    def whole(pdf: pd.DataFrame) -> pd.DataFrame:
         return pdf[G.band(pdf["u"].to_numpy(), pdf["v"].to_numpy(), k)]
 
     return quads.mapInArrow(local, schema).groupBy(*_IN).applyInPandas(whole, schema)

@@ -97,7 +97,7 @@ def _cuts(points: DataFrame, c: str, parts: int) -> list[int]:
 
 
 def _hull_of(key_names: list[str]):
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         if "vertices" in pdf:
             rows = [v for vs in pdf["vertices"] for v in vs]
             ids, x, y = (np.array([r[c] for r in rows], np.int64) for c in ("point_id", "x", "y"))

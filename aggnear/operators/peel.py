@@ -297,7 +297,7 @@ COUNTED = "query_id long, quad int, round int, measure string, value long"
 def _grouped(groups: list[Group], k: int, direction: str, counters: bool):
     known = {g.query_id: g for g in groups}
 
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         qid, quad = int(key[0]), int(key[1])
         at, peel = quadrant_answer(known[qid], quad, direction, k, pdf["point_id"], pdf["x"], pdf["y"])
         if counters:
@@ -331,3 +331,15 @@ def quads_of(candidates, query):
     right, up = F.col("x") > F.col("ax"), F.col("y") > F.col("ay")
     quad = F.when(up, F.when(right, 1).otherwise(2)).otherwise(F.when(right, 4).otherwise(3))
     return x.select("query_id", quad.alias("quad"), "point_id", "x", "y")
+
+
+def first_cells(points, query, groups: list[Group], direction: str = "nearest"):
+    """query_id, quad, ci, cj, entry_id, floor_id of round one, found by probes."""
+    known = {g.query_id: g for g in groups}
+
+    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
+        q = of_group(known[int(key[0])], int(key[1]), direction, pdf["point_id"], pdf["x"], pdf["y"]).q
+        rows = [(int(key[0]), int(key[1]), *c, int(q.ids[q.cells[c].entry]), int(q.ids[q.cells[c].floor])) for c in q.first_cells()]
+        return pd.DataFrame(rows, columns=["query_id", "quad", "ci", "cj", "entry_id", "floor_id"])
+
+    return quads_of(points, query).groupBy("query_id", "quad").applyInPandas(run, "query_id long, quad long, ci long, cj long, entry_id long, floor_id long")

@@ -73,8 +73,10 @@ def embeddings_plane(spark, d) -> DataFrame:
     return points(e, "vec_id", micros(F.col("embedding")[0]), micros(F.col("embedding")[1]), own="label")
 
 
-def embeddings_query(spark, d, most: int = 100) -> DataFrame:
-    e = table(spark, d, "embeddings").filter(F.col("vec_id") < most)
+def embeddings_query(spark, d, most: int | None = None) -> DataFrame:
+    """All vectors of a label are its group; ``most`` takes those of smaller id, to vary m."""
+    e = table(spark, d, "embeddings")
+    e = e if most is None else e.filter(F.col("vec_id") < most)
     return query(e, "label", micros(F.col("embedding")[0]), micros(F.col("embedding")[1]), w=1 + F.col("vec_id") % 4)
 
 
@@ -92,7 +94,7 @@ def part_query(spark, d) -> DataFrame:
 
 def part_sales_query(spark, d) -> DataFrame:
     sold = table(spark, d, "lineitem").groupBy("l_partkey").agg(F.sum("l_quantity").cast("long").alias("sold"))
-    p = table(spark, d, "part").filter(brand() < 15).join(sold, F.col("p_partkey") == F.col("l_partkey"))
+    p = table(spark, d, "part").join(sold, F.col("p_partkey") == F.col("l_partkey"))
     return query(p, brand(), F.col("p_size") * 100, cents("p_retailprice"), w="sold")
 
 
@@ -100,9 +102,8 @@ def lineitem_plane(spark, d) -> DataFrame:
     return points(table(spark, d, "lineitem"), F.col("l_orderkey") * 10 + F.col("l_linenumber"), cents("l_quantity"), cents("l_extendedprice"))
 
 
-def lineitem_query(spark, d) -> DataFrame:
-    li = table(spark, d, "lineitem").filter(F.col("l_orderkey") < 20)
-    return query(li, "l_orderkey", cents("l_quantity"), cents("l_extendedprice"), w="l_linenumber")
+def part_by_brand(spark, d) -> DataFrame:
+    return query(table(spark, d, "part"), brand(), F.col("p_size") * 100, cents("p_retailprice"), w=1 + F.col("p_partkey") % 3)
 
 
 def priority() -> Column:
@@ -122,7 +123,7 @@ def events_plane(spark, d) -> DataFrame:
 
 
 def events_query(spark, d) -> DataFrame:
-    e = table(spark, d, "events").filter((F.col("event_type") == "purchase") & (F.col("user_id") < 20))
+    e = table(spark, d, "events").filter(F.col("event_type") == "purchase")
     return query(e, "user_id", F.unix_seconds(F.col("ts").cast("timestamp")), cents("value"))
 
 
