@@ -54,6 +54,12 @@ def drop(*staged: DataFrame | str) -> None:
         at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
 
 
+def positional(docs: DataFrame) -> tuple[DataFrame, dict[str, str]]:
+    """docs with its columns named by position, which no helper column can clash with, and the names by column."""
+    names = {c: f"c{i}" for i, c in enumerate(docs.columns)}
+    return docs.toDF(*names.values()), names
+
+
 def slices(batches, rows: int = 128):
     """Record batches cut into slices of few rows, so that long texts are unpacked a few at a time."""
     for batch in batches:

@@ -20,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import stage, table, word_count
+from .common import positional, stage, table, word_count
 
 #: Rank buckets per source; a bucket holds about 1/BUCKETS of a source's rows.
 BUCKETS = 4096
@@ -127,15 +127,30 @@ def mix(docs: DataFrame, *, cycle=(3, 1, 2), share: float = 1.5, max_copies: int
     goal = targets(sums.select("source", "source_size"), cycle, share, max_copies).alias("t")
     goal = goal.join(sums, F.col("t.source").eqNullSafe(F.col("s.source"))).select("t.source", "t.source_size", "t.target", F.expr("nullif(s.g_size, 0)").alias("g_size"))
     plan = stage(cuts(rows, stage(goal, "mix-goal"), seed, max_copies), "mix-plan")
-    x = docs.withColumn("mix_size", word_count(F.col("text"))).withColumn("mix_g", g).alias("d").join(plan.alias("p"), F.col("d.source").eqNullSafe(F.col("p.mix_source")))
+    named, at = positional(docs)
+    g = F.coalesce(F.col(at[weight]).cast("double"), F.lit(0.0)) if weight else F.lit(1.0)
+    x = named.withColumn("mix_size", word_count(F.col(at["text"]))).withColumn("mix_g", g).join(plan, F.col(at["source"]).eqNullSafe(F.col("mix_source")))
+    doc_id = F.col(at["doc_id"])
     whole, p = _copies(F.least(F.col("mix_rate") * F.col("mix_g"), F.lit(float(max_copies))))
-    q = _rank(uniform(F.col("doc_id"), seed), p)
+    q = _rank(uniform(doc_id, seed), p)
     bucket = _bucket(q, F.col("target"), F.col("source_size"))
-    key = F.struct(q.alias("q"), F.col("doc_id").alias("id"), F.col("mix_size").alias("size"))
+    key = F.struct(q.alias("q"), doc_id.alias("id"), F.col("mix_size").alias("size"))
     in_cut = F.coalesce(key <= F.col("mix_cut"), F.lit(False))
     take = (p > 0) & ((bucket < F.col("mix_bucket")) | ((bucket == F.col("mix_bucket")) & in_cut) | F.coalesce(key == F.col("mix_closing"), F.lit(False)))
     copies = (whole + F.coalesce(take, F.lit(False)).cast("int")).cast("int")
-    return x.select(*[F.col(f"d.`{c}`") for c in docs.columns], "mix_size", F.col("source_size").alias("mix_source_size"), F.col("target").alias("mix_target"), copies.alias("mix_copies"))
+    x = x.select(*at.values(), "mix_size", F.col("source_size").alias("mix_source_size"), F.col("target").alias("mix_target"), copies.alias("mix_copies"))
+    return x.toDF(*docs.columns, *MIXED)
+
+
+#: Columns that mix puts after those of its input.
+MIXED = ("mix_size", "mix_source_size", "mix_target", "mix_copies")
+
+
+def repeated(docs: DataFrame, **options) -> DataFrame:
+    """The mix itself: each row of docs as often as it is taken, columns as they are."""
+    x = mix(docs.toDF(*[c if c in ("doc_id", "source", "text") else f"m{i}" for i, c in enumerate(docs.columns)]), **options)
+    x = x.filter("mix_copies > 0").withColumn("mix_copy", F.explode(F.sequence(F.lit(1), F.col("mix_copies"))))
+    return x.drop(*MIXED, "mix_copy").toDF(*docs.columns)
 
 
 def op6_mix(spark, sf_dir: str) -> DataFrame:

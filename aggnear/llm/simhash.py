@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import drop, parallelism, slices, stage, table
+from .common import drop, parallelism, positional, slices, stage, table
 from .components import components
 
 SHINGLE = 4
@@ -259,20 +259,23 @@ def keep_one(docs: DataFrame, k: int = 5, radius: int = 24, width: int = 2) -> D
     """The rows of docs that stay when one document, that of least id, stays of each group.
 
     The defaults link texts whose five-word shingles are alike to 0.8 or more: such pairs differ in
-    15 % of the bits on average, so 24 of 128 leave room for chance. Rows with a null id stay. Of
-    rows that repeat the staying id, the first by text stays.
+    15 % of the bits on average, so 24 of 128 leave room for chance. Rows with a null id stay. An id
+    that goes takes all its rows along; of rows that repeat a staying id, the first by text stays.
     """
     found = stage(near_texts(docs, k, radius, width), "simhash-found")
     gone = found.filter("doc_id <> component_id").select("doc_id").distinct()
     again = found.groupBy("doc_id").agg(F.count("*").alias("n")).filter("n > 1 and doc_id is not null").select("doc_id")
-    bad = stage(gone.select(F.col("doc_id").alias("simhash_id"), F.lit(False).alias("simhash_again")).union(again.select("doc_id", F.lit(True))), "simhash-gone")
-    is_it = F.col("doc_id").cast("long") == F.col("simhash_id")
-    x = docs.join(bad.select("simhash_id").distinct(), is_it, "left_anti")
+    bad = stage(gone.select(F.col("doc_id").alias("simhash_id")), "simhash-gone")
+    rows, at = positional(docs)
+    is_it = F.col(at["doc_id"]).cast("long") == F.col("simhash_id")
+    x = rows.join(bad, is_it, "left_anti")
     # ids that repeat: those that stay as the least of their group, first row by text
-    stay = found.filter("doc_id = component_id").select("doc_id").distinct().join(again, "doc_id").select(F.col("doc_id").alias("simhash_id"))
-    order = Window.partitionBy("doc_id").orderBy(F.col("text").asc_nulls_first(), *[F.col(f"`{c}`") for c in docs.columns if c not in ("doc_id", "text")])
-    dup = docs.join(stay, is_it, "left_semi").withColumn("simhash_row", F.row_number().over(order))
-    return x.unionByName(dup.filter("simhash_row = 1").drop("simhash_row"))
+    stay = again.join(gone, "doc_id", "left_anti").select(F.col("doc_id").alias("simhash_id"))
+    stay = stage(stay, "simhash-again")
+    order = Window.partitionBy(at["doc_id"]).orderBy(F.col(at["text"]).asc_nulls_first(), *rows.columns)
+    dup = rows.join(stay, is_it, "left_semi").withColumn("simhash_row", F.row_number().over(order))
+    x = x.join(stay, is_it, "left_anti")
+    return x.unionByName(dup.filter("simhash_row = 1").drop("simhash_row")).toDF(*docs.columns)
 
 
 def op10_simhash(spark, sf_dir: str) -> DataFrame:
