@@ -10,7 +10,6 @@ operator's module states; an empty table goes through to an empty result.
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from aggnear.llm import chaining, langid, mixing, packing, simhash
 from aggnear.llm.common import stage, table
@@ -29,9 +28,7 @@ def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    x = mixing.mix(docs)
-    x = x.filter("mix_copies > 0").withColumn("mix_copy", F.explode(F.sequence(F.lit(1), F.col("mix_copies"))))
-    return x.select(*[F.col(f"`{c}`") for c in docs.columns])
+    return mixing.repeated(docs)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
