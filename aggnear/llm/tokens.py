@@ -9,8 +9,12 @@ texts that may hold special tokens are encoded as they stand.
 
 from __future__ import annotations
 
+from array import array
+
 import numpy as np
 
+#: The byte-level alphabet writes these bytes (as Latin-1 characters) as other letters.
+_BYTES = {b: 256 + i for i, b in enumerate([*range(33), *range(127, 161), 173])}
 #: Words remembered per worker process; once it is full, further words are encoded anew each time.
 CACHE = 600_000
 #: Ids are stored in two bytes each while the vocabulary allows it.
@@ -40,38 +44,54 @@ class Encoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() < 1 << 16 else "<u4")
-        self.model = self.tokenizer.model
+        self.code = "H" if self.kind.itemsize == 2 else "I"
         self.known = _Known()
+        self.model = self.tokenizer.model
         alone = self._plain(_SEPARATOR)
         self.separator = int(alone[0]) if len(alone) == 1 else None
         self.marks = {c: self._plain(c.decode()).tobytes() for c in (b",", b".")}
+        probe = ["hello", "straße", "école", "niño", "x", "Hello", "a,", "~"]
+        apart = np.concatenate([self._plain(w) for w in probe])
+        folded = np.concatenate([self._plain(w) for w in ("hello", "straße", "école", "niño", "x", "hello", "a", ",", "~")])
+        #: Whether texts may be taken apart into words at all; otherwise they are encoded as they stand.
+        self.by_word = self.separator is not None and len(apart) == len(folded) and bool((apart == folded).all()) and bool((self._plain("  ".join(probe)) == apart).all())
+        #: Whether words of lower-case letters may go to the model as they are, bytes in its alphabet.
+        self.fast = self.by_word and all(self._letters(w.encode()) == self._plain(w).tobytes() for w in probe[:5])
 
     def _plain(self, text: str) -> np.ndarray:
         return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, self.kind)
 
+    def _letters(self, word: bytes) -> bytes:
+        return array(self.code, [t.id for t in self.model.tokenize(word.decode("latin-1").translate(_BYTES))]).tobytes()
+
     def _encode_new(self, words: list[bytes]) -> dict[bytes, bytes]:
         """Ids of words not known; a comma or full stop after a letter is a token of its own."""
-        known, out, marked, joined = self.known, {}, [], []
+        known, out, marked, joined, fast, letters = self.known, {}, [], [], self.fast, self._letters
         for w in words:
             if w[-1] in b".," and len(w) > 1 and 97 <= w[-2] <= 122:
                 marked.append(w)
                 w = w[:-1]
-            if w in known or w in out:
+                if w in known:
+                    continue
+            if w in out:
+                continue
+            if fast and w.isalpha():
+                out[w] = letters(w) if w.islower() else self._plain(w.decode()).tobytes()
                 continue
-            if w.isalpha() and w.islower():  # ASCII letters only: normaliser and splitter leave such a word as it is
-                out[w] = np.array([t.id for t in self.model.tokenize(w.decode())], self.kind).tobytes()
-            elif self.separator is None or b"~" in w:
-                out[w] = self._plain(w.decode()).tobytes()
+            t = w.decode()
+            if fast and t.isalpha() and max(t) < "\u0250" and (low := t.lower()).isalpha():
+                out[w] = letters(low.encode())
+            elif _SEPARATOR in t:
+                out[w] = self._plain(t).tobytes()
             else:
                 out[w] = b""
                 joined.append(w)
         size, between = self.kind.itemsize, f" {_SEPARATOR} ".encode()
-        for at in range(0, len(joined), 20_000):
-            part = joined[at : at + 20_000]
+        for at in range(0, len(joined), 1000):
+            part = joined[at : at + 1000]
             ids = self._plain(between.join(part).decode())
-            raw, ends = ids.tobytes(), np.r_[np.flatnonzero(ids == self.separator), len(ids)]
-            first = 0
-            for w, end in zip(part, ends.tolist()):
+            raw, first = ids.tobytes(), 0
+            for w, end in zip(part, [*np.flatnonzero(ids == self.separator).tolist(), len(ids)]):
                 out[w] = raw[first * size : end * size]
                 first = end + 1
         for w in marked:
@@ -84,7 +104,7 @@ class Encoder:
         split: list = []
         for t in texts:
             t = t or b""
-            if b"<|" in t:
+            if not self.by_word or b"<|" in t:
                 split.append(None)
             else:
                 split.append((t if b"\xcc" in t or b"\xcd" in t else t.lower()).split())
