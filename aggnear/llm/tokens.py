@@ -10,6 +10,7 @@ texts that may hold special tokens are encoded as they stand.
 from __future__ import annotations
 
 from array import array
+from collections import Counter
 
 import numpy as np
 
@@ -19,6 +20,8 @@ _BYTES = {b: 256 + i for i, b in enumerate([*range(33), *range(127, 161), 173])}
 CACHE = 600_000
 #: Ids are stored in two bytes each while the vocabulary allows it.
 END = 1
+#: Words of the table of frequent words, and how many words are counted before it is made.
+HOT, HOT_AFTER = 20_000, 400_000
 _SEPARATOR = "~"
 
 _encoders: dict[str, "Encoder"] = {}
@@ -46,6 +49,7 @@ class Encoder:
         self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() < 1 << 16 else "<u4")
         self.code = "H" if self.kind.itemsize == 2 else "I"
         self.known = _Known()
+        self.hot, self.seen = None, Counter()
         self.model = self.tokenizer.model
         alone = self._plain(_SEPARATOR)
         self.separator = int(alone[0]) if len(alone) == 1 else None
@@ -58,6 +62,13 @@ class Encoder:
         #: Whether words of lower-case letters may go to the model as they are, bytes in its alphabet.
         self.fast = self.by_word and all(self._letters(w.encode()) == self._plain(w).tobytes() for w in probe[:5])
 
+    def _heat(self) -> None:
+        """Put the most frequent words into a small table of their own, close together in memory; it falls back to the large one."""
+        top = [w for w, _ in self.seen.most_common(HOT) if w in self.known]
+        table = type("_Hot", (dict,), {"__missing__": self.known.__getitem__})
+        self.hot = table({bytes(bytearray(w)): bytes(bytearray(self.known[w])) for w in top})
+        self.seen = None
+
     def _plain(self, text: str) -> np.ndarray:
         return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, self.kind)
 
@@ -109,7 +120,12 @@ class Encoder:
             else:
                 split.append((t if b"\xcc" in t or b"\xcd" in t else t.lower()).split())
         known = self.known
-        get = known.__getitem__
+        if self.hot is None:
+            for words in split:
+                self.seen.update(words or ())
+            if self.seen.total() > HOT_AFTER and len(known) > HOT:
+                self._heat()
+        get = (known if self.hot is None else self.hot).__getitem__
         found = [words and list(map(get, words)) for words in split]
         if known.pending:
             pending, known.pending = known.pending, {}
