@@ -13,7 +13,6 @@ from ..operators.layout import hull
 from ..operators.local import best
 
 
-@F.udtf(returnType="query_id long, rank long, point_id long, x long, y long, agg_dist long")
 class TopkGroup:
     """topk_group(TABLE(rows), k): rows kind 'p' (point_id, x, y) and 'q' (query point: w, x, y) of one query_id partition.
 
@@ -40,7 +39,6 @@ class TopkGroup:
             yield self.id, n + 1, int(ids[i]), int(x[i]), int(y[i]), int(f[i])
 
 
-@F.udtf(returnType="ci long, cj long, xlo long, xhi long, ylo long, yhi long")
 class GridCells:
     """grid_cells(xs, ys): the cells of the grid through sorted coordinates, bounds null where open."""
 
@@ -51,7 +49,6 @@ class GridCells:
                 yield i, j, ex[i], ex[i + 1], ey[j], ey[j + 1]
 
 
-@F.pandas_udf("array<struct<point_id:long,x:long,y:long>>")
 def hull_agg(point_id: pd.Series, x: pd.Series, y: pd.Series) -> list:
     """Convex hull of a group's points."""
     i, a, b = (s.to_numpy(np.int64) for s in (point_id, x, y))
@@ -60,9 +57,9 @@ def hull_agg(point_id: pd.Series, x: pd.Series, y: pd.Series) -> list:
 
 def install(spark: SparkSession, points: DataFrame | None = None, query: DataFrame | None = None) -> None:
     """Register the functions, and points and query as views, with the session."""
-    spark.udtf.register("topk_group", TopkGroup)
-    spark.udtf.register("grid_cells", GridCells)
-    spark.udf.register("hull_agg", hull_agg)
+    spark.udtf.register("topk_group", F.udtf(TopkGroup, returnType="query_id long, rank long, point_id long, x long, y long, agg_dist long"))
+    spark.udtf.register("grid_cells", F.udtf(GridCells, returnType="ci long, cj long, xlo long, xhi long, ylo long, yhi long"))
+    spark.udf.register("hull_agg", F.pandas_udf(hull_agg, "array<struct<point_id:long,x:long,y:long>>"))
     if points is not None:
         points.createOrReplaceTempView("points")
     if query is not None:
