@@ -31,5 +31,5 @@ def stage(df: DataFrame, name: str, path: str | None = None) -> DataFrame:
     """Write df and read it again: lineage ends, and recovery is a re-read."""
     spark = df.sparkSession
     path = path or new_folder(spark, name)
-    df.write.option("compression", "zstd").parquet(path)
+    df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
