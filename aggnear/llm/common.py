@@ -7,6 +7,7 @@ import shutil
 import tempfile
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -35,11 +36,15 @@ def new_folder(spark: SparkSession, name: str) -> str:
     return f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}"
 
 
-def stage(df: DataFrame, name: str, path: str | None = None) -> DataFrame:
-    """Write df as a table in the shared folder and read it again: lineage ends, recovery is a re-read."""
+def stage(df: DataFrame, name: str, path: str | None = None, codec: str | None = None) -> DataFrame:
+    """Write df as a table in the shared folder and read it again: lineage ends, recovery is a re-read.
+
+    zstd is for few large tables only: its native buffers stay with an executor that writes many files.
+    """
     spark = df.sparkSession
     path = path or new_folder(spark, name)
-    df.write.option("compression", "zstd").parquet(path)
+    w = df.write
+    (w.option("compression", codec) if codec else w).parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._staged_at = path
     return out
@@ -65,6 +70,7 @@ def slices(batches, rows: int = 128):
     for batch in batches:
         for at in range(0, batch.num_rows, rows):
             yield batch.slice(at, rows)
+        pa.default_memory_pool().release_unused()
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

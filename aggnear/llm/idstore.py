@@ -145,7 +145,7 @@ def write(docs: DataFrame, folder: str, path: str | None = None) -> None:
     """Write docs(doc_id, text) as a store into the (new, shared) folder."""
     spark = docs.sparkSession
     x = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"))
-    log = stage(x.mapInArrow(_chunk(path or default_path()), _LOG), "ids-log", f"{folder}/log")
+    log = stage(x.mapInArrow(_chunk(path or default_path()), _LOG), "ids-log", f"{folder}/log", "zstd")
     one = log.select(F.explode(F.arrays_zip("digests", "lengths", "payloads")).alias("c"))
     one = one.select(F.col("c.digests").alias("digest"), F.col("c.lengths").alias("n"), F.col("c.payloads").alias("payload"))
     one.dropDuplicates(["digest"]).write.option("compression", "zstd").parquet(f"{folder}/chunks")

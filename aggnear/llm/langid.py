@@ -19,6 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from . import tokens
 from .common import slices, table
 from .features import bucket_of, gram_counts
 
@@ -137,6 +138,7 @@ def keep_identified(docs: DataFrame, model: Model | None) -> DataFrame:
     names, kinds = docs.columns, docs.schema
 
     def run(batches):
+        tokens.forget()
         for batch in slices(batches):
             low = [_lower(t) for t in batch.column(at_text).to_pylist()]
             has = [i for i, t in enumerate(low) if t]

@@ -27,6 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from . import tokens
 from .common import drop, parallelism, positional, slices, stage, table
 from .components import components
 
@@ -68,6 +69,7 @@ def fingerprint(text: bytes | None, k: int = SHINGLE, width: int = 1) -> list[in
 
 def _fingerprints(k: int, width: int):
     def run(batches):
+        tokens.forget()
         for batch in slices(batches):
             fp = np.array([fingerprint(t, k, width) for t in batch.column(1).to_pylist()], dtype=np.uint64).reshape(-1, width).view(np.int64)
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(np.ascontiguousarray(x)) for x in fp.T)], names=["doc_id", *_words(width)])

@@ -17,7 +17,7 @@ import numpy as np
 #: The byte-level alphabet writes these bytes (as Latin-1 characters) as other letters.
 _BYTES = {b: 256 + i for i, b in enumerate([*range(33), *range(127, 161), 173])}
 #: Words remembered per worker process; once it is full, further words are encoded anew each time.
-CACHE = 600_000
+CACHE = 500_000
 #: Ids are stored in two bytes each while the vocabulary allows it.
 END = 1
 #: Words of the table of frequent words, and how many words are counted before it is made.
@@ -142,6 +142,11 @@ class Encoder:
         return out
 
 
+def forget() -> None:
+    """Give back a worker's encoders, for steps of other operators that run in the same process later."""
+    _encoders.clear()
+
+
 def encoder(path: str) -> Encoder:
     """The worker's encoder for a vocabulary file."""
     import os
