@@ -8,8 +8,8 @@ by block and dropped as soon as the best completion stays below the cap. Vectors
 share a direction are compared exactly, in double precision; a pair that shares several counts in
 the least of them only.
 
-Parameters follow the number of vectors: ``PER_VECTOR`` expected directions for each vector, and so
-many directions in all that one holds about ``PER_FILTER`` vectors of the largest label. Work and
+Parameters follow the number of vectors: ``PER_VECTOR`` expected directions for each vector in each
+of ``CODES`` independent codes, and so many directions in all that one holds about ``PER_FILTER`` vectors of the largest label. Work and
 rows moved thus grow in proportion to the input. Copies of one vector are one node with a
 multiplicity; a direction held by more than ``BLOCK`` vectors is compared in pairs of salted blocks,
 so no task gets an unbounded group and no pair of vectors becomes a row.
@@ -22,6 +22,7 @@ extra columns are not read; an empty table gives an empty result.
 
 from __future__ import annotations
 
+import math
 from statistics import NormalDist
 
 import numpy as np
@@ -33,8 +34,10 @@ from .common import parallelism, stage, table
 from .components import components
 from .topk import usable
 
-PER_VECTOR = 24
+PER_VECTOR = 13
 PER_FILTER = 48
+#: Independent codes for labels of 5000 vectors, two more for each power of ten: a pair that one code separates is rarely separated by the others.
+CODES = 3
 BLOCK = 2048
 _CAP = "label long, code long, rep long, mult long, codes binary, vec binary"
 _FOUND = pa.schema([("rep", pa.int64()), ("n", pa.int64()), ("low", pa.int64())])
@@ -58,6 +61,11 @@ class Code:
             self.books.append(w / np.linalg.norm(w, axis=0) / np.sqrt(self.blocks))
         share = min(per_vector / self.words**self.blocks, 0.5)
         self.cap = NormalDist().inv_cdf(1 - share) / np.sqrt(dim)
+        # sums of few codewords have thinner tails than the normal law: lower the cap until vectors pass as many as wanted
+        probe = rng.standard_normal((200, dim))
+        probe /= np.linalg.norm(probe, axis=1, keepdims=True)
+        while self.cap > 0 and len(self.decode(probe)[0]) < per_vector * len(probe):
+            self.cap -= 0.005
 
     def decode(self, v: np.ndarray):
         """Unit rows -> (row, direction) of all directions whose cap holds the row."""
@@ -73,8 +81,13 @@ class Code:
         return row, code
 
 
-def _decode(filters: int, per_vector: float):
-    books: dict[int, Code] = {}
+def _decode(filters: int, per_vector: float, single: bool, codes: int):
+    books: dict[int, list[Code]] = {}
+
+    def codes_of(d: int) -> list[Code]:
+        if d not in books:
+            books[d] = [Code(d, filters, per_vector, 11 + i) for i in range(codes)]
+        return books[d]
 
     def run(batches):
         for batch in batches:
@@ -83,14 +96,14 @@ def _decode(filters: int, per_vector: float):
             flat = batch.column(3).values.to_numpy(zero_copy_only=False).astype(np.float64)
             for d in np.unique(np.diff(ends)):
                 rows = np.flatnonzero(np.diff(ends) == d)
-                book = books.setdefault(int(d), Code(int(d), filters, per_vector))
                 for at in range(0, len(rows), 256):
                     own = rows[at : at + 256]
                     v = flat[ends[own][:, None] + np.arange(d)[None, :]]
-                    v = v / np.abs(v).max(axis=1, keepdims=True)
-                    v = v / np.linalg.norm(v, axis=1, keepdims=True)
-                    r, c = book.decode(v)
-                    raw = [x.tobytes() for x in v]
+                    raw = [x.tobytes() for x in (v.astype(np.float32) if single else v)]
+                    got = [(r, c + i * b.words**b.blocks) for i, b in enumerate(codes_of(int(d))) for r, c in [b.decode(_unit(v))]]
+                    r, c = (np.concatenate(x) for x in zip(*got))
+                    order = np.argsort(r, kind="stable")
+                    r, c = r[order], c[order]
                     lists = [x.astype(np.int64).tobytes() for x in np.split(c, np.cumsum(np.bincount(r, minlength=len(own)))[:-1])]
                     yield pa.RecordBatch.from_arrays(
                         [pa.array(label[own][r]), pa.array(c), pa.array(reps[own][r]), pa.array(mult[own][r]), pa.array([lists[i] for i in r], pa.binary()), pa.array([raw[i] for i in r], pa.binary())],
@@ -100,6 +113,11 @@ def _decode(filters: int, per_vector: float):
     return run
 
 
+def _unit(v: np.ndarray) -> np.ndarray:
+    v = v / np.abs(v).max(axis=1, keepdims=True)
+    return v / np.linalg.norm(v, axis=1, keepdims=True)
+
+
 def _shared_before(codes: list[np.ndarray], code: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
     """Whether rows i and j share a direction below code."""
     lower = [c[c < code] for c in codes]
@@ -122,7 +140,7 @@ def _shared_before(codes: list[np.ndarray], code: int, i: np.ndarray, j: np.ndar
     return seen
 
 
-def _compare(code, side_a, side_b, rep, mult, salt, codes, vec, least):
+def _compare(code, side_a, side_b, rep, mult, salt, codes, vec, least, kind):
     """One direction's (or block pair's) vectors -> (rep, weighted links, least linked rep)."""
     width = np.array([len(x) for x in vec])
     n, low = np.zeros(len(rep), np.int64), np.arange(len(rep))
@@ -131,8 +149,9 @@ def _compare(code, side_a, side_b, rep, mult, salt, codes, vec, least):
         at = order[width[order] == d]
         left = at if side_a == side_b else at[salt[at] == side_a]
         right = at if side_a == side_b else at[salt[at] == side_b]
-        a = np.frombuffer(b"".join(vec[x] for x in left)).reshape(len(left), -1)
-        b = np.frombuffer(b"".join(vec[x] for x in right)).reshape(len(right), -1)
+        if not len(left) or not len(right):
+            continue
+        a, b = (_unit(np.frombuffer(b"".join(vec[x] for x in side), kind).reshape(len(side), -1).astype(np.float64)) for side in (left, right))
         near = a @ b.T >= least
         if side_a == side_b:
             near = np.triu(near, 1)
@@ -158,7 +177,7 @@ def _compare(code, side_a, side_b, rep, mult, salt, codes, vec, least):
     return rep[hit], n[hit], rep[low[hit]]
 
 
-def _groups(least: float):
+def _groups(least: float, kind: str):
     names = ("label", "code", "pa", "pb")
 
     def split(batches):
@@ -178,7 +197,7 @@ def _groups(least: float):
         for t in split(batches):
             one = [t[c][0].as_py() for c in names]
             cols = [t[c].to_numpy() for c in ("rep", "mult", "salt")]
-            got = _compare(one[1], one[2], one[3], *cols, t["codes"].to_pylist(), t["vec"].to_pylist(), least)
+            got = _compare(one[1], one[2], one[3], *cols, t["codes"].to_pylist(), t["vec"].to_pylist(), least, kind)
             if len(got[0]):
                 yield pa.RecordBatch.from_arrays([pa.array(x) for x in got], schema=_FOUND)
 
@@ -195,8 +214,10 @@ def near_vectors(vectors: DataFrame, least: float = 0.93, per_vector: float = PE
     alike = stage(x.filter("live").groupBy("label", "embedding").agg(F.min("vec_id").alias("rep"), F.count("*").alias("mult")), "cap-distinct")
     largest = alike.groupBy("label").count().agg(F.max("count")).first()[0] or 0
     filters = max(64, int(per_vector * largest / PER_FILTER))
+    codes = CODES + 2 * max(0, round(math.log10(max(largest, 1) / 5000)))  # higher caps separate more pairs
+    single = vectors.schema["embedding"].dataType.elementType.typeName() == "float"
     n = parallelism(vectors.sparkSession)
-    caps = alike.select("rep", "mult", "label", "embedding").repartition(n, "rep").mapInArrow(_decode(filters, per_vector), _CAP)
+    caps = alike.select("rep", "mult", "label", "embedding").repartition(n, "rep").mapInArrow(_decode(filters, per_vector, single, codes), _CAP)
     caps = stage(caps, "cap-passes")
     big = stage(caps.groupBy("label", "code").count().filter(F.col("count") > BLOCK), "cap-large")
     parts = F.ceil(F.coalesce("count", F.lit(1)) / BLOCK).cast("int")
@@ -205,7 +226,7 @@ def near_vectors(vectors: DataFrame, least: float = 0.93, per_vector: float = PE
     pair = F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda j: F.struct(F.least("salt", j).alias("pa"), F.greatest("salt", j).alias("pb")))
     caps = caps.withColumn("pair", F.explode(pair)).select("label", "code", F.col("pair.pa").alias("pa"), F.col("pair.pb").alias("pb"), "rep", "mult", "salt", "codes", "vec")
     keys = ["label", "code", "pa", "pb"]
-    found = caps.repartition(n, *keys).sortWithinPartitions(*keys, "rep").mapInArrow(_groups(least), "rep long, n long, low long")
+    found = caps.repartition(n, *keys).sortWithinPartitions(*keys, "rep").mapInArrow(_groups(least, "<f4" if single else "<f8"), "rep long, n long, low long")
     found = stage(found, "cap-found")
     links = found.groupBy("rep").agg(F.sum("n").alias("n"))
     roots = components(found.select(F.col("rep").alias("a"), F.col("low").alias("b")))
