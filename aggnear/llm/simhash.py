@@ -270,7 +270,7 @@ def keep_one(docs: DataFrame, k: int = 5, radius: int = 24, width: int = 2) -> D
     bad = stage(gone.select(F.col("doc_id").alias("simhash_id")), "simhash-gone")
     rows, at = positional(docs)
     is_it = F.col(at["doc_id"]).cast("long") == F.col("simhash_id")
-    x = rows.join(bad, is_it, "left_anti")
+    x = rows.join(bad.hint("merge"), is_it, "left_anti")
     # ids that repeat: those that stay as the least of their group, first row by text
     stay = again.join(gone, "doc_id", "left_anti").select(F.col("doc_id").alias("simhash_id"))
     stay = stage(stay, "simhash-again")
