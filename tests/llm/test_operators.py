@@ -179,6 +179,22 @@ def test_chaining_finds_exact_and_fuzzy_passages(spark, docs, texts):
     assert sum(len(hit[i] & covered[i]) for i in hit) >= 0.99 * sum(map(len, hit.values()))
 
 
+@pytest.mark.parametrize("copies", [1, 30])
+def test_chaining_looks_beyond_first_occurrences(spark, copies):
+    rnd = random.Random(9)
+    w = lambda n: ["".join(rnd.choices("abcdefghij", k=6)) for _ in range(n)]
+    rows, want = [], set()
+    for _ in range(40 if copies == 1 else 4):
+        whole, i = w(90), len(rows)
+        # halves too short to be passages, then twice the whole
+        rows += [(i + 2 * c + h, w(30) + whole[45 * h : 45 * h + 45] + w(30)) for c in range(copies) for h in (0, 1)]
+        i = len(rows)
+        rows += [(i, w(20) + whole + w(20)), (i + 1, w(25) + whole + w(9))]
+        want.add((i + 1, i, 25, 115))
+    got = chaining.passages(spark.createDataFrame([(i, " ".join(x)) for i, x in rows], "doc_id long, text string")).collect()
+    assert {(r.doc_id, r.ref_doc_id, r.start_word, r.end_word) for r in got} == want
+
+
 def test_chains_of_scattered_anchors():
     p, q = np.array([0, 10, 12, 20, 30, 200, 210]), np.array([5, 15, 90, 25, 36, 400, 410])
     chains = chaining.chain_anchors(p, q)
