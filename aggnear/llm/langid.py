@@ -3,7 +3,7 @@
 A text becomes a unit vector of TF-IDF weights over hashed byte n-grams (orders one to three) of its
 lower-cased letters. Each language is several centroids, found by spherical k-means over a bounded
 sample of labelled texts; a text gets the language of the centroid of largest cosine, and is rejected
-if its distance to it is beyond the limit learned with the centroids.
+if its distance to it is beyond the language's limit, learned from labelled texts held out of a first fit.
 
 Defined results: a null text or one without a letter has language ``und``, score 0, and is rejected;
 with no labelled text at all everything is ``und``; texts of any length are read whole; null ids are
@@ -28,8 +28,12 @@ ORDERS = (1, 2, 3)
 #: Bounds of the training sample: texts per language, and languages.
 SAMPLE, LANGUAGES = 300, 200
 CENTROIDS = 3
-#: Distances beyond the farthest training text by this part of what is left to 1 are rejected.
-MARGIN = 0.8
+#: Distances beyond this quantile of a language's held-out texts by this part of what is left to 1 are rejected.
+QUANTILE, MARGIN = 0.99, 0.4
+#: Random letters lie beyond the limit by this, where held-out texts leave room.
+CLEAR = 0.02
+#: Languages with fewer texts take the limit of the held-out texts of all.
+ENOUGH = 20
 
 _LETTERS = np.full(256, 32, np.uint8)
 _LETTERS[97:123] = np.arange(97, 123)
@@ -56,7 +60,7 @@ class Model:
     idf: np.ndarray
     centroids: np.ndarray
     names: list[str]
-    limit: float
+    limit: np.ndarray
 
     def judge(self, texts: list[bytes]):
         """(language index of the nearest centroid, cosine) per text."""
@@ -104,13 +108,28 @@ def train(docs: DataFrame, sample: int = SAMPLE, centroids: int = CENTROIDS) ->
     tf = np.stack([np.frombuffer(g[1], "<f2").astype(np.float32) for g in got])
     idf = np.log((1 + len(tf)) / (1 + (tf > 0).sum(axis=0))).astype(np.float32) + 1
     x = _unit(tf * idf)
-    parts, names, worst, rng = [], [], 0.0, None
+    parts, names, held, rng = [], [], {}, None
     for lang in sorted(set(langs)):
         own = x[langs == lang]
         c = _cluster(own, centroids, rng)
-        worst = max(worst, float((1 - (own @ c.T).max(axis=1)).max()))
+        held[lang] = np.concatenate([1 - (own[i::2] @ _cluster(own[1 - i :: 2], centroids, rng).T).max(axis=1) for i in (0, 1)]) if len(own) > 1 else np.zeros(0)
         parts.append(c), names.extend([lang] * len(c))
-    return Model(idf, np.vstack(parts).astype(np.float32), names, worst + MARGIN * max(0.0, 1 - worst))
+    every = np.concatenate(list(held.values()))
+
+    rng = np.random.default_rng(5)
+    noise = [b" ".join(rng.integers(97, 123, n, dtype=np.uint8).tobytes() for n in rng.integers(2, 10, 300)) for _ in range(32)]
+    noise = _unit(_tf(noise) * idf)
+
+    def limit(lang, c):
+        far, beyond = held[lang], float((1 - noise @ c).min())
+        far = far if len(far) >= ENOUGH else every
+        if len(far) < ENOUGH:  # too few to learn from
+            far, margin = np.append(far, 0.0), 0.8
+            return far.max() + margin * max(0.0, 1 - far.max())
+        q = float(np.quantile(far, QUANTILE))
+        return max(q, min(q + MARGIN * max(0.0, 1 - q), beyond - CLEAR))
+
+    return Model(idf, np.vstack(parts).astype(np.float32), names, np.array([limit(*x) for x in zip(names, np.vstack(parts))]))
 
 
 def identify(docs: DataFrame, model: Model | None) -> DataFrame:
@@ -124,7 +143,7 @@ def identify(docs: DataFrame, model: Model | None) -> DataFrame:
             if has:
                 best, cos = model.judge([low[i] for i in has])
                 score[has] = np.clip(cos, 0, 1)
-                far[has] = 1 - cos > model.limit
+                far[has] = 1 - cos > model.limit[best]
                 for i, b in zip(has, best):
                     lang[i] = model.names[b]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(lang), pa.array(score), pa.array(1 - score), pa.array(far)], names=["doc_id", "lang_pred", "score", "distance", "rejected"])
@@ -144,7 +163,8 @@ def keep_identified(docs: DataFrame, model: Model | None) -> DataFrame:
             has = [i for i, t in enumerate(low) if t]
             stay = np.zeros(len(low), bool)
             if has and model:
-                stay[has] = 1 - model.judge([low[i] for i in has])[1] <= model.limit
+                best, cos = model.judge([low[i] for i in has])
+                stay[has] = 1 - cos <= model.limit[best]
             yield batch.filter(pa.array(stay))
 
     at_text = names.index("text")

@@ -233,6 +233,17 @@ def test_language_and_quality_held_out(spark):
     assert sum(r.predicted == r.quality for r in got) >= 0.93 * len(got)
 
 
+def test_language_rejects_noise_and_unlearned_languages(spark, docs):
+    model, rnd = langid.train(docs), random.Random(10)
+    finnish = "Kaikki ihmiset syntyvät vapaina ja tasavertaisina arvoltaan ja oikeuksiltaan. Heille on annettu järki ja omatunto, ja heidän on toimittava toisiaan kohtaan veljeyden hengessä. " * 3
+    letters = " ".join("".join(rnd.choices("abcdefghijklmnopqrstuvwxyz", k=rnd.randint(2, 9))) for _ in range(200))
+    base64 = "".join(rnd.choices("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/", k=900))
+    rows = [(1, finnish), (2, letters), (3, base64), (4, "x 1 22 333 " * 60)]
+    got = langid.identify(spark.createDataFrame(rows, "doc_id long, text string"), model).collect()
+    assert all(r.rejected for r in got), [(r.doc_id, r.distance) for r in got]
+    assert sum(r.rejected for r in langid.identify(docs, model).collect()) <= 0.01 * docs.count()
+
+
 def test_gram_counts():
     t = [b"", b"a", b"abcab", b"zz" * 700_000]
     got = gram_counts(t, (1, 3), 64)
