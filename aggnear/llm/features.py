@@ -7,7 +7,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 #: Bytes counted at once; longer texts are counted piece by piece.
-_PIECE = 1 << 20
+_PIECE = 1 << 18
 
 
 def gram_counts(texts: list[bytes], orders: tuple[int, ...], buckets: int, table: np.ndarray | None = None) -> np.ndarray:

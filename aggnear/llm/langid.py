@@ -7,7 +7,8 @@ if its distance to it is beyond the language's limit, learned from labelled text
 
 Defined results: a null text or one without a letter has language ``und``, score 0, and is rejected;
 with no labelled text at all everything is ``und``; texts of any length are read whole; null ids are
-not trained on and not held out; repeated rows are judged each; extra columns are not read.
+not trained on and not held out; repeated rows are judged each; of centroids that are equally near the
+first by language name wins; extra columns are not read.
 """
 
 from __future__ import annotations
@@ -93,6 +94,7 @@ def train(docs: DataFrame, sample: int = SAMPLE, centroids: int = CENTROIDS) ->
     rows = docs.join(F.broadcast(ids), "doc_id").filter("lang is not null").select("lang", "text")
 
     def run(batches):
+        tokens.forget()
         for batch in slices(batches):
             lang, text = batch.column(0).to_pylist(), [_lower(t) for t in batch.column(1).to_pylist()]
             for at in range(0, len(text), 64):
@@ -136,6 +138,7 @@ def identify(docs: DataFrame, model: Model | None) -> DataFrame:
     """docs(doc_id, text) -> doc_id, lang_pred, score, distance, rejected."""
 
     def run(batches):
+        tokens.forget()
         for batch in slices(batches):
             low = [_lower(t) for t in batch.column(1).to_pylist()]
             has = [i for i, t in enumerate(low) if t] if model else []

@@ -309,3 +309,36 @@ def test_components_of_long_paths(spark):
     edges = [(names[i], names[i + 1]) for i in range(39)] + [(names[50], names[51]), (names[55], names[55]), (None, 3)]
     got = {r.id: r.root for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
     assert got == {**{n: min(names[:40]) for n in names[:40]}, **{n: min(names[50:52]) for n in names[50:52]}}
+
+
+def test_topk_phases_hold_only_entries_over_the_threshold(spark):
+    rng = np.random.default_rng(11)
+    centre = rng.standard_normal((20, 16))
+    v = np.vstack([centre[i % 20] + 0.2 * rng.standard_normal(16) for i in range(900)] + [centre[0]] * 300)  # a hot vector
+    df = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "vec_id long, embedding array<double>").repartition(3)
+    f = np.floor(v * 1024).astype(int)
+    got, parts = topk.search(df, df.filter("vec_id % 100 = 0"), 10)
+    best = {}
+    for r in got.collect():
+        best.setdefault(r.query_id, {})[r.rank] = (r.vec_id, r.score)
+    for q in range(0, 1200, 100):
+        s = sorted((-int(f[q] @ f[j]), j) for j in range(1200) if j != q)[:10]
+        assert [best[q][n + 1] for n in range(10)] == [(j, -x) for x, j in s]
+    assert parts["nodes"].count() == 901 and parts["nodes"].selectExpr("max(size(ids))").first()[0] == 11
+    over = parts["over"].collect()
+    asked = 901 * len({r.q for r in over})
+    u = np.unique(f, axis=0)
+    tau = {r.q: r.tau for r in parts["cutoffs"].collect()}
+    assert all(t <= sorted((u @ f[q]).tolist())[-11] for q, t in tau.items())  # no cutoff is above the true one
+    assert all(r.part >= tau[r.q] / topk.LISTS - 1e-3 for r in over)
+    assert len(over) < topk.LISTS * asked / 4  # a small part of all partial scores
+    resolved = {(r.q, r.node) for r in parts["missing"].collect()}
+    sent = Counter((r.q, r.node) for r in over)
+    assert resolved == {p for p, n in sent.items() if n < topk.LISTS}
+
+
+def test_topk_of_repeated_query_ids(spark):
+    rows = [(100, [1.0, 0.0]), (100, [0.0, 1.0]), (1, [2.0, 0.0]), (2, [0.0, 3.0]), (2, [0.0, 3.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = topk.top_k(df, df.filter("vec_id = 100"), 3).orderBy("rank").collect()
+    assert [(r.vec_id, r.score) for r in got] == [(2, 3 << 20), (2, 3 << 20), (1, 0)]  # (0, 1) is the least vector
