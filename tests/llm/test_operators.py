@@ -195,10 +195,56 @@ def test_chaining_looks_beyond_first_occurrences(spark, copies):
     assert {(r.doc_id, r.ref_doc_id, r.start_word, r.end_word) for r in got} == want
 
 
+@pytest.mark.parametrize("changed, least", [(0.05, 0.99), (0.1, 0.98), (0.15, 0.9)])
+def test_chaining_recall_by_changed_words(spark, changed, least):
+    rnd = random.Random(12)
+    w = lambda n: ["".join(rnd.choices("abcdefghij", k=6)) for _ in range(n)]
+    rows = []
+    for i in range(150):
+        base = w(100)
+        other = [rnd.choice("klmnop") * 5 + str(rnd.randint(0, 999)) if rnd.random() < changed else x for x in base]
+        rows += [(2 * i, w(40) + base + w(40)), (2 * i + 1, w(55) + other + w(25))]
+    got = {(r.doc_id, r.ref_doc_id) for r in chaining.passages(spark.createDataFrame([(i, " ".join(x)) for i, x in rows], "doc_id long, text string")).collect()}
+    assert all(a == b + 1 and b % 2 == 0 for a, b in got)
+    assert len(got) >= least * 150
+
+
+def test_chaining_match_against_all_pairs():
+    """Runs cut over batches at every place give the same matches; few occurrences all, many at least their first."""
+    import pyarrow as pa
+
+    rng = np.random.default_rng(13)
+    size = [1, 2, 16, 17, 40, 3, 90, 5]
+    key = np.repeat(np.arange(len(size)), size)
+    rows = sorted((int(k), int(rng.integers(0, 2)), int(rng.integers(0, 2)), int(d), 7, 0) for d, k in enumerate(key))
+    same = 0x11111111
+    cols = [np.array(c) for c in zip(*rows)]
+    names, kinds = ["key", "after", "long", "doc_id", "pos", "before"], [pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int32(), pa.int32()]
+
+    def matches(step):
+        out = set()
+        full = [pa.array((c + same if n in ("after", "before") else c), k) for c, n, k in zip(cols, names, kinds)]
+        batches = [pa.RecordBatch.from_arrays([c[a : a + step] for c in full], names=names) for a in range(0, len(rows), step)]
+        for b in chaining._match(batches):
+            out.update(zip(b.column(0).to_pylist(), b.column(1).to_pylist()))
+        return out
+
+    got = matches(len(rows))
+    assert all(matches(step) == got for step in (1, 3, 7, 20, 50))
+    by = {}
+    for r in rows:
+        by.setdefault(r[0], []).append(r[3])
+    for k, docs in by.items():
+        if len(docs) <= chaining.MANY:
+            assert {(max(a, b), min(a, b)) for a in docs for b in docs if a != b} <= got
+        else:
+            assert all(any(d in pair for pair in got) for d in docs)
+
+
 def test_chains_of_scattered_anchors():
-    p, q = np.array([0, 10, 12, 20, 30, 200, 210]), np.array([5, 15, 90, 25, 36, 400, 410])
+    p, q = np.array([0, 10, 12, 20, 30, 500, 510]), np.array([5, 15, 290, 25, 36, 1800, 1810])
     chains = chaining.chain_anchors(p, q)
-    assert chains[0] == [0, 1, 3, 4] and chains[1] == [5, 6] and len(chains) == 2
+    assert chains == [[0, 1, 3, 4], [2], [5, 6]]  # what is left over is a chain of its own
 
 
 def test_mixing_targets_by_resharing(spark, docs):
