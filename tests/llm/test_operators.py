@@ -342,12 +342,80 @@ def test_multi_index_misses_nothing(spark, many, block):
         comp = new
     old, simhash.BLOCK = simhash.BLOCK, block
     try:
-        got = {r.id: r.root for r in simhash.link_fingerprints(spark.createDataFrame([(int(x), int(x)) for x in f.view(np.int64)], "id long, fp0 long"), 4, 1, many).collect()}
+        got = {r.id: r.root for r in simhash.link_fingerprints(spark.createDataFrame([(int(x), int(x)) for x in f.view(np.int64)], "id long, fp0 long"), 4, many).collect()}
     finally:
         simhash.BLOCK = old
     assert all(got.get(int(x), int(x)) == int(c) for x, c in zip(f.view(np.int64), comp))
 
 
+@pytest.mark.parametrize("rows", [10**5, 10**6, 10**7, 10**8, 10**9, 10**10])
+def test_wide_segments_keep_their_recall_at_every_size(rows):
+    rng = np.random.default_rng(rows)
+    plan = simhash.wide_segments(2, rows)
+    for differ, least in ((12, 0.99), (19, 0.95)):
+        a = rng.integers(0, 2**63, (2000, 2), dtype=np.uint64)
+        b = a.copy()
+        for i in range(len(b)):
+            for x in rng.choice(128, differ, replace=False):
+                b[i, x // 64] ^= np.uint64(1) << np.uint64(x % 64)
+        met = np.zeros(len(a), bool)
+        for bits, ball in plan:
+            x, y = (simhash._value(list(f.T), bits) for f in (a, b))
+            met |= np.bitwise_count(x ^ y) <= ball
+        assert met.mean() >= least, (rows, differ, met.mean(), len(plan))
+
+
+def test_near_texts_of_the_pipeline_against_all_pairs(spark):
+    rnd = random.Random(14)
+    w = lambda n: ["".join(rnd.choices("abcdefghij", k=5)) for _ in range(n)]
+    rows = []
+    for g in range(60):
+        base = w(rnd.randint(80, 300))
+        for changed in (0, 0.01, 0.02, 0.03, 0.05, 0.08):
+            rows.append([x if rnd.random() >= changed else "zz" + str(rnd.randint(0, 9999)) for x in base])
+    hub = w(200)  # many near copies of one text
+    rows += [[x if j not in (i % 190, (i * 7) % 190) else f"q{i}" for j, x in enumerate(hub)] for i in range(300)]
+    rnd.shuffle(rows)
+    texts = {i: " ".join(x) for i, x in enumerate(rows)}
+    sets = [frozenset(" ".join(x[j : j + 5]) for j in range(len(x) - 4)) for x in rows]
+    comp = list(range(len(rows)))
+    where = {}
+    for i, s in enumerate(sets):
+        for g in s:
+            where.setdefault(g, []).append(i)
+    pairs = {(a, b) for d in where.values() for a in d for b in d if a < b}
+    links = [(a, b) for a, b in pairs if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
+
+    def find(x):
+        while comp[x] != x:
+            x = comp[x]
+        return x
+
+    for a, b in links:
+        a, b = sorted((find(a), find(b)))
+        comp[b] = a
+    want = {i for i in range(len(rows)) if find(i) == i}
+    got = {r.doc_id for r in simhash.keep_one(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).collect()}
+    assert want <= got  # what is not alike to 0.8 stays
+    assert len(got - want) <= 0.02 * (len(rows) - len(want))  # near copies go
+
+
+def test_forest_is_least_and_spans():
+    rng = np.random.default_rng(15)
+    for _ in range(50):
+        n, m = int(rng.integers(2, 30)), int(rng.integers(1, 80))
+        i, j, d = rng.integers(0, n, m), rng.integers(0, n, m), rng.integers(0, 5, m)
+        i, j, d = i[i != j], j[i != j], d[i != j]
+        keep = simhash._forest(i, j, d, n)
+        comp, cost = list(range(n)), 0
+        find = lambda x: x if comp[x] == x else find(comp[x])
+        for e in np.argsort(d, kind="stable"):
+            a, b = find(i[e]), find(j[e])
+            if a != b:
+                comp[a], cost = b, cost + d[e]
+        assert d[keep].sum() == cost and len(keep) == n - len({find(x) for x in range(n)})
+
+
 def test_components_of_long_paths(spark):
     rnd = random.Random(8)
     names = list(range(60))
