@@ -1,17 +1,19 @@
 """Content-addressed store of token ids.
 
-A document's ids are cut where a rolling hash over the last ``SPAN`` ids has its low bits zero, so
+A document's ids are cut where a rolling hash over the last ``SPAN`` ids has its high bits zero, so
 equal passages are cut alike wherever they stand. Chunks are named by the SHA-256 of their bytes and
 stored once. The folder of a store holds three tables:
 
 * ``chunks``: digest, n (ids), payload (ids as little-endian unsigned 16- or 32-bit integers);
 * ``recipes``: in ascending doc_id order (nulls first), the document's chunk digests and lengths, its
   Merkle root, and its place within its part of the order;
-* ``manifest``: per part of the order, the ids of all parts before it and the Merkle root over the
-  part's documents; the store's root is that over the parts.
+* ``manifest``: per part of the order, its documents, its ids, the ids of all parts before it and the
+  Merkle root over its documents;
+* ``store``: one row, the store's root over the parts.
 
-Reading back, each stored chunk is hashed against its name, and each recipe and part against its
-root; a document's checksum is put together from its chunks' checksums (the checksum of a
+Reading back, each stored chunk is hashed against its name, each recipe against its root, each part of
+the order against the manifest and the manifest against the store's root; whatever does not match
+raises. A document's checksum is put together from its chunks' checksums (the checksum of a
 concatenation is linear in them), so no payload crosses the network; ``documents_of`` gives ids.
 
 Defined results: a null or empty text is the end id alone; repeated rows have a recipe each, ties of
@@ -112,23 +114,26 @@ def _number(batches):
 
 
 def _manifest(batches):
-    """Rows (part, n, root) sorted by part and row -> (part, n, root) per part.
+    """Rows (part, doc_id, n, root) sorted by part and row -> (part, docs, n, root) per part.
 
-    A part's root is that over its blocks of 1024 documents, so a part is never held at once.
+    A document's leaf holds its id too. A part's root is that over its blocks of 1024 documents, so a
+    part is never held at once.
     """
-    part, leaves, blocks, ids = None, [], [], 0
+    part, leaves, blocks, ids, docs = None, [], [], 0, 0
 
     def close():
-        yield pa.RecordBatch.from_arrays([pa.array([part]), pa.array([ids]), pa.array([merkle(blocks + ([merkle(leaves)] if leaves else []))], pa.binary())], names=["part", "n", "root"])
+        root = merkle(blocks + ([merkle(leaves)] if leaves else []))
+        yield pa.RecordBatch.from_arrays([pa.array([part]), pa.array([docs]), pa.array([ids]), pa.array([root], pa.binary())], names=["part", "docs", "n", "root"])
 
     for batch in batches:
-        for p, n, root in zip(*(c.to_pylist() for c in batch.columns)):
+        for p, doc, n, root in zip(*(c.to_pylist() for c in batch.columns)):
             if p != part:
                 if part is not None:
                     yield from close()
-                part, leaves, blocks, ids = p, [], [], 0
-            leaves.append(root)
+                part, leaves, blocks, ids, docs = p, [], [], 0, 0
+            leaves.append(sha256(b"\x00" + str(doc).encode() + b" " + root).digest())
             ids += n
+            docs += 1
             if len(leaves) == 1024:
                 blocks.append(merkle(leaves))
                 leaves = []
@@ -137,8 +142,14 @@ def _manifest(batches):
 
 
 def _parts(recipes: DataFrame) -> DataFrame:
-    x = recipes.select("part", "row", "n", "root").repartition(parallelism(recipes.sparkSession), "part").sortWithinPartitions("part", "row")
-    return x.select("part", "n", "root").mapInArrow(_manifest, "part long, n long, root binary")
+    x = recipes.select("part", "row", "doc_id", "n", "root").repartition(parallelism(recipes.sparkSession), "part").sortWithinPartitions("part", "row")
+    return x.select("part", "doc_id", "n", "root").mapInArrow(_manifest, "part long, docs long, n long, root binary")
+
+
+def _store_root(manifest: DataFrame) -> bytes:
+    """Root over the parts in order; a row per part comes to the driver, as many as the store was written in."""
+    rows = sorted((r.part, r.docs, r.n, r.base, bytes(r.root)) for r in manifest.select("part", "docs", "n", "base", "root").collect())
+    return merkle([sha256(b"\x02" + repr(r[:4]).encode() + r[4]).digest() for r in rows])
 
 
 def write(docs: DataFrame, folder: str, path: str | None = None) -> None:
@@ -154,7 +165,8 @@ def write(docs: DataFrame, folder: str, path: str | None = None) -> None:
     recipes = stage(order.mapInArrow(_number, kinds), "ids-recipes", f"{folder}/recipes")
     drop(log)
     earlier = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # one row per part of the order
-    _parts(recipes).withColumn("base", F.coalesce(F.sum("n").over(earlier), F.lit(0))).write.parquet(f"{folder}/manifest")
+    manifest = stage(_parts(recipes).withColumn("base", F.coalesce(F.sum("n").over(earlier), F.lit(0))), "ids-manifest", f"{folder}/manifest")
+    spark.createDataFrame([(bytearray(_store_root(manifest)),)], "root binary").write.parquet(f"{folder}/store")
 
 
 def _append_zeros() -> list[np.ndarray]:
@@ -231,15 +243,27 @@ def read(spark: SparkSession, folder: str) -> DataFrame:
     chunks = spark.read.parquet(f"{folder}/chunks").select("digest", "n", "payload").mapInArrow(_check_chunks, "digest binary, crc long")
     x = uses.join(chunks, "digest", "left").select("after", F.col("crc"), *_KEYS).mapInArrow(_shift, "crc long, " + ", ".join(f"{k} long" for k in _KEYS))
     x = x.groupBy(*_KEYS).agg(F.bit_xor("crc").alias("ids_crc32"))
-    base = spark.read.parquet(f"{folder}/manifest").select("part", "base")
-    return x.join(base, "part").select("doc_id", (F.col("base") + F.col("before")).alias("start"), F.col("n").alias("n_tokens"), "ids_crc32")
+    return x.join(_checked_manifest(spark, folder), "part").select("doc_id", (F.col("base") + F.col("before")).alias("start"), F.col("n").alias("n_tokens"), "ids_crc32")
+
+
+def _checked_manifest(spark: SparkSession, folder: str) -> DataFrame:
+    """(part, base) of a manifest that is held against the store's root now, and against the recipes when it is read."""
+    theirs = spark.read.parquet(f"{folder}/manifest")
+    if [bytes(r.root) for r in spark.read.parquet(f"{folder}/store").collect()] != [_store_root(theirs)]:
+        raise ValueError("the manifest does not match the store's root")
+    mine = _parts(spark.read.parquet(f"{folder}/recipes")).select("part", F.struct("docs", "n", "root").alias("mine"))
+    both = theirs.select("part", "base", F.struct("docs", "n", "root").alias("theirs")).join(mine, "part", "full")
+    bad = F.raise_error(F.lit("the recipes do not match the manifest"))
+    return both.select("part", F.when(F.col("mine").eqNullSafe(F.col("theirs")), F.col("base")).otherwise(bad.cast("long")).alias("base"))
 
 
 def verify(spark: SparkSession, folder: str) -> bool:
-    """Whether the manifest's parts are what the recipes give."""
-    mine = _parts(spark.read.parquet(f"{folder}/recipes"))
-    theirs = spark.read.parquet(f"{folder}/manifest").select("part", "n", "root")
-    return mine.exceptAll(theirs).isEmpty() and theirs.exceptAll(mine).isEmpty()
+    """Whether everything that is stored matches its hash."""
+    try:
+        read(spark, folder).write.format("noop").mode("overwrite").save()
+    except Exception:  # noqa: BLE001  raised in workers, each kind under a name of its own
+        return False
+    return True
 
 
 def documents_of(spark: SparkSession, folder: str, doc_ids: DataFrame) -> DataFrame:
@@ -255,7 +279,7 @@ def documents_of(spark: SparkSession, folder: str, doc_ids: DataFrame) -> DataFr
             yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(ids, pa.list_(pa.int32()))], names=["doc_id", "part", "before", "ids"])
 
     x = x.select("doc_id", "part", "before", "parts").mapInArrow(run, "doc_id long, part long, before long, ids array<int>")
-    return x.join(spark.read.parquet(f"{folder}/manifest").select("part", "base"), "part").select("doc_id", (F.col("base") + F.col("before")).alias("start"), "ids")
+    return x.join(_checked_manifest(spark, folder), "part").select("doc_id", (F.col("base") + F.col("before")).alias("start"), "ids")
 
 
 def op1_idstore(spark, sf_dir: str) -> DataFrame:

@@ -23,6 +23,8 @@ END = 1
 #: Words of the table of frequent words, and how many words are counted before it is made.
 HOT, HOT_AFTER = 20_000, 400_000
 _SEPARATOR = "~"
+#: Marks that never begin a token with letters (an apostrophe can), cut off the end of words of letters.
+_MARKS = b",.!?;:*#$%&"
 
 _encoders: dict[str, "Encoder"] = {}
 
@@ -41,6 +43,11 @@ class _Known(dict):
         return slot
 
 
+def _stays_letters(t: str) -> bool:
+    """Whether a word is nothing but letters of alphabets whose lower case is letters again."""
+    return t.isalpha() and max(t) < "\u0250" and t.lower().isalpha()
+
+
 class Encoder:
     def __init__(self, path: str):
         from tokenizers import Tokenizer
@@ -53,7 +60,7 @@ class Encoder:
         self.model = self.tokenizer.model
         alone = self._plain(_SEPARATOR)
         self.separator = int(alone[0]) if len(alone) == 1 else None
-        self.marks = {c: self._plain(c.decode()).tobytes() for c in (b",", b".")}
+        self.marks: dict[bytes, bytes] = {}
         probe = ["hello", "straße", "école", "niño", "x", "Hello", "a,", "~"]
         apart = np.concatenate([self._plain(w) for w in probe])
         folded = np.concatenate([self._plain(w) for w in ("hello", "straße", "école", "niño", "x", "hello", "a", ",", "~")])
@@ -73,25 +80,27 @@ class Encoder:
         return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, self.kind)
 
     def _letters(self, word: bytes) -> bytes:
-        return array(self.code, [t.id for t in self.model.tokenize(word.decode("latin-1").translate(_BYTES))]).tobytes()
+        text = word.decode() if word.isascii() else word.decode("latin-1").translate(_BYTES)
+        return array(self.code, [t.id for t in self.model.tokenize(text)]).tobytes()
 
     def _encode_new(self, words: list[bytes]) -> dict[bytes, bytes]:
-        """Ids of words not known; a comma or full stop after a letter is a token of its own."""
+        """Ids of words not known; a run of marks after letters is a token stretch of its own."""
         known, out, marked, joined, fast, letters = self.known, {}, [], [], self.fast, self._letters
         for w in words:
-            if w[-1] in b".," and len(w) > 1 and 97 <= w[-2] <= 122:
-                marked.append(w)
-                w = w[:-1]
-                if w in known:
+            core = w.rstrip(_MARKS) if w[-1] in _MARKS else w
+            if fast and core is not w and core and (core.isalpha() or (core[-1] > 127 and _stays_letters(core.decode()))):
+                marked.append((w, core))
+                if core in known or core in out:
                     continue
-            if w in out:
-                continue
+                w = core
             if fast and w.isalpha():
                 out[w] = letters(w) if w.islower() else self._plain(w.decode()).tobytes()
                 continue
+            if w in out:
+                continue
             t = w.decode()
-            if fast and t.isalpha() and max(t) < "\u0250" and (low := t.lower()).isalpha():
-                out[w] = letters(low.encode())
+            if fast and _stays_letters(t):
+                out[w] = letters(t.lower().encode())
             elif _SEPARATOR in t:
                 out[w] = self._plain(t).tobytes()
             else:
@@ -105,9 +114,13 @@ class Encoder:
             for w, end in zip(part, [*np.flatnonzero(ids == self.separator).tolist(), len(ids)]):
                 out[w] = raw[first * size : end * size]
                 first = end + 1
-        for w in marked:
-            core = w[:-1]
-            out[w] = (known[core] if core in known else out[core]) + self.marks[w[-1:]]
+        for w, core in marked:
+            mark = w[len(core) :]
+            if mark not in self.marks:
+                if len(self.marks) > 10_000:
+                    self.marks.clear()
+                self.marks[mark] = self._plain(mark.decode()).tobytes()
+            out[w] = (out[core] if core in out else known[core]) + self.marks[mark]
         return out
 
     def ids(self, texts: list[bytes | None]) -> list[np.ndarray]:

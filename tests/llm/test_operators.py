@@ -61,6 +61,37 @@ def test_idstore_round_trip(spark, docs, ids):
     assert spark.read.parquet(f"{folder}/recipes").select(F.sum(F.size("digests"))).first()[0] > chunks.count()  # copies are stored once
 
 
+@pytest.mark.parametrize("what", ["chunk", "recipe", "recipe order", "recipe gone", "document id", "manifest", "store", "nothing"])
+def test_idstore_finds_damage(spark, docs, what):
+    folder = new_folder(spark, "t")
+    idstore.write(docs.limit(60), folder)
+
+    def put(name, change):
+        x = spark.createDataFrame(change([r.asDict() for r in spark.read.parquet(f"{folder}/{name}").collect()]), spark.read.parquet(f"{folder}/{name}").schema)
+        x.write.mode("overwrite").parquet(f"{folder}/{name}2")
+        spark.read.parquet(f"{folder}/{name}2").write.mode("overwrite").parquet(f"{folder}/{name}")
+
+    def first(rows, **new):
+        rows[0].update(new)
+        return rows
+
+    if what == "chunk":
+        put("chunks", lambda r: first(r, payload=bytes([r[0]["payload"][0] ^ 1]) + bytes(r[0]["payload"][1:])))
+    elif what == "recipe":
+        put("recipes", lambda r: first(r, digests=[r[1]["digests"][0], *r[0]["digests"][1:]]))
+    elif what == "recipe order":
+        put("recipes", lambda r: [*first(r, row=r[1]["row"] + 1)[:1], *r[1:]])
+    elif what == "recipe gone":
+        put("recipes", lambda r: r[1:])
+    elif what == "document id":
+        put("recipes", lambda r: first(r, doc_id=10**9))
+    elif what == "manifest":
+        put("manifest", lambda r: first(r, base=r[0]["base"] + 1))
+    elif what == "store":
+        put("store", lambda r: first(r, root=b"x" * 32))
+    assert idstore.verify(spark, folder) == (what == "nothing")
+
+
 def test_checksums_of_parts():
     rnd = random.Random(1)
     for _ in range(50):
