@@ -2,9 +2,10 @@
 
 Each source gets a target number of words: a weighted share of the wanted total, never above
 ``max_copies`` times what the source holds, what is cut off going to the others by weight. A
-document of a source is expected ``target / source size`` times (times its own relative weight, if
-a weight column is given): the whole part of that is allocated with certainty, the fraction is its
-inclusion probability ``p`` in an ordered sample. Documents are ranked by ``(u/(1-u)) / (p/(1-p))``
+document is expected in proportion to its own weight (``odds``: one for all, the number of binary
+digits of its size, or a column), but at most ``max_copies`` times; the rate is the one at which the
+source's expected words are its target. The whole part of that is allocated with certainty, the
+fraction is its inclusion probability ``p`` in an ordered sample. Documents are ranked by ``(u/(1-u)) / (p/(1-p))``
 with ``u`` a hash of the id, and the sample is the longest start of that order that stays within the
 words still wanted, closed by the one document further down whose size comes nearest to what is then
 short (if any brings the sum nearer). Nothing is sorted globally: a histogram of the rank finds the one rank bucket in
@@ -71,14 +72,34 @@ def _copies(e: Column) -> tuple[Column, Column]:
     return whole, F.greatest(e - whole, F.lit(0.0))
 
 
+def rates(rows: DataFrame, goal: DataFrame, max_copies: int = 2) -> DataFrame:
+    """goal(source, source_size, target) plus rate: expected copies per unit of weight, null where all documents are at the most.
+
+    Water level within a source: its distinct weights from the largest down are at max_copies before
+    the first whose rate stays below that. The windows run over the distinct weights of a source.
+    """
+    levels = rows.groupBy("source", "g").agg(F.sum("size").alias("s")).alias("v").join(goal.alias("t"), F.col("v.source").eqNullSafe(F.col("t.source")))
+    order = Window.partitionBy("v.source").orderBy(F.col("g").desc())
+    before, after = order.rowsBetween(Window.unboundedPreceding, -1), order.rowsBetween(0, Window.unboundedFollowing)
+    left = F.col("target") - max_copies * F.coalesce(F.sum("s").over(before), F.lit(0))
+    x = levels.select("v.source", "g", F.try_divide(left, F.sum(F.col("g") * F.col("s")).over(after)).alias("rate"))
+    x = x.groupBy("source").agg(F.max(F.when(F.col("rate") * F.col("g") <= max_copies, F.col("rate"))).alias("rate"))
+    return goal.alias("t").join(x.alias("x"), F.col("t.source").eqNullSafe(F.col("x.source"))).select("t.*", "rate")
+
+
+def _expected(rate: Column, g: Column, source_size: Column, max_copies: int) -> Column:
+    most = F.lit(float(max_copies))
+    return F.when((source_size > 0) & (g > 0), F.least(F.coalesce(rate * g, most), most)).otherwise(F.lit(0.0))
+
+
 def cuts(rows: DataFrame, goal: DataFrame, seed: int, max_copies: int = 2) -> DataFrame:
     """The plan per source: expected copies per unit of weight and the last rank that is taken.
 
-    rows: doc_id, source, size, g (relative weight). goal: source, source_size, target, g_size.
+    rows: doc_id, source, size, g (relative weight). goal: source, source_size, target, rate.
     """
     same = rows.groupBy("source", "doc_id", "size", "g").agg(F.count("*").alias("rows"))
     x = same.alias("r").join(goal.alias("t"), F.col("r.source").eqNullSafe(F.col("t.source")))
-    e = F.least(F.coalesce(F.col("target") / F.col("g_size"), F.lit(0.0)) * F.col("g"), F.lit(float(max_copies)))
+    e = _expected(F.col("rate"), F.col("g"), F.col("source_size"), max_copies)
     whole, p = _copies(e)
     x = x.select("r.source", "doc_id", "size", (F.col("size") * F.col("rows")).alias("words"), "target", "source_size", whole.alias("whole"), _rank(uniform(F.col("doc_id"), seed), p).alias("q"), (p > 0).alias("open"))
     x = stage(x.withColumn("bucket", _bucket(F.col("q"), F.col("target"), F.col("source_size"))), "mix-ranks")
@@ -111,27 +132,39 @@ def cuts(rows: DataFrame, goal: DataFrame, seed: int, max_copies: int = 2) -> Da
         F.col("t.source").alias("mix_source"),
         "source_size",
         "target",
-        F.coalesce(F.col("target") / F.col("g_size"), F.lit(0.0)).alias("mix_rate"),
+        F.col("rate").alias("mix_rate"),
         F.col("edge.bucket").alias("mix_bucket"),
         F.col("cut").alias("mix_cut"),
         F.col("c.key").alias("mix_closing"),
     )
 
 
-def mix(docs: DataFrame, *, cycle=(3, 1, 2), share: float = 1.5, max_copies: int = 2, seed: int = 7, weight: str | None = None) -> DataFrame:
-    """docs plus mix_size, mix_source_size, mix_target and mix_copies (how often the mix takes the row)."""
-    g = F.coalesce(F.col(weight).cast("double"), F.lit(0.0)) if weight else F.lit(1.0)
-    rows = stage(docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), g.alias("g")), "mix-sizes")
-    sums = rows.groupBy("source").agg(F.sum("size").alias("source_size"), F.sum(F.col("g") * F.col("size")).alias("g_size"))
-    sums = stage(sums, "mix-sources").alias("s")
-    goal = targets(sums.select("source", "source_size"), cycle, share, max_copies).alias("t")
-    goal = goal.join(sums, F.col("t.source").eqNullSafe(F.col("s.source"))).select("t.source", "t.source_size", "t.target", F.expr("nullif(s.g_size, 0)").alias("g_size"))
-    plan = stage(cuts(rows, stage(goal, "mix-goal"), seed, max_copies), "mix-plan")
+def _weight(odds: str | None, size: Column, at=lambda c: c) -> Column:
+    if odds is None:
+        return F.lit(1.0)
+    if odds == "size":
+        return F.length(F.bin(size + 1)).cast("double")
+    return F.greatest(F.coalesce(F.col(at(odds)).cast("double"), F.lit(0.0)), F.lit(0.0))
+
+
+def mix(docs: DataFrame, *, cycle=(3, 1, 2), share: float = 1.5, max_copies: int = 2, seed: int = 7, odds: str | None = None) -> DataFrame:
+    """docs plus mix_size, mix_source_size, mix_target and mix_copies (how often the mix takes the row).
+
+    odds: None (all documents of a source alike), ``"size"`` (in proportion to the binary digits of the
+    size plus one, so the middle of a long scale stands closer to its ends), or the name of a column
+    of weights, null and negative ones counting as 0; it should have few distinct values.
+    """
+    size = word_count(F.col("text"))
+    rows = docs.select("doc_id", "source", size.alias("size"), *([F.col(odds)] if odds and odds != "size" else []))
+    rows = stage(rows.select("doc_id", "source", "size", _weight(odds, F.col("size")).alias("g")), "mix-sizes")
+    sums = stage(rows.groupBy("source").agg(F.sum("size").alias("source_size")), "mix-sources")
+    goal = targets(sums, cycle, share, max_copies).select("source", "source_size", "target")
+    plan = stage(cuts(rows, stage(rates(rows, goal, max_copies), "mix-goal"), seed, max_copies), "mix-plan")
     named, at = positional(docs)
-    g = F.coalesce(F.col(at[weight]).cast("double"), F.lit(0.0)) if weight else F.lit(1.0)
-    x = named.withColumn("mix_size", word_count(F.col(at["text"]))).withColumn("mix_g", g).join(plan, F.col(at["source"]).eqNullSafe(F.col("mix_source")))
+    x = named.withColumn("mix_size", word_count(F.col(at["text"]))).withColumn("mix_g", _weight(odds, F.col("mix_size"), at.get))
+    x = x.join(plan, F.col(at["source"]).eqNullSafe(F.col("mix_source")))
     doc_id = F.col(at["doc_id"])
-    whole, p = _copies(F.least(F.col("mix_rate") * F.col("mix_g"), F.lit(float(max_copies))))
+    whole, p = _copies(_expected(F.col("mix_rate"), F.col("mix_g"), F.col("source_size"), max_copies))
     q = _rank(uniform(doc_id, seed), p)
     bucket = _bucket(q, F.col("target"), F.col("source_size"))
     key = F.struct(q.alias("q"), doc_id.alias("id"), F.col("mix_size").alias("size"))
@@ -148,14 +181,15 @@ MIXED = ("mix_size", "mix_source_size", "mix_target", "mix_copies")
 
 def repeated(docs: DataFrame, **options) -> DataFrame:
     """The mix itself: each row of docs as often as it is taken, columns as they are."""
-    x = mix(docs.toDF(*[c if c in ("doc_id", "source", "text") else f"m{i}" for i, c in enumerate(docs.columns)]), **options)
+    mine = ("doc_id", "source", "text", options.get("odds"))
+    x = mix(docs.toDF(*[c if c in mine else f"m{i}" for i, c in enumerate(docs.columns)]), **options)
     x = x.filter("mix_copies > 0").withColumn("mix_copy", F.explode(F.sequence(F.lit(1), F.col("mix_copies"))))
     return x.drop(*MIXED, "mix_copy").toDF(*docs.columns)
 
 
 def op6_mix(spark, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "source", "text")
-    x = mix(docs)
+    x = mix(docs, odds="size")
     return x.select(
         "doc_id",
         F.col("mix_size").alias("size"),
@@ -167,10 +201,11 @@ def op6_mix(spark, sf_dir: str) -> DataFrame:
 
 
 SQL = r"""
-WITH d AS (
+WITH d0 AS (
   SELECT doc_id, source, coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0)::BIGINT AS size,
          (('0x' || substr(md5('7:' || coalesce(doc_id::VARCHAR, 'null')), 1, 13))::BIGINT + 0.5::DOUBLE) / 4503599627370496::DOUBLE AS u
   FROM documents),
+d AS (SELECT *, length(bin(size + 1))::DOUBLE AS g FROM d0),
 s AS (SELECT source, sum(size)::BIGINT AS source_size FROM d GROUP BY source),
 w AS (SELECT *, [3.0, 1.0, 2.0][(row_number() OVER (ORDER BY source ASC NULLS LAST) - 1) % 3 + 1]::DOUBLE AS weight,
              (source_size * 2)::DOUBLE AS cap FROM s),
@@ -179,8 +214,13 @@ l AS (SELECT *, (sum(source_size) OVER () * 1.5::DOUBLE
               / sum(weight) OVER (ORDER BY cap / weight, source ASC NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM w),
 m AS (SELECT *, max(CASE WHEN level * weight <= cap THEN level END) OVER () AS flat FROM l),
 t AS (SELECT source, source_size, least(cap, coalesce(flat * weight, cap)) AS target FROM m),
-e AS (SELECT d.*, t.source_size, t.target, least(coalesce(t.target / nullif(t.source_size, 0), 0), 2.0::DOUBLE) AS e
-      FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
+v AS (SELECT source, g, sum(size)::BIGINT AS s FROM d GROUP BY source, g),
+r AS (SELECT v.source, g, (target - 2 * coalesce(sum(s) OVER (PARTITION BY v.source ORDER BY g DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))
+             / nullif(sum(g * s) OVER (PARTITION BY v.source ORDER BY g DESC ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING), 0) AS rate
+      FROM v JOIN t ON v.source IS NOT DISTINCT FROM t.source),
+y AS (SELECT source, max(rate) FILTER (rate * g <= 2) AS rate FROM r GROUP BY source),
+e AS (SELECT d.*, t.source_size, t.target, CASE WHEN t.source_size > 0 THEN least(coalesce(rate * g, 2.0::DOUBLE), 2.0::DOUBLE) ELSE 0 END AS e
+      FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source JOIN y ON d.source IS NOT DISTINCT FROM y.source),
 f AS (SELECT *, floor(e + 1e-12)::BIGINT AS whole, greatest(e - floor(e + 1e-12), 0) AS p0 FROM e),
 q AS (SELECT *, (u / (1 - u)) / (greatest(least(p0, 1 - 1e-12), 1e-12) / (1 - greatest(least(p0, 1 - 1e-12), 1e-12))) AS q FROM f),
 c AS (SELECT *, target - sum(whole * size) OVER (PARTITION BY source) AS wanted,

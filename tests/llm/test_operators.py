@@ -303,6 +303,31 @@ def test_mixing_targets_by_resharing(spark, docs):
     assert sorted(map(tuple, got)) == sorted(map(tuple, mixing.mix(docs.select("doc_id", "source", "text")).collect()))
 
 
+def test_mixing_odds_by_size(spark):
+    """Over many seeds a document is taken as often as its odds say, no source misses its target by more than a document."""
+    rnd = random.Random(17)
+    rows = [(i, rnd.choice("ab"), " ".join(["w"] * rnd.choice([3, 20, 100]))) for i in range(400)]
+    df = spark.createDataFrame(rows, "doc_id long, source string, text string").cache()
+    seeds, copies = 12, Counter()
+    for seed in range(seeds):
+        got = mixing.mix(df, cycle=(1, 1), share=0.7, seed=seed, odds="size").collect()
+        taken, target = Counter(), {}
+        for r in got:
+            copies[r.source, r.mix_size] += r.mix_copies
+            taken[r.source] += r.mix_copies * r.mix_size
+            target[r.source] = r.mix_target
+        assert all(abs(taken[s] - target[s]) <= 100 for s in target)
+    many = Counter((s, len(t.split())) for _, s, t in rows)
+    for s in "ab":
+        g = {x: (x + 1).bit_length() for x in (3, 20, 100)}
+        rate = target[s] / sum(g[x] * x * many[s, x] for x in g)
+        for x in g:
+            want = min(2, rate * g[x])
+            assert abs(copies[s, x] / seeds / many[s, x] - want) < 0.12, (s, x, want)
+    w = mixing.mix(df.withColumn("w", F.col("doc_id") % 3), share=0.5, cycle=(1, 1), odds="w").collect()
+    assert all(r.mix_copies == 0 for r in w if r.doc_id % 3 == 0) and any(r.mix_copies == 2 or r.mix_copies == 1 for r in w)
+
+
 def test_language_and_quality_held_out(spark):
     got = langid.op7_langid(spark, D).join(spark.read.parquet(f"{D}/documents.parquet").select("doc_id", "lang"), "doc_id").filter("held_out").collect()
     assert sum(r.lang == r.lang_pred for r in got) >= 0.98 * len(got) and not any(r.rejected for r in got)
