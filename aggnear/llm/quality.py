@@ -11,7 +11,8 @@ calibrated probability. Word vectors and network are fitted on a bounded sample
 Defined results: null and empty texts are scored like a text without words; without labels of both
 kinds the score is the share of label 1 (0.5 without any); a doc_id with several labels counts as its
 least; labels other than 0 and 1 are not learned from; null ids are not learned from and not held
-out; extra columns are not read.
+out; rows that repeat an id are learned from and scored each; the order of equal scores means
+nothing; extra columns are not read.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices, table
+from .common import parallelism, slices, stage, table
 from .features import bucket_of, first_by_hash, gram_counts
 
 #: Most labelled texts that the model is fitted on.
@@ -148,7 +149,7 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model:
     given = labels.filter("quality in (0, 1) and doc_id is not null").groupBy("doc_id").agg(F.min("quality").alias("quality"))
     given = first_by_hash(given, sample)
     rows = docs.select("doc_id", F.col("text").cast("binary").alias("text")).join(F.broadcast(given), "doc_id")  # at most `sample` rows
-    few = rows.repartition(4)  # the sample is bounded, so is the number of sums that come back
+    few = stage(rows.coalesce(max(1, min(16, parallelism(docs.sparkSession)))), "quality-sample")  # a bounded sample in few files, so few sums come back
     sums = few.select("text").mapInArrow(_neighbours, "sums binary").collect()
     vectors = sum((np.frombuffer(bytes(r.sums), "<f8").reshape(WORDS, DIM) for r in sums), np.zeros((WORDS, DIM)))
     vectors = (vectors / np.maximum(np.linalg.norm(vectors, axis=1, keepdims=True), 1e-9)).astype(np.float32)
