@@ -53,6 +53,13 @@ class Frame:
         return Axis.of(u, group.w), Axis.of(v, group.w)
 
 
+def narrowed(c: np.ndarray, lines: np.ndarray, flat: tuple[int, int]) -> tuple[np.ndarray, np.ndarray]:
+    """Coordinates and lines with the stretch ``flat`` taken out: what lies on it falls together."""
+    lo, hi = flat
+    put = lambda x: np.where(x <= lo, x, np.maximum(x - (hi - lo), lo))
+    return put(c), np.unique(put(lines))
+
+
 def minimal(u: np.ndarray, v: np.ndarray) -> np.ndarray:
     """Mask of the points that no other dominates."""
     n = len(u)

@@ -100,6 +100,11 @@ class Axis:
     def anchor(self) -> int:
         return int(self.v[np.searchsorted(2 * self.cw[1:], self.cw[-1])])
 
+    @property
+    def flat(self) -> tuple[int, int]:
+        """The interval of all minimisers."""
+        return self.anchor, int(self.v[np.searchsorted(2 * self.cw[1:], self.cw[-1], "right")])
+
 
 @dataclass(frozen=True)
 class Group:

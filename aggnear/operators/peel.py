@@ -5,7 +5,8 @@ four quadrants, are one code. The state of a round is the ordered list of cells
 vertices, each with its leftmost vertex (entry), lowest vertex (floor) and the probes that found
 them. Taking a point off repairs the list from the probes that had produced it: three routines do
 that, ``_probe``, ``_climb`` (upwards in a column to a given cell) and ``_towards`` (rightwards from
-a hit to a given cell). Cells once found stay with their candidates for the rest of the query, so a
+a hit to a given cell). Probes and removals go through search trees, a cell's best point through the
+hulls of stretches of its points. Cells once found stay with their candidates for the rest of the query, so a
 cell that leaves the frontier and comes back is never searched twice; the points answered in a cell
 cut it into shards.
 """
@@ -20,6 +21,7 @@ import pandas as pd
 
 from ..functions import plane_geometry as G
 from ..functions.profile import Group
+from ..functions.subhulls import SubHulls
 from ..model import sign_of
 
 COL_ENTRY, COL_FLOOR, ROW_ENTRY, ROW_FLOOR = "COL_ENTRY", "COL_FLOOR", "ROW_ENTRY", "ROW_FLOOR"
@@ -34,9 +36,54 @@ class Cell:
     floor_by: tuple = ()
 
 
+class FirstBelow:
+    """A minimum tree over values in a fixed order: the first place in a range with a value below a limit, values can go.
+
+    Two of these are the dynamic segment-dragging structure: a query or a removal costs O(lg n).
+    """
+
+    def __init__(self, values: np.ndarray):
+        self.size = 1 << max(0, (len(values) - 1).bit_length())
+        self.low = np.full(2 * self.size, _INF, np.int64)
+        self.low[self.size : self.size + len(values)] = values
+        at = self.size
+        while at > 1:
+            self.low[at // 2 : at] = np.minimum(self.low[at : 2 * at : 2], self.low[at + 1 : 2 * at : 2])
+            at //= 2
+        self.low = self.low.tolist()
+        self.steps = 0
+
+    def remove(self, i: int) -> None:
+        low, i = self.low, i + self.size
+        low[i] = _INF
+        while i > 1:
+            i //= 2
+            low[i] = min(low[2 * i], low[2 * i + 1])
+
+    def first(self, a: int, b: int, limit: int) -> int:
+        """Least i in [a, b) with value < limit, -1 for none."""
+        low, i, n = self.low, a + self.size, self.size
+        if a >= b:
+            return -1
+        while True:  # to the right end of ever larger blocks until one holds such a value
+            self.steps += 1
+            if low[i] < limit:
+                break
+            while i & 1:
+                i //= 2
+            if i == 0:
+                return -1
+            i += 1
+        while i < n:
+            self.steps += 1
+            i *= 2
+            i += low[i] >= limit
+        return i - n if i - n < b else -1
+
+
 @dataclass
 class Quadrant:
-    """Points of one quadrant with a mask of those still there, and the grid lines."""
+    """Points of one quadrant, those taken off gone from its search trees, and the grid lines."""
 
     u: np.ndarray
     v: np.ndarray
@@ -52,6 +99,24 @@ class Quadrant:
         self.live = np.ones(len(self.u), bool)
         self.ci = np.searchsorted(self.lines_u, self.u, "right")
         self.cj = np.searchsorted(self.lines_v, self.v, "right")
+        u, v, ids, ci, cj = self.u, self.v, self.ids, self.ci, self.cj
+        zero = np.zeros(len(u), np.int64)
+        # rightwards over all columns (limit on v); upwards in a column (limit on u); rightwards in a cell
+        orders = [(np.lexsort((ids, v, u)), v), (np.lexsort((ids, u, v, ci)), u), (np.lexsort((ids, v, u, cj, ci)), zero)]
+        self.order_of, self.place, self.trees = [], [], []
+        for order, limit in orders:
+            place = np.empty(len(order), np.int64)
+            place[order] = np.arange(len(order))
+            self.order_of.append(order.tolist()), self.place.append(place.tolist()), self.trees.append(FirstBelow(limit[order]))
+        self.col_start = np.searchsorted(ci[orders[0][0]], np.arange(len(self.lines_u) + 2)).tolist()
+        self.wide = len(self.lines_v) + 2
+        self.row_key = (ci * self.wide + cj)[orders[1][0]]  # ascending, as v goes up with the row
+        self.cell_key = (ci * self.wide + cj)[orders[2][0]]
+
+    def remove(self, p: int) -> None:
+        self.live[p] = False
+        for place, tree in zip(self.place, self.trees):
+            tree.remove(place[p])
 
     def cell(self, p: int) -> tuple[int, int]:
         return int(self.ci[p]), int(self.cj[p])
@@ -64,21 +129,20 @@ class Quadrant:
 
     def _probe(self, by: tuple) -> int:
         """The point a segment meets first, -1 for none. by: (kind, arguments)."""
-        kind = by[0]
+        kind, n = by[0], len(self.u)
         self.probes[kind] += 1
+        span = lambda keys, a, b: np.searchsorted(keys, (a, b)).tolist()
         if kind == COL_ENTRY:  # from the left edge of a column on, below a height
-            at = self.live & (self.ci >= by[1]) & (self.v < by[2])
+            tree, (a, b), limit = 0, (self.col_start[min(by[1], len(self.col_start) - 1)], n), by[2]
         elif kind == COL_FLOOR:  # upwards in a column
-            at = self.live & (self.ci == by[1])
+            tree, (a, b), limit = 1, span(self.row_key, by[1] * self.wide, (by[1] + 1) * self.wide), _INF
         elif kind == ROW_ENTRY:  # rightwards in a cell
-            at = self.live & (self.ci == by[1]) & (self.cj == by[2])
+            key = by[1] * self.wide + by[2]
+            tree, (a, b), limit = 2, span(self.cell_key, key, key + 1), 1
         else:  # upwards from the top of a cell, left of its entry
-            at = self.live & (self.ci == by[1]) & (self.cj > by[2]) & (self.u < by[3])
-        at = np.flatnonzero(at)
-        if not len(at):
-            return -1
-        first, second = (self.u, self.v) if kind in (COL_ENTRY, ROW_ENTRY) else (self.v, self.u)
-        return int(at[np.lexsort((self.ids[at], second[at], first[at]))[0]])
+            tree, (a, b), limit = 1, span(self.row_key, by[1] * self.wide + by[2] + 1, (by[1] + 1) * self.wide), by[3]
+        hit = self.trees[tree].first(a, b, limit)
+        return self.order_of[tree][hit] if hit >= 0 else -1
 
     # The three routines -------------------------------------------------------------------------
 
@@ -141,7 +205,7 @@ class Quadrant:
         """Take the point off and repair the cells; returns the cells that are new in this round."""
         before = set(self.cells)
         order = self.order()
-        self.live[z] = False
+        self.remove(z)
         c = self.cell(z)
         state = self.cells.get(c)
         is_entry, is_floor = state is not None and state.entry == z, state is not None and state.floor == z
@@ -194,30 +258,40 @@ class Quadrant:
 
 @dataclass
 class Peel:
-    """Best points of a quadrant one after another, with counters per round."""
+    """Best points of a quadrant one after another, with counters per round.
+
+    The optimum of a cell, or of a stretch of it between answers, comes from the cell's sub-path hulls.
+    """
 
     q: Quadrant
     f: np.ndarray  # distance times the sign: small is better
     x: np.ndarray
     y: np.ndarray
-    count: dict = field(default_factory=lambda: {"cell_optima": 0, "shard_optima": 0, "pushes": 0, "pops": 0, "heap_peak": 0, "lambda": 0, "shards_peak": 0, "reentered": 0})
+    mode: str = "fast"
+    count: dict = field(default_factory=lambda: {"cell_optima": 0, "shard_optima": 0, "pushes": 0, "pops": 0, "heap_peak": 0, "lambda": 0, "shards_peak": 0, "reentered": 0, "runs": 0, "vertices": 0})
     rounds: list = field(default_factory=list)
 
     def __post_init__(self):
-        self.members: dict = {}
-        order = np.lexsort((self.q.ids, self.q.u, self.q.v))
-        for p in order.tolist():
-            self.members.setdefault(self.q.cell(p), []).append(p)
+        order = np.lexsort((self.q.ids, self.q.u, self.q.v, self.q.cj, self.q.ci))  # a cell's points in order of height
+        key = (self.q.ci * self.q.wide + self.q.cj)[order]
+        start = np.flatnonzero(np.r_[True, key[1:] != key[:-1]]) if len(key) else np.zeros(0, int)
+        self.members = {self.q.cell(order[a]): order[a:b] for a, b in zip(start, np.r_[start[1:], len(key)])}
+        self.hulls: dict = {}
         self.heap, self.seen, self.shards = [], set(), {}
 
     def _push(self, cell, lo: int, hi: int, kind: str) -> None:
         """Best point of a cell's shard: members lo to hi in order of height."""
-        m = np.array(self.members[cell][lo:hi], np.int64)
         self.count[kind] += 1
-        if not len(m):
+        if hi <= lo:
             return
-        best = m[np.lexsort((self.y[m], self.x[m], self.q.ids[m], self.f[m]))[0]]
-        heapq.heappush(self.heap, (int(self.f[best]), int(self.q.ids[best]), int(self.x[best]), int(self.y[best]), int(best), cell, lo, hi))
+        if cell not in self.hulls:
+            m = self.members[cell]
+            self.hulls[cell] = SubHulls(self.q.u[m], self.q.v[m], self.f[m], list(zip(self.q.ids[m].tolist(), self.x[m].tolist(), self.y[m].tolist())), self.mode)
+        tree = self.hulls[cell]
+        at = tree.best(lo, hi)
+        self.count["runs"], self.count["vertices"] = self.count["runs"] + tree.runs, self.count["vertices"] + tree.looked
+        p = int(self.members[cell][at])
+        heapq.heappush(self.heap, (int(self.f[p]), *tree.names[at], p, cell, lo, hi, at))
         self.count["pushes"] += 1
         self.count["heap_peak"] = max(self.count["heap_peak"], len(self.heap))
         self.shards[cell] = self.shards.get(cell, 0) + 1
@@ -241,13 +315,12 @@ class Peel:
         new = self._found(self.q.first_cells())
         self.rounds.append((len(self.q.cells), new, sum(self.q.probes.values()) - before))
         while self.heap and len(out) < k:
-            *_, p, cell, lo, hi = heapq.heappop(self.heap)
+            *_, p, cell, lo, hi, at = heapq.heappop(self.heap)
             self.count["pops"] += 1
             out.append(p)
             self.shards[cell] -= 1
             if len(out) == k:
                 break
-            at = self.members[cell].index(p, lo, hi)
             for a, b in ((lo, at), (at + 1, hi)):
                 if b > a:
                     self._push(cell, a, b, "shard_optima")
@@ -258,8 +331,12 @@ class Peel:
         return out
 
 
-def of_group(group: Group, quad: int, direction: str, ids, x, y) -> Peel:
-    """The search of one quadrant's points."""
+def of_group(group: Group, quad: int, direction: str, ids, x, y, narrow: bool = True, mode: str = "fast") -> Peel:
+    """The search of one quadrant's points.
+
+    narrow: take the stretch where an axis' distance is flat out of the coordinates. Then a
+    point that another one dominates is truly worse, so the search alone gives the canonical order.
+    """
     ids, x, y = (np.asarray(a, np.int64) for a in (ids, x, y))
     sx, sy = G.QUADS[quad]
     far = (int(x.max() if sx > 0 else x.min()), int(y.max() if sy > 0 else y.min())) if len(x) else (0, 0)
@@ -267,19 +344,18 @@ def of_group(group: Group, quad: int, direction: str, ids, x, y) -> Peel:
     u, v = frame(x, y)
     fu, fv = frame.axes(group)
     (a, c), (b, e) = fu.slope_at(u), fv.slope_at(v)
-    return Peel(Quadrant(u, v, ids, fu.v, fv.v), sign_of(direction) * (a * u + b * v + c + e), x, y)
+    f = sign_of(direction) * (a * u + b * v + c + e)
+    lines_u, lines_v = fu.v, fv.v
+    if narrow:
+        u, lines_u = G.narrowed(u, lines_u, fu.flat)
+        v, lines_v = G.narrowed(v, lines_v, fv.flat)
+    return Peel(Quadrant(u, v, ids, lines_u, lines_v), f, x, y, mode)
 
 
-def quadrant_answer(group: Group, quad: int, direction: str, k: int, ids, x, y):
-    """The k best of a quadrant in canonical order, with the peel that found their distances."""
-    peel = of_group(group, quad, direction, ids, x, y)
-    got = peel.run(k)
-    if not got:
-        return np.zeros(0, np.int64), peel
-    tau = max(int(peel.f[p]) for p in got)
-    at = np.flatnonzero(peel.f <= tau)  # ties with the last one included
-    order = np.lexsort((peel.y[at], peel.x[at], peel.q.ids[at], peel.f[at]))
-    return at[order[:k]], peel
+def quadrant_answer(group: Group, quad: int, direction: str, k: int, ids, x, y, mode: str = "fast"):
+    """The k best of a quadrant in canonical order, as the peel gives them, and the peel."""
+    peel = of_group(group, quad, direction, ids, x, y, mode=mode)
+    return np.array(peel.run(k), np.int64), peel
 
 
 def counter_rows(peel: Peel, query_id: int, quad: int) -> list[tuple]:
@@ -287,6 +363,7 @@ def counter_rows(peel: Peel, query_id: int, quad: int) -> list[tuple]:
     rows = [(query_id, quad, i, m, int(v)) for i, r in enumerate(peel.rounds) for m, v in zip(("cells", "new_cells", "probes"), r)]
     rows += [(query_id, quad, -1, m, int(v)) for m, v in peel.count.items()]
     rows += [(query_id, quad, -1, f"probe_{m}", int(v)) for m, v in peel.q.probes.items()]
+    rows.append((query_id, quad, -1, "probe_steps", sum(t.steps for t in peel.q.trees)))
     return [*rows, (query_id, quad, -1, "line_bound", int((peel.q.lines_u > 0).sum() + (peel.q.lines_v > 0).sum() + 1))]
 
 
@@ -338,7 +415,7 @@ def first_cells(points, query, groups: list[Group], direction: str = "nearest"):
     known = {g.query_id: g for g in groups}
 
     def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
-        q = of_group(known[int(key[0])], int(key[1]), direction, pdf["point_id"], pdf["x"], pdf["y"]).q
+        q = of_group(known[int(key[0])], int(key[1]), direction, pdf["point_id"], pdf["x"], pdf["y"], narrow=False).q
         rows = [(int(key[0]), int(key[1]), *c, int(q.ids[q.cells[c].entry]), int(q.ids[q.cells[c].floor])) for c in q.first_cells()]
         return pd.DataFrame(rows, columns=["query_id", "quad", "ci", "cj", "entry_id", "floor_id"])
 
