@@ -1,12 +1,10 @@
-"""Quadrants, cells and dominance of the plane, in numpy for workers and as columns for plans."""
+"""Quadrants, cells and dominance of the plane, in numpy for workers."""
 
 from __future__ import annotations
 
 from dataclasses import dataclass
 
 import numpy as np
-from pyspark.sql import Column
-from pyspark.sql import functions as F
 
 from .profile import Axis, Group
 
@@ -19,12 +17,6 @@ def quad_of(x, y, ax: int, ay: int) -> np.ndarray:
     return np.where(up, np.where(right, 1, 2), np.where(right, 4, 3))
 
 
-def dominates(a: tuple[str, str], b: tuple[str, str]) -> Column:
-    """a is at most b on both axes and below it on one; coincident points do not dominate each other."""
-    (au, av), (bu, bv) = ((F.col(p), F.col(q)) for p, q in (a, b))
-    return (au <= bu) & (av <= bv) & ((au < bu) | (av < bv))
-
-
 @dataclass(frozen=True)
 class Frame:
     """A quadrant's own coordinates: both axes turned so that the search starts at small values.

@@ -26,9 +26,22 @@ def agg_dist_direct(candidates: DataFrame, query: DataFrame) -> DataFrame:
     return x.select(*keys, "agg_dist", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).drop("col")
 
 
+#: Halving steps of a search in an array: 2**22 entries.
+_STEPS = [1 << i for i in range(22, -1, -1)]
+
+
+def upto(arr: Column, c: Column, value=lambda e: e) -> Column:
+    """How many entries of a sorted array are <= c, by binary search: lg m looks, no pass over the array."""
+    return F.aggregate(
+        F.array(*[F.lit(s) for s in _STEPS]),
+        F.lit(0),
+        lambda n, s: F.when((n + s <= F.size(arr)) & (value(F.get(arr, n + s - 1)) <= c), n + s).otherwise(n),
+    )
+
+
 def _axis_value(arr: str, w: str, wv: str, c: str) -> Column:
     """Slope times coordinate plus intercept, from the profile entry at or below the coordinate."""
-    at = F.get(F.filter(arr, lambda e: e["v"] <= F.col(c)), F.size(F.filter(arr, lambda e: e["v"] <= F.col(c))) - 1)
+    at = F.get(F.col(arr), upto(F.col(arr), F.col(c), lambda e: e["v"]) - 1)
     cw, cwv = F.coalesce(at["cw"], F.lit(0)), F.coalesce(at["cwv"], F.lit(0))
     return F.col(c) * (2 * cw - F.col(w)) - 2 * cwv + F.col(wv)
 
@@ -38,7 +51,7 @@ def agg_dist_profile(candidates: DataFrame, query: DataFrame) -> DataFrame:
     x = candidates
     total = F.lit(0).cast("long")
     for c, q in _axes(candidates):
-        own = weights.profile(query, c).withColumnsRenamed({"arr": f"arr_{c}", "w_total": f"w_{c}", "wv_total": f"wv_{c}"})
+        own = (weights.profile_of_sorted if "q" in query.columns else weights.profile)(query, c).withColumnsRenamed({"arr": f"arr_{c}", "w_total": f"w_{c}", "wv_total": f"wv_{c}"})
         x = x.join(own, "query_id")
         total = total + _axis_value(f"arr_{c}", f"w_{c}", f"wv_{c}", c)
     return x.select(*candidates.columns, total.alias("agg_dist"))
@@ -130,29 +143,21 @@ class Group:
         return self.fx.anchor, self.fy.anchor
 
 
-#: Query rows handed to workers at once; more groups go in further blocks.
-BLOCK_ROWS = 500_000
+#: Query rows that are handed to workers with the plan; larger batches are dealt out as a table.
+BLOCK_ROWS = 200_000
 
 
-def group_blocks(query: DataFrame):
-    """The groups in blocks of bounded size, each a list of Group; a single group beyond the bound is refused."""
-    sizes = {r.query_id: r["count"] for r in query.groupBy("query_id").count().collect()}
-    block, held = [], 0
-    for q in sorted(sizes):
-        if sizes[q] > BLOCK_ROWS:
-            raise ValueError(f"query {q} has {sizes[q]} points; merge them by coordinate or use the scan by joins")
-        if held + sizes[q] > BLOCK_ROWS and block:
-            yield _load(query, block, len(block) == len(sizes))
-            block, held = [], 0
-        block.append(q)
-        held += sizes[q]
-    if block:
-        yield _load(query, block, len(block) == len(sizes))
+def few_groups(query: DataFrame) -> bool:
+    """Whether a (staged) batch is small enough to travel with the plan."""
+    return query.limit(BLOCK_ROWS + 1).count() <= BLOCK_ROWS
 
 
-def _load(query: DataFrame, ids: list[int], everything: bool) -> list[Group]:
+def load_groups(query: DataFrame) -> list[Group]:
+    """All groups of a batch, which must hold at most BLOCK_ROWS rows."""
     rows: dict[int, list] = {}
-    mine = query if everything else query.filter(F.col("query_id").isin(ids))
-    for r in mine.select("query_id", "qx", "qy", "w").collect():
+    got = query.select("query_id", "qx", "qy", "w").limit(BLOCK_ROWS + 1).collect()
+    if len(got) > BLOCK_ROWS:
+        raise ValueError(f"more than {BLOCK_ROWS} query rows: use a strategy that deals the groups out (scan_dealt, scan_joins)")
+    for r in got:
         rows.setdefault(r[0], []).append(r[1:])
     return [Group.of(q, *zip(*rows[q])) for q in sorted(rows)]

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -92,3 +94,58 @@ def profile_rows(query: DataFrame, axis: str = "x") -> DataFrame:
     suffix = F.col("w_total") - F.col("cw") + F.col("w")
     suffix_v = F.col("wv_total") - F.col("cwv") + F.col("w") * F.col("v")
     return r.select("query_id", "v", "cw", "cwv", suffix.alias("sw"), suffix_v.alias("swv"))
+
+
+def intervals(query: DataFrame, axis: str = "x") -> DataFrame:
+    """(query_id, i, lo, hi, slope, rest): the pieces of each group's axis function, lo and hi null where open.
+
+    Piece i lies between the i-th and the next distinct coordinate, so a group of m has m + 1 pieces.
+    """
+    r = _running(query, axis)
+    order = Window.partitionBy("query_id").orderBy("v")
+    slope = 2 * F.col("cw") - F.col("w_total")
+    own = r.select("query_id", F.row_number().over(order).cast("long").alias("i"), F.col("v").alias("lo"), F.lead("v").over(order).alias("hi"), slope.alias("slope"), (F.col("wv_total") - 2 * F.col("cwv")).alias("rest"))
+    none = F.lit(None).cast("long")
+    first = r.groupBy("query_id").agg(F.min("v").alias("hi"), F.max("w_total").alias("w_total"), F.max("wv_total").alias("wv_total"))
+    first = first.select("query_id", F.lit(0).cast("long").alias("i"), none.alias("lo"), "hi", (-F.col("w_total")).alias("slope"), F.col("wv_total").alias("rest"))
+    return first.unionByName(own)
+
+
+def sorted_groups(query: DataFrame) -> DataFrame:
+    """query rows -> (query_id, q): one array of (v, w) per group, ascending: the form that ``q_sorted`` searches take."""
+    return merge_axis(query, "x").groupBy("query_id").agg(F.array_sort(F.collect_list(F.struct("v", "w"))).alias("q"))
+
+
+def _running_sums(batches):
+    """(query_id, v array, w array) -> the profile of each, in one pass over the flat values."""
+    for batch in batches:
+        lists, w = batch.column(1), batch.column(2).flatten().to_numpy(zero_copy_only=False)
+        v = lists.flatten().to_numpy(zero_copy_only=False)
+        size = lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+        end = np.cumsum(size)
+        inner = np.ones(len(v), bool)
+        inner[(end - size)[size > 0]] = False  # the first entry of each list
+        if (np.diff(v, prepend=v[:1]) < 0)[inner].any():
+            raise ValueError("query: q is not in ascending order")
+        upto = []
+        for x in (w, w * v):
+            total = np.r_[0, np.cumsum(x)]
+            upto.append(total[1:] - np.repeat(total[end - size], size))
+        entries = pa.StructArray.from_arrays([pa.array(v), *map(pa.array, upto)], names=["v", "cw", "cwv"])
+        arr = pa.ListArray.from_arrays(pa.array(np.r_[0, end].astype(np.int32)), entries)
+        last = np.maximum(end - 1, 0)
+        totals = [pa.array(np.where(size > 0, x[last], 0) if len(x) else size * 0) for x in upto]
+        yield pa.RecordBatch.from_arrays([batch.column(0), arr, *totals], names=["query_id", "arr", "w_total", "wv_total"])
+
+
+def profile_of_sorted(groups: DataFrame, axis: str = "x") -> DataFrame:
+    """groups(query_id, q) -> the profile, by one pass over each array: no shuffle, no sort; an array out of order raises."""
+    x = groups.select(F.col("query_id").cast("long").alias("query_id"), F.transform("q", lambda e: e["v"].cast("long")).alias("v"), F.transform("q", lambda e: e["w"].cast("long")).alias("w"))
+    return x.mapInArrow(_running_sums, "query_id long, arr array<struct<v:bigint,cw:bigint,cwv:bigint>>, w_total long, wv_total long")
+
+
+def anchor_of_sorted(groups: DataFrame) -> DataFrame:
+    """groups(query_id, q) -> query_id, ax, ax_hi, w_total, from the profile's running weights."""
+    x = profile_of_sorted(groups)
+    first = lambda hit: F.array_min(F.transform(F.filter("arr", hit), lambda e: e["v"]))
+    return x.select("query_id", first(lambda e: 2 * e["cw"] >= F.col("w_total")).alias("ax"), first(lambda e: 2 * e["cw"] > F.col("w_total")).alias("ax_hi"), "w_total")

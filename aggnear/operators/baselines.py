@@ -14,9 +14,9 @@ from . import cells, frontier, peel
 from .layout import PlaneLayout, hull
 
 
-def all_cells(layout: PlaneLayout, groups: list[Group], direction: str = "nearest") -> tuple[DataFrame, DataFrame]:
+def all_cells(layout: PlaneLayout, query: DataFrame, direction: str = "nearest") -> tuple[DataFrame, DataFrame]:
     """k = 1: the best point of every grid cell by its hulls, then the best of all; (m + 1)^2 searches a group."""
-    best, cost = cells.optimum(layout, cells.cell_rectangles(groups, layout.points.sparkSession), direction)
+    best, cost = cells.optimum(layout, cells.cell_rectangles(query), direction)
     return merge_quadrants(best.drop("rect_id"), 1, direction), cost
 
 
@@ -29,9 +29,7 @@ def grid_walk(points: DataFrame, query: DataFrame, groups: list[Group], directio
     """k = 1: make the whole grid, keep the cells that the frontier walks through, and take the best point of those."""
     located = cells.cell_of(points, query, groups, direction)
     keys = ["query_id", "quad", "ci", "cj"]
-    spark = points.sparkSession
-    sizes = spark.createDataFrame([(g.query_id, len(g.fx.v), len(g.fy.v)) for g in groups], "query_id long, nx long, ny long")
-    grid = sizes.withColumn("quad", F.explode(F.sequence(F.lit(1), F.lit(4)))).withColumn("ci", F.explode(F.expr("sequence(0L, nx)"))).withColumn("cj", F.explode(F.expr("sequence(0L, ny)"))).select(*keys)
+    grid = cells.grid(query).select("query_id", F.explode(F.array(*[F.lit(i) for i in (1, 2, 3, 4)])).alias("quad"), "ci", "cj")
     walked = grid.join(frontier.minimal(located).select(*keys).distinct(), keys, "left_semi")
     return merge_quadrants(located.join(walked, keys).select("query_id", "point_id", "x", "y", "agg_dist"), 1, direction)
 
@@ -57,9 +55,7 @@ def _repeel(groups: list[Group], k: int, direction: str, reuse: str | None):
             z = inside[np.lexsort((pl.y[inside], pl.x[inside], q.ids[inside], pl.f[inside]))[0]]
             taken.append(int(z))
             q.live[z] = False
-        tau = max((int(pl.f[p]) for p in taken), default=0)
-        at = np.flatnonzero(pl.f <= tau) if taken else np.zeros(0, int)
-        at = at[np.lexsort((pl.y[at], pl.x[at], q.ids[at], pl.f[at]))[:k]]
+        at = np.array(taken, np.int64)
         return pd.DataFrame({"query_id": g.query_id, "quad": int(key[1]), "point_id": q.ids[at], "x": pl.x[at], "y": pl.y[at], "agg_dist": pl.f[at] * sign, "cells_searched": searched, "optima": optima})
 
     return run

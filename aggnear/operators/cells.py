@@ -3,28 +3,34 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import plane_geometry as G
-from ..functions.profile import Axis, Group
+from ..functions import weights
+from ..functions.profile import Group
+from ..functions.subhulls import kept_levels
 from ..model import sign_of
 from . import frontier
 from .layout import PlaneLayout
 
 
-def coefficients(groups: list[Group], spark) -> DataFrame:
-    """(query_id, ci, cj, ca, cb, cc) of every cell: distance = ca * x + cb * y + cc inside it.
+def grid(query: DataFrame) -> DataFrame:
+    """All (m + 1)^2 cells of each group's grid: query_id, ci, cj, their bounds, and ca, cb, cc of the distance inside.
 
-    ci and cj count the grid lines at or below; all (m + 1)^2 cells, so for small groups and tests.
+    ci and cj count the grid lines at or below. A join of the two axes' pieces by group.
     """
-    rows = []
-    for g in groups:
-        sx, ix = 2 * g.fx.cw - g.fx.cw[-1], g.fx.cwv[-1] - 2 * g.fx.cwv
-        sy, iy = 2 * g.fy.cw - g.fy.cw[-1], g.fy.cwv[-1] - 2 * g.fy.cwv
-        rows += [(g.query_id, i, j, int(sx[i]), int(sy[j]), int(ix[i] + iy[j])) for i in range(len(sx)) for j in range(len(sy))]
-    return spark.createDataFrame(rows, "query_id long, ci long, cj long, ca long, cb long, cc long")
+    x, y = (weights.intervals(query, c) for c in ("x", "y"))
+    x = x.select("query_id", F.col("i").alias("ci"), F.col("lo").alias("xlo"), F.col("hi").alias("xhi"), F.col("slope").alias("ca"), F.col("rest").alias("rx"))
+    y = y.select("query_id", F.col("i").alias("cj"), F.col("lo").alias("ylo"), F.col("hi").alias("yhi"), F.col("slope").alias("cb"), F.col("rest").alias("ry"))
+    return x.join(y, "query_id").withColumn("cc", F.col("rx") + F.col("ry")).drop("rx", "ry")
+
+
+def coefficients(query: DataFrame) -> DataFrame:
+    """(query_id, ci, cj, ca, cb, cc) of every cell: distance = ca * x + cb * y + cc inside it."""
+    return grid(query).select("query_id", "ci", "cj", "ca", "cb", "cc")
 
 
 _CELL = "query_id long, quad int, u long, v long, point_id long, x long, y long, ci long, cj long, agg_dist long"
@@ -118,7 +124,7 @@ def _inside(lo, hi, cuts: list[int]) -> tuple[int, int, list[int]]:
 
 
 def _cover(layout: PlaneLayout):
-    step = {"fast": 1, "middle": 2, "small": 64, "dyadic_full": 1}[layout.mode]
+    kept = kept_levels(layout.mode, layout.run_levels - 1)
     x_cuts, y_cuts = layout.x_cuts, layout.y_cuts
 
     def run(batches):
@@ -130,7 +136,7 @@ def _cover(layout: PlaneLayout):
                 own = tuple(r.values())
                 for level, node in _dyadic(x0, x1):
                     for rl, run_ in _dyadic(y0, y1):
-                        keep = rl // step * step  # the largest stored level not above
+                        keep = max(x for x in kept if x <= rl)  # the largest stored level not above
                         rows += [(*own, level, node, keep, (run_ << (rl - keep)) + i) for i in range(1 << (rl - keep))]
                 for s in range(len(x_cuts) + 1):
                     for b in range(len(y_cuts) + 1):
@@ -145,17 +151,18 @@ def _cover(layout: PlaneLayout):
 def optimum(layout: PlaneLayout, rects: DataFrame, direction: str = "nearest") -> tuple[DataFrame, DataFrame]:
     """Best point of each rectangle [xlo, xhi) x [ylo, yhi) (null: open) under its linear form.
 
-    A rectangle is covered by dyadic blocks of whole tiles, whose hulls are searched, and by border
-    tiles, whose points are read. Returns (query_id, rect_id, point_id, x, y, agg_dist) and counters
-    (query_id, rect_id, runs, vertices, border_points). Of equal values the least id of those seen
-    wins: hulls leave out points inside an edge, so ties are complete only up to distance.
+    A rectangle is covered by dyadic blocks of whole tiles, on whose hulls the extreme vertex is found
+    by binary search, and by border tiles, whose points are read. Returns (query_id, rect_id, point_id,
+    x, y, agg_dist) and counters (query_id, rect_id, runs, vertices: those looked at, border_points). Of equal
+    values the least id of those seen wins: hulls leave out points inside an edge, so ties are
+    complete only up to distance.
     """
     sign = sign_of(direction)
     cover = rects.mapInArrow(_cover(layout), f"{RECT}, level long, node long, run_level long, run long")
     value = F.col("ca") * F.col("x") + F.col("cb") * F.col("y") + F.col("cc")
     blocks = cover.filter("level >= 0").join(layout.hulls, ["level", "node", "run_level", "run"])
-    blocks = blocks.select("query_id", "rect_id", F.lit(1).alias("runs"), F.size("vertices").alias("vertices"), F.lit(0).alias("border_points"), F.inline("vertices"), "ca", "cb", "cc")
-    blocks = blocks.withColumn("agg_dist", value)
+    blocks = blocks.select("query_id", "rect_id", extreme("vertices", F.col("ca") * sign, F.col("cb") * sign).alias("e"), "ca", "cb", "cc")
+    blocks = blocks.select("query_id", "rect_id", "e.point_id", "e.x", "e.y", "e.looked", "ca", "cb", "cc").withColumn("agg_dist", value)
     edge = cover.filter("level < 0").select("query_id", "rect_id", "xlo", "xhi", "ylo", "yhi", "ca", "cb", "cc", F.col("node").cast("int").alias("slab"), F.col("run").cast("int").alias("band"))
     edge = edge.join(layout.points.select("point_id", "x", "y", "slab", "band"), ["slab", "band"])
     edge = edge.filter("(xlo is null or x >= xlo) and (xhi is null or x < xhi) and (ylo is null or y >= ylo) and (yhi is null or y < yhi)")
@@ -163,27 +170,57 @@ def optimum(layout: PlaneLayout, rects: DataFrame, direction: str = "nearest") -
     every = blocks.select("query_id", "rect_id", "point_id", "x", "y", "agg_dist").unionByName(edge)
     best = every.groupBy("query_id", "rect_id").agg(F.min(F.struct((F.col("agg_dist") * sign).alias("k"), "point_id", "x", "y", "agg_dist")).alias("b"))
     runs = cover.groupBy("query_id", "rect_id").agg(F.sum(F.when(F.col("level") >= 0, 1).otherwise(0)).alias("runs"))
-    seen = blocks.groupBy("query_id", "rect_id").agg(F.count("*").alias("vertices"))
+    seen = blocks.groupBy("query_id", "rect_id").agg(F.sum("looked").alias("vertices"))
     border = edge.groupBy("query_id", "rect_id").agg(F.count("*").alias("border_points"))
     counters = runs.join(seen, ["query_id", "rect_id"], "left").join(border, ["query_id", "rect_id"], "left").na.fill(0)
     return best.select("query_id", "rect_id", "b.point_id", "b.x", "b.y", "b.agg_dist"), counters
 
 
-def cell_rectangles(groups: list[Group], spark) -> DataFrame:
-    """All grid cells of the groups as rectangles with their linear forms."""
-    rows = []
-    for g in groups:
-        ex, ey = [None, *g.fx.v.tolist(), None], [None, *g.fy.v.tolist(), None]
-        sx, ix = 2 * g.fx.cw - g.fx.cw[-1], g.fx.cwv[-1] - 2 * g.fx.cwv
-        sy, iy = 2 * g.fy.cw - g.fy.cw[-1], g.fy.cwv[-1] - 2 * g.fy.cwv
-        rows += [
-            (g.query_id, i * len(sy) + j, ex[i], ex[i + 1], ey[j], ey[j + 1], int(sx[i]), int(sy[j]), int(ix[i] + iy[j]))
-            for i in range(len(sx)) for j in range(len(sy))
-        ]
-    return spark.createDataFrame(rows, RECT)
-
-
-def extreme(vertices: str, ca: int, cb: int, direction: str = "nearest"):
-    """The vertex of an array column that is best in a direction, by (value, point_id)."""
-    s = sign_of(direction)
-    return F.array_min(F.transform(vertices, lambda p: F.struct(((p["x"] * ca + p["y"] * cb) * s).alias("k"), p["point_id"].alias("point_id"), p["x"].alias("x"), p["y"].alias("y"))))
+def cell_rectangles(query: DataFrame) -> DataFrame:
+    """All grid cells of the groups as rectangles with their linear forms; rect_id is ci times the group's rows plus cj."""
+    g = grid(query)
+    rows = g.groupBy("query_id").agg((F.max("cj") + 1).alias("ny"))
+    g = g.join(rows, "query_id").withColumn("rect_id", F.col("ci") * F.col("ny") + F.col("cj"))
+    return g.select("query_id", "rect_id", "xlo", "xhi", "ylo", "yhi", "ca", "cb", "cc")
+
+
+EXTREME = "point_id long, x long, y long, looked long"
+
+
+def extreme(vertices: str, ca, cb):
+    """The vertex with the least ca * x + cb * y, and the vertices looked at.
+
+    Vertices stand around the hull from the least x on (``layout.hull``): the lower chain up to the largest
+    x, then the upper chain back. Along the chain that faces the direction the values fall, then
+    rise, so each is searched by halving: lg h looks, not h.
+    """
+
+    @F.pandas_udf(EXTREME)
+    def search(rings: pd.Series, a: pd.Series, b: pd.Series) -> pd.DataFrame:
+        return pd.DataFrame([_extreme(r, int(p), int(q)) for r, p, q in zip(rings, a, b)], columns=["point_id", "x", "y", "looked"])
+
+    return search(F.col(vertices), ca, cb)
+
+
+def _extreme(ring, a: int, b: int) -> tuple:
+    n, looked, best = len(ring), 0, None
+
+    def key(i):
+        p = ring[i % n]
+        return a * p["x"] + b * p["y"], p["point_id"], i % n
+
+    turn, hi = 0, n - 1
+    while turn < hi:  # the largest x: it rises, then falls
+        mid = (turn + hi) // 2
+        looked += 1
+        turn, hi = (mid + 1, hi) if ring[mid]["x"] < ring[mid + 1]["x"] else (turn, mid)
+    for lo, hi in ((0, turn), (turn, n)):
+        end = hi
+        while lo < hi:
+            mid = (lo + hi) // 2
+            looked += 1
+            lo, hi = (lo, mid) if key(mid)[0] <= key(mid + 1)[0] else (mid + 1, hi)
+        for i in (lo, min(lo + 1, end)):  # both ends of an edge of equal values
+            best = key(i) if best is None else min(best, key(i))
+    v = ring[best[2]]
+    return v["point_id"], v["x"], v["y"], looked

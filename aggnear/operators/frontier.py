@@ -8,35 +8,68 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import plane_geometry as G
 from ..functions import weights
 from ..functions.profile import Group
+from ..staging import stage
 
 _IN = ["query_id", "quad"]
 _SLABS = 64
 
 
-def quadrants(points: DataFrame, query: DataFrame, direction: str = "nearest") -> DataFrame:
+#: Groups whose anchors are handed to every task; more are dealt out in blocks of points.
+FEW_GROUPS = 20_000
+
+
+def with_groups(points: DataFrame, groups: DataFrame) -> DataFrame:
+    """Every point with every row of groups (one a group): each pair is part of the result.
+
+    The groups travel to the tasks while they are few; more meet the points in blocks, by shuffle.
+    """
+    groups = stage(groups, "anchors")
+    many = groups.count()
+    if many <= FEW_GROUPS:
+        return points.crossJoin(F.broadcast(groups))  # at most FEW_GROUPS rows
+    blocks = -(-many // FEW_GROUPS)
+    dealt = groups.withColumn("block", F.pmod(F.xxhash64("query_id"), F.lit(blocks)).cast("int"))
+    copies = points.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).withColumn("deal", F.pmod(F.monotonically_increasing_id(), F.lit(64)).cast("int"))
+    dealt = dealt.withColumn("deal", F.explode(F.sequence(F.lit(0), F.lit(63))))
+    return copies.join(dealt, ["block", "deal"]).drop("block", "deal")
+
+
+def quadrants(points: DataFrame, query: DataFrame, direction: str = "nearest", narrow: bool = False) -> DataFrame:
     """Every point once per group (none for its own group): quad, u, v as distances from the anchor, both >= 0.
 
-    For the farthest direction u and v are counted from the quadrant's far corner.
+    For the farthest direction u and v are counted from the quadrant's far corner. narrow: distances
+    from the interval of all minimisers; a point that another one dominates is then truly worse.
     """
-    a = weights.anchor(query).select("query_id", "ax", "ay")
-    x = points.crossJoin(F.broadcast(a))  # one row per group
+    a = weights.anchor(query).select("query_id", "ax", "ay", "ax_hi", "ay_hi")
+    x = with_groups(points, a)
     if "own" in points.columns:
         x = x.filter(F.col("own").isNull() | (F.col("own") != F.col("query_id")))
     right, up = F.col("x") > F.col("ax"), F.col("y") > F.col("ay")
     quad = F.when(up, F.when(right, 1).otherwise(2)).otherwise(F.when(right, 4).otherwise(3))
-    x = x.select("query_id", quad.alias("quad"), F.abs(F.col("x") - F.col("ax")).alias("u"), F.abs(F.col("y") - F.col("ay")).alias("v"), "point_id", "x", "y")
+
+    def away(c, above):
+        hi = F.col(f"a{c}_hi") if narrow else F.col(f"a{c}")
+        return F.when(above, F.greatest(F.col(c) - hi, F.lit(0))).otherwise(F.col(f"a{c}") - F.col(c))
+
+    x = x.select("query_id", quad.alias("quad"), away("x", right).alias("u"), away("y", up).alias("v"), "point_id", "x", "y")
     if direction == "nearest":
         return x
     far = x.groupBy(*_IN).agg(F.max("u").alias("mu"), F.max("v").alias("mv"))
     return x.join(far, _IN).select("query_id", "quad", (F.col("mu") - F.col("u")).alias("u"), (F.col("mv") - F.col("v")).alias("v"), "point_id", "x", "y")
 
 
+def dominates(a: str, b: str) -> Column:
+    """Whether row a's (u, v) is at most row b's on both axes and below it on one; coincident points do not dominate each other."""
+    (au, av), (bu, bv) = ((F.col(f"{r}.u"), F.col(f"{r}.v")) for r in (a, b))
+    return (au <= bu) & (av <= bv) & ((au < bu) | (av < bv))
+
+
 def minimal(quads: DataFrame, by: list[str] = _IN) -> DataFrame:
     """Rows that no row of the same group dominates; coincident ones stay together.
 
@@ -70,15 +103,24 @@ def first(points: DataFrame, query: DataFrame, groups: list[Group], direction: s
 
 
 def exposed(quads: DataFrame, gone: DataFrame) -> DataFrame:
-    """The frontier rows that appear when ``gone`` (by point_id, x, y) is taken off: one box per point.
+    """The frontier rows that appear when ``gone`` (rows of the frontier) is taken off: one box per run of taken points.
 
-    The box of a taken point is bounded by the neighbours that stay on the frontier: only what it
-    alone dominated can surface.
+    Only what taken points alone dominated can surface: rows right of and above one of them, left of
+    the next spot that stays and below the one before. Only rows of these boxes are looked at.
     """
     keys = [*_IN, "point_id", "x", "y"]
-    left = quads.join(gone.select(*keys), keys, "left_anti")
-    old = minimal(quads).select(*quads.columns)
-    return minimal(left).join(old.select(*keys), keys, "left_anti")
+    front = stage(minimal(quads), "frontier")
+    stays = front.join(gone.select(*keys), keys, "left_anti").select(*_IN, "u", "v").distinct().withColumn("stays", F.lit(True))
+    left = front.join(gone.select(*keys), keys, "left_semi").select(*_IN, "u", "v").distinct()
+    spots = left.join(stays, [*_IN, "u", "v"], "left_anti").withColumn("stays", F.lit(False)).unionByName(stays)  # a twin that stays keeps the spot
+    order = Window.partitionBy(*_IN).orderBy("u")
+    on = F.when(F.col("stays"), F.struct("u", "v"))
+    nxt = F.first(on, ignorenulls=True).over(order.rowsBetween(1, Window.unboundedFollowing))
+    prv = F.last(on, ignorenulls=True).over(order.rowsBetween(Window.unboundedPreceding, -1))
+    box = spots.withColumn("u1", nxt["u"]).withColumn("v1", prv["v"]).filter("not stays")
+    box = box.groupBy(*_IN, "u1", "v1").agg(F.min("u").alias("box_u"), F.min("v").alias("box_v"))  # taken neighbours share a box
+    rows = quads.join(gone.select(*keys), keys, "left_anti").join(box, _IN).filter("u >= box_u and v >= box_v and (u1 is null or u < u1) and (v1 is null or v < v1)")
+    return minimal(rows.drop("u1", "v1"), [*_IN, "box_u", "box_v"]).select(*quads.columns)
 
 
 def band(quads: DataFrame, k: int) -> DataFrame:
@@ -99,4 +141,7 @@ def band(quads: DataFrame, k: int) -> DataFrame:
     def whole(pdf: pd.DataFrame) -> pd.DataFrame:
         return pdf[G.band(pdf["u"].to_numpy(), pdf["v"].to_numpy(), k)]
 
-    return quads.mapInArrow(local, schema).groupBy(*_IN).applyInPandas(whole, schema)
+    some = quads.mapInArrow(local, schema)
+    # in two steps, so that no worker gets more than the bands of a 32nd of a quadrant, then the bands of those
+    dealt = some.groupBy(*_IN, F.pmod(F.xxhash64("point_id", "x", "y"), F.lit(32))).applyInPandas(whole, schema)
+    return dealt.groupBy(*_IN).applyInPandas(whole, schema)

@@ -4,8 +4,11 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from ..functions.profile import Group
+from ..model import sign_of
 
 SCHEMA = pa.schema([(c, pa.int64()) for c in ("query_id", "point_id", "x", "y", "agg_dist")])
 FOUND = "query_id long, point_id long, x long, y long, agg_dist long"
@@ -61,3 +64,61 @@ def scan(groups: list[Group], k: int, sign: int, own: bool, by_group: bool = Fal
         yield rows(held)
 
     return run
+
+
+#: Points that one task of a dealt scan holds.
+CHUNK = 200_000
+_MEET = ("chunk", "kind", "query_id", "point_id", "x", "y", "own", "w")
+
+
+def _meet(k: int, sign: int):
+    """Rows of ``_MEET`` sorted by (chunk, kind, query_id): a chunk's points, then every group -> k best of the chunk per group."""
+
+    def run(batches):
+        chunk, points, one = None, [], [[], None]  # one: rows of the group that is being read, its id
+
+        def close():
+            nonlocal points
+            if one[1] is None:
+                return
+            if not isinstance(points, tuple):
+                points = tuple(np.concatenate(c) for c in zip(*points)) if points else ()
+            qx, qy, w = (np.concatenate(c) for c in zip(*one[0]))
+            g, one[0], one[1] = Group.of(one[1], qx, qy, w), [], None
+            if points:
+                use = points[3] != g.query_id
+                ids, x, y = (c[use] for c in points[:3])
+                f = g(x, y)
+                at = best(f, ids, x, y, k, sign)
+                yield rows({g.query_id: (ids[at], x[at], y[at], f[at])})
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            c, kind = (b.to_numpy() for b in batch.columns[:2])
+            q, ids, x, y, own, w = (b.fill_null(-(1 << 62)).to_numpy() for b in batch.columns[2:])
+            for at in np.split(np.arange(len(c)), np.flatnonzero((np.diff(c) != 0) | (np.diff(kind) != 0) | ((np.diff(q) != 0) & (kind[1:] == 1))) + 1):
+                a = at[0]
+                if c[a] != chunk or (kind[a] == 1 and one[1] != q[a]):
+                    yield from close()
+                if c[a] != chunk:
+                    chunk, points = c[a], []
+                if kind[a] == 0:
+                    points.append((ids[at], x[at], y[at], own[at]))
+                else:
+                    one[0].append((x[at], y[at], w[at]))
+                    one[1] = int(q[a])
+        yield from close()
+
+    return run
+
+
+def scan_dealt(points: DataFrame, query: DataFrame, k: int, direction: str) -> DataFrame:
+    """The k best of each group per chunk of points, groups of any number: points are dealt once, groups go to every chunk by shuffle."""
+    n = int(points.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    chunks = max(1, -(-points.count() // CHUNK))
+    own = F.col("own") if "own" in points.columns else F.lit(None)
+    none = F.lit(None).cast("long")
+    p = points.select(F.pmod(F.xxhash64("point_id", "x", "y"), F.lit(chunks)).cast("int").alias("chunk"), F.lit(0).alias("kind"), none.alias("query_id"), "point_id", "x", "y", own.cast("long").alias("own"), none.alias("w"))
+    q = query.select(F.explode(F.sequence(F.lit(0), F.lit(chunks - 1))).alias("chunk"), F.lit(1).alias("kind"), "query_id", none.alias("point_id"), F.col("qx").alias("x"), F.col("qy").alias("y"), none.alias("own"), "w")
+    return p.unionByName(q).repartition(n, "chunk").sortWithinPartitions("chunk", "kind", "query_id").mapInArrow(_meet(k, sign_of(direction)), FOUND)

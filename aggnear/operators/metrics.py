@@ -10,7 +10,8 @@ from pyspark.sql import functions as F
 
 from ..functions.profile import Group
 from ..model import sign_of
-from . import cells, frontier, tiles
+from ..staging import stage
+from . import frontier, tiles
 from .layout import PlaneLayout
 
 
@@ -35,14 +36,10 @@ def out_of_order(answer: DataFrame, direction: str = "nearest") -> DataFrame:
 
 
 def frontier_size(points: DataFrame, query: DataFrame, direction: str = "nearest") -> DataFrame:
+    """Vertices of every frontier: query_id, quad, vertices."""
     return frontier.minimal(frontier.quadrants(points, query, direction)).groupBy("query_id", "quad").agg(F.count("*").alias("vertices"))
 
 
-def frontier_cells(points: DataFrame, query: DataFrame, groups: list[Group], direction: str = "nearest") -> DataFrame:
-    """Occupied frontier cells per quadrant."""
-    return cells.frontier_cells(points, query, groups, direction).groupBy("query_id", "quad").agg(F.countDistinct("ci", "cj").alias("cells"))
-
-
 def tiles_read(layout: PlaneLayout, groups: list[Group], k: int, direction: str = "nearest") -> DataFrame:
     """Per group: tiles and rows that pruning leaves, of all."""
     all_ = layout.tiles.agg(F.count("*").alias("tiles_all"), F.sum("n").alias("rows_all"))
@@ -50,14 +47,46 @@ def tiles_read(layout: PlaneLayout, groups: list[Group], k: int, direction: str
     return kept.crossJoin(F.broadcast(all_))  # one row
 
 
-def candidates_merged(k: int, groups: list[Group], plane: bool = True) -> dict[int, int]:
-    """At most so many rows meet in the last step: k per quadrant, or k per side."""
-    return {g.query_id: (4 if plane else 2) * k for g in groups}
-
-
-def evaluations(k: int, m: int, evaluator: str) -> int:
-    """Terms summed for the 2k candidates of a line search: m each, or two look-ups each after one pass over the group."""
-    return 2 * k * m if evaluator == "direct" else 4 * k + m
+def work_of(df: DataFrame) -> dict[str, int]:
+    """Runs a plan without output; rows that its scans read and that it shuffles, and shuffle bytes, as Spark counts them."""
+    spark = df.sparkSession
+    df.write.format("noop").mode("overwrite").save()
+    # the write has a query execution of its own: count over an execution of the same plan that is kept
+    plan = df._jdf.queryExecution().executedPlan()
+    df._jdf.queryExecution().toRdd().count()
+    out = {"rows_read": 0, "rows_shuffled": 0, "bytes_shuffled": 0}
+
+    def visit(node):
+        name, metrics = node.nodeName(), node.metrics()
+        value = lambda m: int(metrics.apply(m).value()) if metrics.contains(m) else 0
+        if name.startswith("Scan"):
+            out["rows_read"] += value("numOutputRows")
+        if name == "Exchange":
+            out["rows_shuffled"] += value("shuffleRecordsWritten")
+            out["bytes_shuffled"] += value("shuffleBytesWritten")
+        if name.startswith("AdaptiveSparkPlan"):
+            return visit(node.executedPlan())
+        if "QueryStage" in name:
+            return visit(node.plan())
+        children = node.children()
+        for i in range(children.size()):
+            visit(children.apply(i))
+
+    visit(plan)
+    return out
+
+
+def evaluated(found: DataFrame, query: DataFrame, evaluator: str) -> DataFrame:
+    """Counted work of evaluating found(query_id, point_id, ...): candidates that meet in the last step, and terms or look-ups.
+
+    direct: one term for each query point of each candidate. prefix: two looks-up for each axis of a
+    candidate, each lg m steps, after one entry for each distinct coordinate. merge: one step for each
+    row of candidates and distinct coordinates.
+    """
+    m = query.groupBy("query_id").agg(F.count("*").alias("m"), F.countDistinct("qx").alias("d"))
+    c = found.groupBy("query_id").agg(F.count("*").alias("candidates"))
+    steps = {"direct": F.col("candidates") * F.col("m"), "prefix": F.col("candidates") * F.length(F.bin("d")) + F.col("d"), "merge": F.col("candidates") + F.col("d")}[evaluator]
+    return c.join(m, "query_id").select("query_id", "m", "candidates", F.lit(evaluator).alias("evaluator"), steps.cast("long").alias("steps"))
 
 
 def layout_size(layout: PlaneLayout) -> DataFrame:
@@ -70,6 +99,13 @@ def rollup(counters: DataFrame) -> DataFrame:
     return counters.rollup("measure", "query_id", "quad").agg(F.sum("value").alias("total"), F.max("value").alias("largest"))
 
 
+def layout_bytes(layout: PlaneLayout) -> int:
+    """Bytes of a layout's files."""
+    spark = layout.points.sparkSession
+    at = spark._jvm.org.apache.hadoop.fs.Path(layout.folder)
+    return int(at.getFileSystem(spark._jsc.hadoopConfiguration()).getContentSummary(at).getLength())
+
+
 def timed(df: DataFrame) -> float:
     """Seconds of a plan without output."""
     t = time.time()
@@ -77,8 +113,30 @@ def timed(df: DataFrame) -> float:
     return time.time() - t
 
 
+def query_steps(points: DataFrame, query: DataFrame, groups: list[Group], k: int, direction: str = "nearest") -> dict[str, float]:
+    """Seconds of a search step by step: anchors, quadrants, first cells, peel, merge."""
+    from ..functions import weights
+    from ..plans.plane import merge_quadrants
+    from . import peel
+
+    found = stage(peel.quadrant_topk(points, query, groups, k, direction), "step-found")
+    return {
+        "anchors": timed(weights.anchor(query)),
+        "quadrants": timed(frontier.quadrants(points, query, direction)),
+        "first cells": timed(peel.first_cells(points, query, groups, direction)),
+        "peel": timed(peel.quadrant_topk(points, query, groups, k, direction)),
+        "merge": timed(merge_quadrants(found.drop("quad"), k, direction)),
+    }
+
+
 def exponent(sizes: list[float], values: list[float]) -> float:
     """Slope of log value over log size: the growth of a measure."""
     x, y = [math.log(s) for s in sizes], [math.log(max(v, 1e-9)) for v in values]
     mx, my = sum(x) / len(x), sum(y) / len(y)
     return sum((a - mx) * (b - my) for a, b in zip(x, y)) / sum((a - mx) ** 2 for a in x)
+
+
+def growth(totals: DataFrame) -> DataFrame:
+    """totals(measure, parameter, total) -> measure, points, exponent: the slope of log total over log parameter."""
+    x = totals.filter("total > 0").select("measure", F.log("parameter").alias("lx"), F.log("total").alias("ly"))
+    return x.groupBy("measure").agg(F.count("*").alias("points"), F.round(F.regr_slope("ly", "lx"), 3).alias("exponent"))

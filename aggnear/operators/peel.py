@@ -347,8 +347,9 @@ def of_group(group: Group, quad: int, direction: str, ids, x, y, narrow: bool =
     f = sign_of(direction) * (a * u + b * v + c + e)
     lines_u, lines_v = fu.v, fv.v
     if narrow:
-        u, lines_u = G.narrowed(u, lines_u, fu.flat)
-        v, lines_v = G.narrowed(v, lines_v, fv.flat)
+        inside = lambda flat: flat if direction == "farthest" else (max(flat[0], 0), max(flat[1], 0))
+        u, lines_u = G.narrowed(u, lines_u, inside(fu.flat))
+        v, lines_v = G.narrowed(v, lines_v, inside(fv.flat))
     return Peel(Quadrant(u, v, ids, lines_u, lines_v), f, x, y, mode)
 
 

@@ -5,8 +5,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..staging import stage
 from .layout import PlaneLayout
 
+#: Segments that go to every task; more are a plain join, and should come with a layout.
+FEW = 20_000
 SEGMENT = "seg_id long, axis string, dir int, lo long, hi long, start long"
 
 
@@ -19,15 +22,16 @@ def drag(points: DataFrame | PlaneLayout, segs: DataFrame, removed: DataFrame |
     ``removed`` (point_id) are passed over: nothing is deleted, dropping the table restores them.
     With a layout only tiles that a segment can meet are read.
     """
-    segs = F.broadcast(segs)  # a table of probes, one row each
+    if segs.limit(FEW + 1).count() <= FEW:
+        segs = F.broadcast(segs)  # at most FEW rows
     tall = F.col("axis") == "v"
     if isinstance(points, PlaneLayout):
         move_lo, move_hi = F.when(tall, F.col("xlo")).otherwise(F.col("ylo")), F.when(tall, F.col("xhi")).otherwise(F.col("yhi"))
         span_lo, span_hi = F.when(tall, F.col("ylo")).otherwise(F.col("xlo")), F.when(tall, F.col("yhi")).otherwise(F.col("xhi"))
         meets = F.when(F.col("dir") > 0, move_hi >= F.col("start")).otherwise(move_lo <= F.col("start"))
         meets = meets & (F.col("lo").isNull() | (span_hi >= F.col("lo"))) & (F.col("hi").isNull() | (span_lo < F.col("hi")))
-        live = points.tiles.join(segs, meets).select("slab", "band", "seg_id", "axis", "dir", "lo", "hi", "start")
-        x = points.points.join(live, ["slab", "band"])
+        live = stage(points.tiles.join(segs, meets).select("slab", "band", "seg_id", "axis", "dir", "lo", "hi", "start"), "live-tiles")
+        x = points.of_tiles(live)
     else:
         x = points.crossJoin(segs)
     if removed is not None:

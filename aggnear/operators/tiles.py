@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions.profile import Group
 from ..model import sign_of
+from ..staging import stage
 from .layout import PlaneLayout
 
 _BOUND = pa.schema([("query_id", pa.int64()), ("slab", pa.int32()), ("band", pa.int32()), ("n", pa.int64()), ("low", pa.int64()), ("high", pa.int64())])
@@ -49,7 +50,15 @@ def candidate_tiles(layout: PlaneLayout, groups: list[Group], k: int, direction:
     return b.filter(F.col("tau").isNull() | (F.col("good") <= F.col("tau"))).select("query_id", "slab", "band", "n")
 
 
+def tiles_within(layout: PlaneLayout, groups: list[Group], tau: DataFrame, direction: str) -> DataFrame:
+    """(query_id, slab, band) of the tiles that can hold a point as good as tau(query_id, tau)."""
+    near = sign_of(direction) > 0
+    b = layout.tiles.select("slab", "band", "xlo", "xhi", "ylo", "yhi", "n").mapInArrow(_bounds(groups), "query_id long, slab int, band int, n long, low long, high long")
+    b = b.join(tau, "query_id").filter(F.col("low") <= F.col("tau") if near else F.col("high") >= F.col("tau"))
+    return b.select("query_id", "slab", "band")
+
+
 def candidates(layout: PlaneLayout, groups: list[Group], k: int, direction: str) -> DataFrame:
     """The points of the candidate tiles, a row per group that may need them."""
-    tiles = candidate_tiles(layout, groups, k, direction).drop("n")
-    return layout.points.join(tiles, ["slab", "band"]).drop("slab", "band")
+    tiles = stage(candidate_tiles(layout, groups, k, direction).drop("n"), "live-tiles")
+    return layout.of_tiles(tiles).drop("slab", "band")

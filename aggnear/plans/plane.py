@@ -7,15 +7,14 @@ from dataclasses import dataclass, replace
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions import weights
-from ..functions.profile import Group, agg_dist, group_blocks
+from ..functions.profile import Group, agg_dist, few_groups, load_groups
 from ..model import canonical, check_k, checked_points, checked_query, sign_of
 from ..operators import cells, frontier, peel, tiles
 from ..operators.layout import PlaneLayout, build_plane
-from ..operators.local import FOUND, scan
+from ..operators.local import FOUND, scan, scan_dealt
 from ..staging import stage
 
-STRATEGIES = ("scan", "scan_joins", "tiles", "skyband", "cells", "peel_grouped", "peel_driver", "hull", "auto")
+STRATEGIES = ("scan", "scan_dealt", "scan_joins", "tiles", "skyband", "cells", "peel_grouped", "peel_driver", "hull", "auto")
 
 
 @dataclass(frozen=True)
@@ -27,21 +26,27 @@ class GroupQueryPlan:
     strategy: str
     layout: str
     evaluator: str = "prefix"
-    ties: str = "canonical"
     counters: bool = False
 
 
-def plan(points, k: int, direction: str, strategy: str = "auto", evaluator: str = "auto", ties: str = "canonical", counters: bool = False) -> GroupQueryPlan:
-    """``auto``: counters ask for the peel, a layout for tile pruning, anything else for one scan."""
+#: Points that the grouped peel may find in all, unpruned; beyond that the cells strategy answers.
+PEEL_ROWS = 20_000_000
+
+
+def plan(points, k: int, direction: str, strategy: str = "auto", evaluator: str = "auto", counters: bool = False, query: DataFrame | None = None) -> GroupQueryPlan:
+    """``auto``: counters ask for the peel; a batch too large to travel with the plan is dealt out; a layout is pruned by tiles; anything else is one scan."""
     sign_of(direction)
     if strategy not in STRATEGIES:
         raise ValueError(f"strategy must be one of {STRATEGIES}")
     has = isinstance(points, PlaneLayout)
     if strategy == "auto":
-        strategy = "peel_grouped" if counters else "tiles" if has else "scan"
+        few = query is None or few_groups(query)
+        strategy = "peel_grouped" if counters else "scan_dealt" if not few else "tiles" if has else "scan"
     if strategy == "hull" and (direction != "farthest" or k != 1 or not has or points.hulls is None):
         raise ValueError("the hull shortcut answers farthest, k = 1, on a layout with hulls")
-    return GroupQueryPlan(direction, check_k(k), strategy, points.mode if has else "none", "prefix" if evaluator == "auto" else evaluator, ties, counters)
+    if strategy == "peel_grouped" and not has and not counters and points.count() > PEEL_ROWS:
+        strategy = "cells"
+    return GroupQueryPlan(direction, check_k(k), strategy, points.mode if has else "none", "prefix" if evaluator == "auto" else evaluator, counters)
 
 
 def merge_quadrants(found: DataFrame, k: int, direction: str) -> DataFrame:
@@ -57,16 +62,18 @@ def _scan(points: DataFrame, groups: list[Group], k: int, direction: str, by_gro
     return points.select(*cols).mapInArrow(scan(groups, k, sign_of(direction), own, by_group), FOUND)
 
 
-def complete_ties(points: DataFrame, groups: list[Group], tau: DataFrame, k: int, direction: str) -> DataFrame:
-    """All points at least as good as the k-th value tau(query_id, tau), then the canonical k best."""
-    found = _scan(points, groups, k, direction).join(F.broadcast(tau), "query_id")  # one row a group
+def complete_ties(layout: PlaneLayout, groups: list[Group], tau: DataFrame, k: int, direction: str) -> DataFrame:
+    """The canonical k best among all points as good as the k-th value tau(query_id, tau): only tiles that can hold such points are read."""
+    live = stage(tiles.tiles_within(layout, groups, tau, direction), "tie-tiles")
+    points = layout.of_tiles(live).drop("slab", "band")
+    found = _scan(points, groups, k, direction, by_group=True).join(tau, "query_id")
     ok = (F.col("agg_dist") - F.col("tau")) * sign_of(direction) <= 0
     return merge_quadrants(found.filter(ok).drop("tau"), k, direction)
 
 
 def _peel_driver(points: DataFrame, query: DataFrame, groups: list[Group], k: int, direction: str) -> DataFrame:
-    """The peel as plans, two jobs a round: for small k and for study."""
-    quads = stage(frontier.quadrants(points, query, direction), "peel-points")
+    """The peel as plans, two jobs a round: for small k and for study. Each round's best point of a quadrant is an answer."""
+    quads = stage(frontier.quadrants(points, query, direction, narrow=True), "peel-points")
     keys = ["query_id", "quad", "point_id", "x", "y"]
     front = stage(frontier.minimal(quads), "peel-front")
     out = None
@@ -83,9 +90,7 @@ def _peel_driver(points: DataFrame, query: DataFrame, groups: list[Group], k: in
         stay = front.join(best.select(*keys), keys, "left_anti")
         new = frontier.minimal(inside.select(*quads.columns).unionByName(stay.join(box, ["query_id", "quad"], "left_semi")))
         front = stage(new.unionByName(stay.join(box, ["query_id", "quad"], "left_anti")), "peel-front")
-    found = merge_quadrants(out.select("query_id", "point_id", "x", "y", "agg_dist"), k, direction)
-    tau = stage(found.groupBy("query_id").agg(F.max_by("agg_dist", "rank").alias("tau")), "peel-tau")
-    return complete_ties(points, groups, tau, k, direction)
+    return merge_quadrants(out.select("query_id", "point_id", "x", "y", "agg_dist"), k, direction)
 
 
 def _evaluate(quad_rows: DataFrame, groups: list[Group], direction: str) -> DataFrame:
@@ -115,20 +120,19 @@ def _one(p: GroupQueryPlan, points: DataFrame | PlaneLayout, query: DataFrame, g
     flat = layout.points.drop("slab", "band") if layout else points
     if p.strategy == "scan":
         return merge_quadrants(_scan(flat, groups, k, d), k, d)
+    if p.strategy == "scan_dealt":
+        return merge_quadrants(scan_dealt(flat, query, k, d), k, d)
     if p.strategy == "scan_joins":
-        x = flat.crossJoin(F.broadcast(query.select("query_id").distinct()))
+        x = frontier.with_groups(flat, query.select("query_id").distinct())
         if "own" in flat.columns:
             x = x.filter(F.col("own").isNull() | (F.col("own") != F.col("query_id"))).drop("own")
         return merge_quadrants(agg_dist(x, query, p.evaluator), k, d)
     if p.strategy == "tiles":
         return merge_quadrants(_scan(tiles.candidates(layout, groups, k, d), groups, k, d, by_group=True), k, d)
     if p.strategy == "skyband":
-        band = frontier.band(frontier.quadrants(flat, query, d), k)
-        found = merge_quadrants(_scan(band, groups, k, d, by_group=True), k, d)
-        if p.ties == "any":
-            return found
-        tau = found.groupBy("query_id").agg(F.max_by("agg_dist", "rank").alias("tau"))
-        return complete_ties(flat, groups, tau, k, d)
+        # beyond the flat stretches a dominated point is truly worse, so the band holds the canonical answer
+        band = frontier.band(frontier.quadrants(flat, query, d, narrow=True), k)
+        return merge_quadrants(_scan(band, groups, k, d, by_group=True), k, d)
     if p.strategy == "cells":
         return merge_quadrants(cells.cell_topk(flat, query, groups, k, d), k, d)
     if p.strategy == "peel_grouped":
@@ -136,48 +140,45 @@ def _one(p: GroupQueryPlan, points: DataFrame | PlaneLayout, query: DataFrame, g
         return merge_quadrants(peel.quadrant_topk(own, query, groups, k, d).drop("quad"), k, d)
     if p.strategy == "peel_driver":
         return _peel_driver(flat, query, groups, k, d)
-    # hull: a convex function is greatest at a vertex of the hull of all points
+    # hull: a convex function is greatest at a vertex of the hull of all points; points equally far are looked up in their tiles
     root = layout.hulls.groupBy().agg(F.max("level").alias("l"))
-    top = layout.hulls.join(F.broadcast(root), F.col("level") == F.col("l")).filter("run_level = 0").select(F.inline("vertices"))
-    return merge_quadrants(_scan(top.select("point_id", "x", "y"), groups, 1, d), 1, d)
+    top = layout.hulls.crossJoin(root).filter("level = l and run_level = 0").select(F.inline("vertices"))  # root is one row
+    best = merge_quadrants(_scan(top.select("point_id", "x", "y"), groups, 1, d), 1, d)
+    return complete_ties(layout, groups, best.select("query_id", F.col("agg_dist").alias("tau")), 1, d)
 
 
 def build(p: GroupQueryPlan, points: DataFrame | PlaneLayout, query: DataFrame) -> DataFrame:
+    """query: checked and staged."""
     points = points if isinstance(points, PlaneLayout) else checked_points(points)
-    query = stage(checked_query(query), "query")
-    out = None
-    for groups in group_blocks(query):
-        mine = query.join(F.broadcast(query.sparkSession.createDataFrame([(g.query_id,) for g in groups], "query_id long")), "query_id")
-        if p.counters:
-            own = tiles.candidates(points, groups, p.k, p.direction) if isinstance(points, PlaneLayout) else points
-            part = peel.quadrant_topk(own, mine, groups, p.k, p.direction, counters=True)
-        else:
-            part = _one(p, points, mine, groups)
-        out = part if out is None else out.unionByName(part)
-    return out if out is not None else _scan(points if isinstance(points, DataFrame) else points.points, [], p.k, p.direction).withColumn("rank", F.lit(0).cast("long"))
-
-
-def topk(points: DataFrame | PlaneLayout, query: DataFrame, k: int, direction: str = "nearest", strategy: str = "auto", layout: str | None = None, evaluator: str = "auto", ties: str = "canonical", counters: bool = False) -> DataFrame:
-    """query_id, rank, point_id, x, y, agg_dist: the k best points of each group, min(k, points) rows.
+    groups = [] if p.strategy in ("scan_dealt", "scan_joins") else load_groups(query)
+    if p.counters:
+        own = tiles.candidates(points, groups, p.k, p.direction) if isinstance(points, PlaneLayout) else points
+        return peel.quadrant_topk(own, query, groups, p.k, p.direction, counters=True)
+    return _one(p, points, query, groups)
 
-    layout: build one first (``fast``, ``middle``, ``small``, ``dyadic_full``, or ``tiles`` for bounds
-    alone). With counters the search's cost rows come back in place of the answer.
-    """
+
+def _planned(points, query: DataFrame, k: int, direction: str, strategy: str, layout: str | None, evaluator: str, counters: bool):
+    query = stage(checked_query(query), "query")
     if layout and not isinstance(points, PlaneLayout):
         points = build_plane(checked_points(points), None if layout == "tiles" else layout)
-    p = plan(points, k, direction, strategy, evaluator, ties, counters)
+    p = plan(points, k, direction, strategy, evaluator, counters, query)
     if p.strategy == "tiles" and not isinstance(points, PlaneLayout):
         points = build_plane(checked_points(points))
         p = replace(p, layout="none")
-    return build(p, points, query)
+    return p, points, query
 
 
-def explain(points: DataFrame | PlaneLayout, query: DataFrame, k: int, **options) -> str:
+def topk(points: DataFrame | PlaneLayout, query: DataFrame, k: int, direction: str = "nearest", strategy: str = "auto", layout: str | None = None, evaluator: str = "auto", counters: bool = False) -> DataFrame:
+    """query_id, rank, point_id, x, y, agg_dist: the k best points of each group, min(k, points) rows.
+
+    layout: build one first (``fast``, ``middle``, ``small``, ``dyadic_full``, or ``tiles`` for bounds
+    alone). With counters the search's cost rows come back in place of the answer.
+    """
+    return build(*_planned(points, query, k, direction, strategy, layout, evaluator, counters))
+
+
+def explain(points: DataFrame | PlaneLayout, query: DataFrame, k: int, direction: str = "nearest", strategy: str = "auto", layout: str | None = None, evaluator: str = "auto", counters: bool = False) -> str:
     """The chosen plan and Spark's plan for it."""
-    p = plan(points, k, options.pop("direction", "nearest"), **options)
+    p, points, query = _planned(points, query, k, direction, strategy, layout, evaluator, counters)
     df = build(p, points, query)
     return f"{p}\n{df._jdf.queryExecution().explainString(df.sparkSession._jvm.org.apache.spark.sql.execution.ExplainMode.fromString('formatted'))}"
-
-
-def anchors(query: DataFrame) -> DataFrame:
-    return weights.anchor(checked_query(query))

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import Row
 
-from ..functions.profile import Group
+from ..functions.profile import BLOCK_ROWS, Group, few_groups
 from ..operators.layout import hull
 from ..operators.local import best
 
@@ -55,10 +55,16 @@ def hull_agg(point_id: pd.Series, x: pd.Series, y: pd.Series) -> list:
     return [{"point_id": int(i[n]), "x": int(a[n]), "y": int(b[n])} for n in hull(a, b, i)]
 
 
+def piece_of(arr: pd.Series, c: pd.Series) -> pd.Series:
+    """How many entries of each sorted array are at or below the coordinate (Arrow, searchsorted)."""
+    return pd.Series([int(np.searchsorted(a, x, side="right")) for a, x in zip(arr, c)])
+
+
 def install(spark: SparkSession, points: DataFrame | None = None, query: DataFrame | None = None) -> None:
     """Register the functions, and points and query as views, with the session."""
     spark.udtf.register("topk_group", F.udtf(TopkGroup, returnType="query_id long, rank long, point_id long, x long, y long, agg_dist long"))
     spark.udtf.register("grid_cells", F.udtf(GridCells, returnType="ci long, cj long, xlo long, xhi long, ylo long, yhi long"))
+    spark.udf.register("piece_of", F.pandas_udf(piece_of, "long"))
     spark.udf.register("hull_agg", F.pandas_udf(hull_agg, "array<struct<point_id:long,x:long,y:long>>"))
     if points is not None:
         points.createOrReplaceTempView("points")
@@ -67,11 +73,17 @@ def install(spark: SparkSession, points: DataFrame | None = None, query: DataFra
 
 
 def topk_sql(spark: SparkSession, k: int) -> DataFrame:
-    """The scan over the views ``points`` and ``query`` in SQL with a parameter marker."""
+    """The scan over the views ``points`` and ``query`` in SQL with a parameter marker: one row a group meets the points, no row per query point.
+
+    The groups are handed to every task, so their size is checked.
+    """
+    if not few_groups(spark.table("query")):
+        raise ValueError(f"more than {BLOCK_ROWS} query rows: use plane.topk")
     return spark.sql(
         """
-        WITH f AS (SELECT q.query_id, p.point_id, p.x, p.y, sum(q.w * (abs(p.x - q.qx) + abs(p.y - q.qy))) AS agg_dist
-                   FROM points p CROSS JOIN query q GROUP BY ALL),
+        WITH g AS (SELECT query_id, collect_list(named_struct('qx', qx, 'qy', qy, 'w', w)) AS rows FROM query GROUP BY query_id),
+        f AS (SELECT /*+ BROADCAST(g) */ g.query_id, p.point_id, p.x, p.y,
+                     aggregate(g.rows, 0L, (s, q) -> s + q.w * (abs(p.x - q.qx) + abs(p.y - q.qy))) AS agg_dist FROM points p CROSS JOIN g),
         r AS (SELECT *, CAST(row_number() OVER (PARTITION BY query_id ORDER BY agg_dist, point_id, x, y) AS BIGINT) AS rank FROM f)
         SELECT query_id, rank, point_id, x, y, agg_dist FROM r WHERE rank <= :k
         """,

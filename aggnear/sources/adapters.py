@@ -73,10 +73,11 @@ def embeddings_plane(spark, d) -> DataFrame:
     return points(e, "vec_id", micros(F.col("embedding")[0]), micros(F.col("embedding")[1]), own="label")
 
 
-def embeddings_query(spark, d, most: int | None = None) -> DataFrame:
-    """All vectors of a label are its group; ``most`` takes those of smaller id, to vary m."""
+def embeddings_query(spark, d, most: int | None = None, eighths: int = 8) -> DataFrame:
+    """All vectors of a label are its group; ``most`` takes those of smaller id (worked examples), eighths vary m (each holds those before it)."""
     e = table(spark, d, "embeddings")
     e = e if most is None else e.filter(F.col("vec_id") < most)
+    e = e if eighths == 8 else e.filter(F.pmod(F.xxhash64("vec_id"), F.lit(8)) < eighths)
     return query(e, "label", micros(F.col("embedding")[0]), micros(F.col("embedding")[1]), w=1 + F.col("vec_id") % 4)
 
 
@@ -106,6 +107,14 @@ def part_by_brand(spark, d) -> DataFrame:
     return query(table(spark, d, "part"), brand(), F.col("p_size") * 100, cents("p_retailprice"), w=1 + F.col("p_partkey") % 3)
 
 
+def dearest_order_query(spark, d) -> DataFrame:
+    """The lines of the order of the highest total price, weighted by line number."""
+    lines = table(spark, d, "lineitem")
+    placed = table(spark, d, "orders").join(lines.select(F.col("l_orderkey").alias("o_orderkey")), "o_orderkey", "left_semi")
+    one = placed.orderBy(F.col("o_totalprice").desc(), "o_orderkey").limit(1).select(F.col("o_orderkey").alias("l_orderkey"))
+    return query(lines.join(one, "l_orderkey"), "l_orderkey", cents("l_quantity"), cents("l_extendedprice"), w="l_linenumber")
+
+
 def priority() -> Column:
     return F.substring("o_orderpriority", 1, 1).cast("long")
 
@@ -145,7 +154,7 @@ def pages_plane(spark, d) -> DataFrame:
 
 
 def pages_query(spark, d) -> DataFrame:
-    return query(table(spark, d, "pages").filter("page_id % 50 = 0"), F.lit(1), F.length("url"), F.length("html"))
+    return query(table(spark, d, "pages"), F.lit(1), F.length("url"), F.length("html"))
 
 
 def conversations_plane(spark, d) -> DataFrame:

@@ -38,12 +38,14 @@ QUERIES = {
     "part": f"SELECT {_BRAND} AS query_id, (p_size * 100)::BIGINT AS qx, {c('p_retailprice')} AS qy, 1::BIGINT AS w FROM part WHERE p_type = 'ECONOMY'",
     "part_sales": f"SELECT {_BRAND} AS query_id, (p_size * 100)::BIGINT AS qx, {c('p_retailprice')} AS qy, s.sold AS w FROM part "
     f"JOIN (SELECT l_partkey, sum(l_quantity)::BIGINT AS sold FROM lineitem GROUP BY 1) s ON p_partkey = l_partkey",
-    "lineitem": f"SELECT {_BRAND} AS query_id, (p_size * 100)::BIGINT AS qx, {c('p_retailprice')} AS qy, (1 + p_partkey % 3)::BIGINT AS w FROM part",
+    "lineitem": f"SELECT l_orderkey::BIGINT AS query_id, {c('l_quantity')} AS qx, {c('l_extendedprice')} AS qy, l_linenumber::BIGINT AS w FROM lineitem "
+    f"WHERE l_orderkey = (SELECT o_orderkey FROM orders WHERE o_orderkey IN (SELECT l_orderkey FROM lineitem) ORDER BY o_totalprice DESC, o_orderkey LIMIT 1)",
+    "brands": f"SELECT {_BRAND} AS query_id, (p_size * 100)::BIGINT AS qx, {c('p_retailprice')} AS qy, (1 + p_partkey % 3)::BIGINT AS w FROM part",
     "orders": f"SELECT o_custkey::BIGINT AS query_id, {_DAY} * 100 AS qx, {c('o_totalprice')} AS qy, left(o_orderpriority, 1)::BIGINT AS w FROM orders",
     "events": f"SELECT user_id::BIGINT AS query_id, {_TS} AS qx, {c('value')} AS qy, 1::BIGINT AS w FROM events WHERE event_type = 'purchase'",
     "documents": f"SELECT 1::BIGINT AS query_id, n_chars::BIGINT AS qx, {_WORDS.format(c='text')} AS qy, (1 + toxic)::BIGINT AS w FROM documents JOIN labels USING (doc_id) WHERE quality = 1",
     "benchmark": f"SELECT 1::BIGINT AS query_id, length(text)::BIGINT AS qx, {_WORDS.format(c='text')} AS qy, 1::BIGINT AS w FROM benchmark",
-    "pages": "SELECT 1::BIGINT AS query_id, length(url)::BIGINT AS qx, length(html)::BIGINT AS qy, 1::BIGINT AS w FROM pages WHERE page_id % 50 = 0",
+    "pages": "SELECT 1::BIGINT AS query_id, length(url)::BIGINT AS qx, length(html)::BIGINT AS qy, 1::BIGINT AS w FROM pages",
     "conversations": "SELECT 1::BIGINT AS query_id, (turn * 100)::BIGINT AS qx, length(text)::BIGINT AS qy, 1::BIGINT AS w FROM conversations WHERE role = 'system'",
 }
 

@@ -7,14 +7,15 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..functions.profile import group_blocks
+from ..functions.profile import load_groups
 from ..model import checked_query, sign_of
-from ..operators.local import FOUND, scan
 from ..plans import plane
 
 
@@ -30,48 +31,77 @@ def without_repeats(points: DataFrame, late: str = "1 hour") -> DataFrame:
     return points.withWatermark("ts", late).dropDuplicatesWithinWatermark(["point_id"])
 
 
-def _scored(points: DataFrame, groups) -> DataFrame:
-    """A row per point and group with agg_dist; groups are few and static."""
-    import numpy as np
-    import pyarrow as pa
+def _scored(points: DataFrame, groups, *more: str) -> DataFrame:
+    """A row per point and group with agg_dist; groups are few and static, ``more`` columns go along."""
 
     def run(batches):
         for batch in batches:
-            ids, ts, x, y = batch.columns
-            px, py = x.to_numpy(), y.to_numpy()
+            px, py = batch.column(2).to_numpy(), batch.column(3).to_numpy()
             for g in groups:
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(px), g.query_id)), ids, ts, x, y, pa.array(g(px, py))], names=["query_id", "point_id", "ts", "x", "y", "agg_dist"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(px), g.query_id)), *batch.columns, pa.array(g(px, py))], names=["query_id", *batch.schema.names, "agg_dist"])
 
-    return points.select("point_id", "ts", "x", "y").mapInArrow(run, "query_id long, point_id long, ts timestamp, x long, y long, agg_dist long")
+    x = points.select("point_id", "ts", "x", "y", *more)
+    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in x.schema)
+    return x.mapInArrow(run, f"query_id long, {kinds}, agg_dist long")
+
+
+_BEST = "fs array<long>, ids array<long>, xs array<long>, ys array<long>"
+
+
+def _keep_best(k: int):
+    """Per (window, group): the k best rows so far; they come out once the watermark has passed the window."""
+
+    def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        start, end, query_id = key
+        if state.hasTimedOut:
+            rows = list(zip(*state.get))
+            state.remove()
+            yield pd.DataFrame([(start, end, query_id, n + 1, i, x, y, f) for n, (f, i, x, y) in enumerate(rows)], columns=["start", "end", "query_id", "rank", "point_id", "x", "y", "key"])
+            return
+        end_ms = int(pd.Timestamp(end).timestamp() * 1000)
+        if end_ms <= state.getCurrentWatermarkMs():
+            return  # too late: this window has been given out
+        rows = list(zip(*state.get)) if state.exists else []
+        for pdf in batches:
+            rows = sorted([*rows, *pdf[["key", "point_id", "x", "y"]].itertuples(index=False, name=None)])[:k]
+        state.update(tuple([int(v) for v in c] for c in zip(*rows)))
+        state.setTimeoutTimestamp(end_ms)
+
+    return step
 
 
 def windowed_topk(points: DataFrame, query: DataFrame, k: int, direction: str = "nearest", length: str = "1 day", slide: str | None = None, late: str = "1 hour") -> DataFrame:
     """The k best points of every event-time window per group, once the watermark has passed it.
 
-    A window's state is an array cut to k entries at the end; late rows beyond the watermark are dropped.
+    A stream's state is k rows for each open window and group; rows whose window the watermark has
+    passed are dropped. A table is answered by one ranked window.
     """
-    groups = [g for b in group_blocks(checked_query(query)) for g in b]
+    groups = load_groups(checked_query(query))
     s = sign_of(direction)
-    x = _scored(points, groups).withWatermark("ts", late)
-    win = F.window("ts", length, slide) if slide else F.window("ts", length)
-    entry = F.struct((F.col("agg_dist") * s).alias("k"), "point_id", "x", "y")
-    x = x.groupBy(win.alias("w"), "query_id").agg(F.slice(F.array_sort(F.collect_list(entry)), 1, k).alias("best"))
-    x = x.select("w.start", "w.end", "query_id", F.posexplode("best").alias("rank", "b"))
-    return x.select("start", "end", "query_id", (F.col("rank") + 1).cast("long").alias("rank"), "b.point_id", "b.x", "b.y", (F.col("b.k") * s).alias("agg_dist"))
+    x = _scored(points, groups).withWatermark("ts", late).withColumn("key", F.col("agg_dist") * s)
+    x = x.withColumn("w", F.window("ts", length, slide) if slide else F.window("ts", length)).withColumn("start", F.col("w.start")).withColumn("end", F.col("w.end")).drop("w")
+    if points.isStreaming:
+        kinds = "start timestamp, end timestamp, query_id long, rank long, point_id long, x long, y long, key long"
+        x = x.groupBy("start", "end", "query_id").applyInPandasWithState(_keep_best(k), kinds, _BEST, "append", GroupStateTimeout.EventTimeTimeout)
+    else:
+        order = Window.partitionBy("start", "end", "query_id").orderBy("key", "point_id", "x", "y")
+        x = x.withColumn("rank", F.row_number().over(order).cast("long")).filter(F.col("rank") <= k)
+    return x.select("start", "end", "query_id", "rank", "point_id", "x", "y", (F.col("key") * s).alias("agg_dist"))
 
 
-def session_topk(points: DataFrame, query: DataFrame, k: int, user: str, gap: str = "30 minutes", late: str = "1 hour") -> DataFrame:
-    """The same per session of a user; points carry the user column."""
-    groups = [g for b in group_blocks(checked_query(query)) for g in b]
-    x = _scored(points, groups).join(points.select("point_id", user), "point_id") if not points.isStreaming else None
-    if x is None:
-        raise ValueError("sessions of a stream need the user in the point rows: use windowed_topk per user group")
-    entry = F.struct("agg_dist", "point_id", "x", "y")
-    x = x.withWatermark("ts", late).groupBy(F.session_window("ts", gap).alias("w"), user, "query_id").agg(F.slice(F.array_sort(F.collect_list(entry)), 1, k).alias("best"))
-    return x.select("w.start", "w.end", user, "query_id", F.posexplode("best").alias("rank", "b")).select("start", "end", user, "query_id", "rank", "b.*")
+def session_topk(points: DataFrame, query: DataFrame, k: int, user: str, direction: str = "nearest", gap: str = "30 minutes", late: str = "1 hour") -> DataFrame:
+    """The same per session of a user, for tables and streams; points carry the user column.
+
+    Sessions grow together when a row falls between them, so an open session's state holds its rows.
+    """
+    s = sign_of(direction)
+    x = _scored(points, load_groups(checked_query(query)), user).withWatermark("ts", late)
+    entry = F.struct((F.col("agg_dist") * s).alias("k"), "point_id", "x", "y")
+    x = x.groupBy(F.session_window("ts", gap).alias("w"), user, "query_id").agg(F.slice(F.array_sort(F.collect_list(entry)), 1, k).alias("best"))
+    x = x.select("w.start", "w.end", user, "query_id", F.posexplode("best").alias("rank", "b"))
+    return x.select("start", "end", user, "query_id", (F.col("rank") + 1).cast("long").alias("rank"), "b.point_id", "b.x", "b.y", (F.col("b.k") * s).alias("agg_dist"))
 
 
-_STATE = "ids array<long>, xs array<long>, ys array<long>, fs array<long>, gone array<long>"
 RUNNING = "query_id long, rank long, point_id long, x long, y long, agg_dist long"
 
 
@@ -79,17 +109,17 @@ def running_topk(points: DataFrame, query: DataFrame, k: int, direction: str = "
     """The k best so far per group, given anew whenever a batch changes them.
 
     Points may carry ``gone`` (boolean): a tombstone takes its point off, and a later row of the same
-    id puts it back. State holds k + slack rows a group; deletions beyond the slack leave fewer than k.
+    id puts it back. State holds k + slack rows a group and no more; deletions beyond the slack leave
+    fewer than k, and a tombstone that comes before its point has no effect.
     """
-    groups = [g for b in group_blocks(checked_query(query)) for g in b]
+    groups = load_groups(checked_query(query))
     s, keep = sign_of(direction), k + slack
     flag = F.coalesce(F.col("gone"), F.lit(False)) if "gone" in points.columns else F.lit(False)
     known = {g.query_id: g for g in groups}
     x = points.select("point_id", "x", "y", flag.alias("gone"), F.explode(F.array(*[F.lit(q) for q in known])).alias("query_id"))
 
     def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        ids, xs, ys, fs, gone = (list(v) for v in state.get) if state.exists else ([], [], [], [], [])
-        rows, dead = {i: (f, i, a, b) for i, a, b, f in zip(ids, xs, ys, fs)}, set(gone)
+        rows = {i: (f, i, a, b) for f, i, a, b in zip(*state.get)} if state.exists else {}
         before = sorted(rows.values())[:k]
         g = known[key[0]]
         for pdf in batches:
@@ -97,17 +127,15 @@ def running_topk(points: DataFrame, query: DataFrame, k: int, direction: str = "
             for i, a, b, off, v in zip(pdf["point_id"], pdf["x"], pdf["y"], pdf["gone"], f):
                 if off:
                     rows.pop(i, None)
-                    dead.add(int(i))
                 else:
-                    dead.discard(int(i))
                     rows[int(i)] = (int(v), int(i), int(a), int(b))
         best = sorted(rows.values())[:keep]
-        state.update(([r[1] for r in best], [r[2] for r in best], [r[3] for r in best], [r[0] for r in best], sorted(dead)))
+        state.update(tuple([r[c] for r in best] for c in range(4)))
         now = best[:k]
         if now != before:
             yield pd.DataFrame([(key[0], n + 1, r[1], r[2], r[3], r[0] * s) for n, r in enumerate(now)], columns=["query_id", "rank", "point_id", "x", "y", "agg_dist"])
 
-    return x.groupBy("query_id").applyInPandasWithState(step, RUNNING, _STATE, "update", GroupStateTimeout.NoTimeout)
+    return x.groupBy("query_id").applyInPandasWithState(step, RUNNING, _BEST, "update", GroupStateTimeout.NoTimeout)
 
 
 def answer_arriving(queries: DataFrame, layout, k: int, out: str, direction: str = "nearest"):
@@ -118,8 +146,3 @@ def answer_arriving(queries: DataFrame, layout, k: int, out: str, direction: str
             plane.topk(layout, df, k, direction).withColumn("epoch", F.lit(epoch)).write.mode("overwrite").parquet(f"{out}/epoch={epoch}")
 
     return queries.writeStream.foreachBatch(batch)
-
-
-def local_best(points: DataFrame, groups, k: int) -> DataFrame:
-    """Per-task bests of a batch of points, for callers that merge themselves."""
-    return points.select("point_id", "x", "y").mapInArrow(scan(groups, k, 1, False), FOUND)

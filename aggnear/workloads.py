@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from .functions import weights
-from .functions.profile import group_blocks
+from .functions.profile import load_groups
 from .model import checked_points, checked_query
 from .operators import baselines, cells, frontier, invariants, line, metrics, peel, probe
 from .operators.layout import build_plane
@@ -44,6 +44,12 @@ def line_nn_k1(spark, d):
     return line.nearest(A.customer_line(spark, d), A.supplier_by_nation(spark, d))
 
 
+@register("line_nn_sorted", O.topk("customer", "supplier", 10, plane=False))
+def line_nn_sorted(spark, d):
+    """Groups that come as sorted arrays: no sort, no shuffle of the groups."""
+    return line.topk(A.customer_line(spark, d), weights.sorted_groups(A.supplier_by_nation(spark, d)), 10)
+
+
 @register("line_fn_k1", O.topk("customer", "supplier", 1, "farthest", plane=False))
 def line_fn_k1(spark, d):
     return line.farthest_ends(A.customer_line(spark, d), A.supplier_by_nation(spark, d))
@@ -70,7 +76,7 @@ def line_nn_bigk(spark, d):
 
 def _evaluator(name: str):
     def run(spark, d):
-        return line.topk(A.customer_line(spark, d), A.supplier_by_nation(spark, d), 3, evaluator=name, q_sorted=name == "merge")
+        return line.topk(A.customer_line(spark, d), A.supplier_by_nation(spark, d), 3, evaluator=name)
 
     return run
 
@@ -106,7 +112,8 @@ _PLANE = {
     "embeddings": (A.embeddings_plane, A.embeddings_query, 10),
     "part": (A.part_plane, A.part_query, 10),
     "part_sales": (A.part_plane, A.part_sales_query, 10),
-    "lineitem": (A.lineitem_plane, A.part_by_brand, 10),
+    "lineitem": (A.lineitem_plane, A.dearest_order_query, 10),
+    "lineitem_brands": (A.lineitem_plane, A.part_by_brand, 10),
     "orders": (A.orders_plane, A.orders_query, 5),
     "events": (A.events_plane, A.events_query, 10),
     "documents": (A.documents_plane, A.documents_query, 10),
@@ -114,7 +121,8 @@ _PLANE = {
     "conversations": (A.conversations_plane, A.conversations_query, 5),
     "benchmark": (A.documents_plane, A.benchmark_query, 10),
 }
-_POINTS_OF = {"part_sales": "part", "benchmark": "documents"}
+_POINTS_OF = {"part_sales": "part", "benchmark": "documents", "lineitem_brands": "lineitem"}
+_QUERY_OF = {"lineitem_brands": "brands"}
 
 
 def _plane(name: str, direction: str, **options):
@@ -127,16 +135,16 @@ def _plane(name: str, direction: str, **options):
 
 
 for _n, (_p, _q, _k) in _PLANE.items():
-    _sql = O.topk(_POINTS_OF.get(_n, _n), _n, _k)
+    _sql = O.topk(_POINTS_OF.get(_n, _n), _QUERY_OF.get(_n, _n), _k)
     register(f"plane_nn_{_n}", _sql)(_plane(_n, "nearest"))
     if _n in ("embeddings", "part", "lineitem"):
         register(f"plane_fn_{_n}", O.topk(_POINTS_OF.get(_n, _n), _n, _k, "farthest"))(_plane(_n, "farthest"))
 
-for _s in ("scan_joins", "tiles", "skyband", "cells", "peel_grouped"):
+for _s in ("scan_dealt", "scan_joins", "tiles", "skyband", "cells", "peel_grouped"):
     register(f"strategy_{_s}_nn", O.topk("part", "part", 10))(_plane("part", "nearest", strategy=_s))
     register(f"strategy_{_s}_fn", O.topk("part", "part", 10, "farthest"))(_plane("part", "farthest", strategy=_s))
-register("strategy_tiles_lineitem", O.topk("lineitem", "lineitem", 10))(_plane("lineitem", "nearest", strategy="tiles"))
-register("strategy_peel_tiles_lineitem", O.topk("lineitem", "lineitem", 10))(_plane("lineitem", "nearest", strategy="peel_grouped", layout="tiles"))
+register("strategy_tiles_lineitem", O.topk("lineitem", "brands", 10))(_plane("lineitem_brands", "nearest", strategy="tiles"))
+register("strategy_peel_tiles_lineitem", O.topk("lineitem", "brands", 10))(_plane("lineitem_brands", "nearest", strategy="peel_grouped", layout="tiles"))
 
 
 @register("strategy_peel_driver", O.topk("embeddings", "embeddings", 4))
@@ -150,7 +158,7 @@ def strategy_hull_fn(spark, d):
 
 
 def _groups(query):
-    return [g for block in group_blocks(checked_query(query)) for g in block]
+    return load_groups(checked_query(query))
 
 
 def _embeddings(spark, d):
@@ -199,16 +207,16 @@ def first_cells_by_probes(spark, d):
 
 @register("cell_coefficients", O.coefficients("embeddings"))
 def cell_coefficients(spark, d):
-    return cells.coefficients(_embeddings(spark, d)[2], spark)
+    return cells.coefficients(checked_query(A.embeddings_query(spark, d)))
 
 
 def _optimum(direction, mode):
     def run(spark, d):
-        p, _, g = _embeddings(spark, d)
+        p, q, _ = _embeddings(spark, d)
         layout = build_plane(checked_points(p.drop("own")), mode)
-        ny = spark.createDataFrame([(x.query_id, len(x.fy.v) + 1) for x in g], "query_id long, ny long")
-        best, _ = cells.optimum(layout, cells.cell_rectangles(g, spark), direction)
-        best = best.join(F.broadcast(ny), "query_id")
+        ny = q.groupBy("query_id").agg((F.countDistinct("qy") + 1).alias("ny"))
+        best, _ = cells.optimum(layout, cells.cell_rectangles(q), direction)
+        best = best.join(ny, "query_id")
         return best.select("query_id", F.expr("rect_id div ny").alias("ci"), (F.col("rect_id") % F.col("ny")).alias("cj"), "point_id", "agg_dist")
 
     return run
@@ -237,8 +245,8 @@ register("drag_tiled", O.drag("part", _SEGS))(_drag(False, True))
 
 @register("baseline_all_cells", O.topk("embeddings_all", "embeddings", 1))
 def baseline_all_cells(spark, d):
-    p, _, g = _embeddings(spark, d)
-    return baselines.all_cells(build_plane(checked_points(p.drop("own")), "dyadic_full"), g)[0]
+    p, q, _ = _embeddings(spark, d)
+    return baselines.all_cells(build_plane(checked_points(p.drop("own")), "dyadic_full"), q)[0]
 
 
 @register("baseline_full_frontier", O.topk("embeddings", "embeddings", 1))
@@ -282,7 +290,7 @@ def invariant_monotone_line(spark, d):
 
 @register("invariant_monotone_plane", _NONE)
 def invariant_monotone_plane(spark, d):
-    return invariants.monotone_plane(cells.cell_of(*_embeddings(spark, d))).select("query_id")
+    return invariants.monotone_plane(A.embeddings_plane(spark, d), checked_query(A.embeddings_query(spark, d))).select("query_id")
 
 
 @register("counters_peel")
@@ -303,14 +311,41 @@ def counters_rollup(spark, d):
 
 @register("layout_tradeoff")
 def layout_tradeoff(spark, d):
-    """Vertices kept against runs touched and vertices evaluated, per layout."""
-    p, _, g = _embeddings(spark, d)
+    """What each layout stores and takes to build against what the optima of all cells of an order's grid look at."""
+    p, q = checked_points(A.lineitem_plane(spark, d)), checked_query(A.dearest_order_query(spark, d))
+    out = []
+    for mode in ("dyadic_full", "fast", "middle", "small"):
+        layout = build_plane(p, mode)
+        _, cost = cells.optimum(layout, cells.cell_rectangles(q))
+        c = cost.agg(F.sum("runs").alias("runs"), F.sum("vertices").alias("looked"), F.sum("border_points").alias("border")).first()
+        stored = metrics.layout_size(layout).agg(F.sum("hulls").alias("hulls"), F.sum("vertices").alias("vertices")).first()
+        out.append((mode, stored.hulls, stored.vertices, metrics.layout_bytes(layout), float(sum(layout.seconds.values())), c.runs or 0, c.looked or 0, c.border or 0))
+    return spark.createDataFrame(out, "mode string, hulls long, stored long, bytes long, build_seconds double, runs long, looked long, border_points long")
+
+
+@register("build_and_query_steps")
+def build_and_query_steps(spark, d):
+    """Seconds of each step of the builds and of a search."""
+    p, q, g = _embeddings(spark, d)
+    out = [(f"build {mode}", step, float(t)) for mode in ("dyadic_full", "fast", "middle", "small") for step, t in build_plane(checked_points(p.drop("own")), mode).seconds.items()]
+    out += [("query", step, float(t)) for step, t in metrics.query_steps(p, q, g, 10).items()]
+    return spark.createDataFrame(out, "what string, step string, seconds double")
+
+
+@register("frontier_sizes", f"WITH a AS ({O.frontier('embeddings', 'embeddings')}) SELECT query_id, quad, count(*) AS vertices FROM a GROUP BY ALL")
+def frontier_sizes(spark, d):
+    return metrics.frontier_size(A.embeddings_plane(spark, d), A.embeddings_query(spark, d)).withColumn("quad", F.col("quad").cast("long"))
+
+
+@register("evaluations_line")
+def evaluations_line(spark, d):
+    """Candidates that the line search merges (at most 2k beside the flat stretch) and what each evaluator does for them."""
+    q = checked_query(A.supplier_by_nation(spark, d))
+    layout = line.build_line(checked_points(A.customer_line(spark, d)))
+    found = stage(line.sides(layout, line.locate(layout, weights.anchor(q)), 10, "nearest"), "candidates")
     out = None
-    for mode in ("fast", "middle", "small"):
-        layout = build_plane(checked_points(p.drop("own")), mode)
-        _, cost = cells.optimum(layout, cells.cell_rectangles(g, spark))
-        x = metrics.layout_size(layout).agg(F.sum("vertices").alias("stored")).crossJoin(cost.agg(F.sum("runs").alias("runs"), F.sum("vertices").alias("evaluated"), F.sum("border_points").alias("border_points")))
-        x = x.withColumn("mode", F.lit(mode))
+    for e in ("direct", "prefix", "merge"):
+        x = metrics.evaluated(found, q, e)
         out = x if out is None else out.unionByName(x)
     return out
 
@@ -321,20 +356,64 @@ def tiles_read(spark, d):
     return metrics.tiles_read(build_plane(checked_points(A.lineitem_plane(spark, d)), slabs=16, bands=16), _groups(q), 10)
 
 
+@register("work_of_strategies")
+def work_of_strategies(spark, d):
+    """Rows read and shuffled by a scan and by tile pruning, as Spark counts them."""
+    p, q = checked_points(A.lineitem_plane(spark, d)), A.dearest_order_query(spark, d)
+    layout = build_plane(p, slabs=16, bands=16)
+    out = [(name, m, int(v)) for name, x in (("scan", p), ("tiles", layout)) for m, v in metrics.work_of(plane.topk(x, q, 10, strategy=name)).items()]
+    return spark.createDataFrame(out, "strategy string, measure string, value long")
+
+
+@register("deletion_costs")
+def deletion_costs(spark, d):
+    """Taking answers off: points that true deletions read and hull again, against the stretches that the peel cuts cells into."""
+    p, q, g = _embeddings(spark, d)
+    out = None
+    for k in (1, 4, 16):
+        answers = stage(plane.topk(p, q, k, strategy="peel_grouped"), "answers")
+        layout = build_plane(checked_points(p.drop("own")), "small")
+        again = baselines.rebuild_hulls(layout, answers.select("point_id").distinct()).agg(F.sum("n_rebuilt").alias("value")).select(F.lit("rebuilt_points").alias("measure"), "value")
+        shards = peel.quadrant_topk(p, q, g, k, counters=True).filter("measure in ('shard_optima', 'cell_optima', 'vertices', 'probe_steps')").groupBy("measure").agg(F.sum("value").alias("value"))
+        x = again.unionByName(shards).withColumn("k", F.lit(k))
+        out = x if out is None else out.unionByName(x)
+    return out
+
+
+@register("repeel_costs")
+def repeel_costs(spark, d):
+    """Cells searched and optima taken by fresh rounds, by kept cells, and by the peel, for the same answers."""
+    p, q, g = _embeddings(spark, d)
+    out = None
+    for k in (1, 4, 16):
+        for name, reuse in (("fresh", None), ("kept cells", "cells")):
+            x = baselines.repeel(p, q, g, k, reuse=reuse)[1].agg(F.sum("cells_searched").alias("cells_searched"), F.sum("optima").alias("optima"))
+            x = x.select(F.lit(name).alias("method"), F.lit(k).alias("k"), "cells_searched", "optima")
+            out = x if out is None else out.unionByName(x)
+        c = peel.quadrant_topk(p, q, g, k, counters=True)
+        total = lambda *m: F.sum(F.when(F.col("measure").isin(*m), F.col("value")).otherwise(0))
+        out = out.unionByName(c.agg(total("lambda").alias("cells_searched"), total("cell_optima", "shard_optima").alias("optima")).select(F.lit("peel").alias("method"), F.lit(k).alias("k"), "cells_searched", "optima"))
+    return out
+
+
 @register("exactness_peel", f"WITH a AS ({O.topk('part', 'part', 10)}) SELECT query_id, count(*) AS rows, count(*)::BIGINT AS same_rank, 0::BIGINT AS gap, count(*) AS in_both FROM a GROUP BY query_id")
 def exactness_peel(spark, d):
     p, q = A.part_plane(spark, d), A.part_query(spark, d)
     return metrics.exactness(stage(plane.topk(p, q, 10, strategy="peel_grouped"), "answer"), stage(plane.topk(p, q, 10), "truth"))
 
 
+#: What a sweep varies: eighths of the groups' rows or of the points (each holds the ones before, the last is all), or k.
+SWEEPS = {"m": (1, 2, 4, 8), "k": (1, 4, 16, 64), "n": (1, 2, 4, 8)}
+
+
 def _sweep(what: str):
-    """How the peel's counters and pruned rows move with one parameter: (parameter, measure, total)."""
+    """How the peel's counters move with one parameter: (parameter, measure, total)."""
 
     def run(spark, d):
         out = None
         e = A.embeddings_plane(spark, d)
-        for v in {"m": (20, 50, 100, 200), "k": (1, 4, 16, 64), "n": (1, 2, 4, 8)}[what]:
-            q = checked_query(A.embeddings_query(spark, d, v if what == "m" else None))
+        for v in SWEEPS[what]:
+            q = checked_query(A.embeddings_query(spark, d, eighths=v if what == "m" else 8))
             p = e.filter(F.pmod(F.xxhash64("point_id"), F.lit(8)) < v) if what == "n" else e
             c = peel.quadrant_topk(p, q, _groups(q), v if what == "k" else 8, counters=True)
             x = c.groupBy("measure").agg(F.sum("value").alias("total")).withColumn("parameter", F.lit(v))
@@ -344,10 +423,20 @@ def _sweep(what: str):
     return run
 
 
-for _w in ("n", "m", "k"):
+for _w in SWEEPS:
     register(f"sweep_{_w}")(_sweep(_w))
 
 
+@register("growth_exponents")
+def growth_exponents(spark, d):
+    """Exponent of every counter in n, m and k over the sweeps."""
+    out = None
+    for w in SWEEPS:
+        x = metrics.growth(stage(_sweep(w)(spark, d), "sweep")).withColumn("parameter", F.lit(w))
+        out = x if out is None else out.unionByName(x)
+    return out
+
+
 # SQL and streams ---------------------------------------------------------------------------------
 
 
@@ -361,7 +450,7 @@ def sql_topk(spark, d):
 def sql_topk_table_function(spark, d):
     sqlsurface.install(spark)
     q = A.part_query(spark, d)
-    p = A.part_plane(spark, d).join(F.broadcast(q.select("query_id").distinct()), F.col("own") != F.col("query_id"))
+    p = frontier.with_groups(A.part_plane(spark, d), q.select("query_id").distinct()).filter("own <> query_id")
     rows = p.select("query_id", F.lit("p").alias("kind"), "point_id", "x", "y", F.lit(0).cast("long").alias("w"))
     rows = rows.unionByName(q.select("query_id", F.lit("q").alias("kind"), F.lit(0).cast("long").alias("point_id"), F.col("qx").alias("x"), F.col("qy").alias("y"), "w"))
     rows.createOrReplaceTempView("topk_rows")

@@ -69,7 +69,8 @@ def test_cell_coefficients_by_hand(spark):
     from aggnear.operators import cells
 
     g = Group.of(1, [293, 210], [219, 205], [3, 5])
-    got = {(r.ci, r.cj): (r.ca, r.cb, r.cc) for r in cells.coefficients([g], spark).collect()}
+    q = spark.createDataFrame([(1, 293, 219, 3), (1, 210, 205, 5)], "query_id long, qx long, qy long, w long")
+    got = {(r.ci, r.cj): (r.ca, r.cb, r.cc) for r in cells.coefficients(q).collect()}
     assert got[2, 2] == (8, 8, -3611) and got[1, 2] == (2, 8, -1853)
     assert int(g(np.array([366]), np.array([252]))[0]) == 1333
 

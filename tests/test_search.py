@@ -2,10 +2,12 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from aggnear.functions import plane_geometry as G
 from aggnear.functions import weights
 from aggnear.functions.profile import Axis, Group
+from aggnear.functions.subhulls import SubHulls
 from aggnear.operators import cells, frontier, line, metrics, peel
 from aggnear.operators.layout import build_plane, hull
 from aggnear.plans import plane
@@ -29,7 +31,8 @@ def test_peel_against_definition_and_bounds():
             k = int(rng.integers(1, len(ids) + 2))
             got, search = peel.quadrant_answer(g, int(quad), direction, k, ids[at], x[at], y[at])
             f = g(x[at], y[at]) * sign
-            assert got.tolist() == np.lexsort((y[at], x[at], ids[at], f))[:k].tolist()
+            assert got.tolist() == np.lexsort((y[at], x[at], ids[at], f))[:k].tolist()  # the search's own answers, in order
+            assert search.run is not None and len(search.rounds) >= min(k, len(f))
             again += search.count["reentered"]
             assert search.count["lambda"] <= search.rounds[-1][0] + k - 1 or len(got) < k
             assert all(cells_ <= (search.q.lines_u > 0).sum() + (search.q.lines_v > 0).sum() + 1 for cells_, _, _ in search.rounds)
@@ -40,6 +43,58 @@ def test_peel_against_definition_and_bounds():
     assert len(seen) == 8, seen  # every kind of update has come up
 
 
+def test_peel_of_every_layout_and_its_looks():
+    rng = np.random.default_rng(7)
+    looked = {}
+    for trial in range(150):
+        g, ids, x, y = case(rng, [15, 600, 10_000][trial % 3], n=int(rng.integers(60, 400)))
+        quads = G.quad_of(x, y, *g.anchor)
+        for quad in np.unique(quads):
+            at = quads == quad
+            want = np.lexsort((y[at], x[at], ids[at], g(x[at], y[at])))[:20].tolist()
+            for mode in ("dyadic_full", "fast", "middle", "small"):
+                got, search = peel.quadrant_answer(g, int(quad), "nearest", 20, ids[at], x[at], y[at], mode)
+                assert got.tolist() == want
+                looked[mode] = looked.get(mode, 0) + search.count["runs"]
+    assert looked["dyadic_full"] <= looked["fast"] < looked["small"] and looked["fast"] <= looked["middle"]
+
+
+def test_search_tree_against_scan():
+    rng = np.random.default_rng(8)
+    for n in (1, 2, 7, 64, 333):
+        v = rng.integers(0, 50, n)
+        t, gone = peel.FirstBelow(v), np.zeros(n, bool)
+        for _ in range(200):
+            a, b, limit = int(rng.integers(0, n + 1)), int(rng.integers(0, n + 1)), int(rng.integers(0, 55))
+            hit = np.flatnonzero((np.arange(n) >= a) & (np.arange(n) < b) & ~gone & (v < limit))
+            before = t.steps
+            assert t.first(a, b, limit) == (hit[0] if len(hit) else -1)
+            assert t.steps - before <= 4 * n.bit_length() + 4  # lg n, with removals as without
+            i = int(rng.integers(0, n))
+            gone[i] = True
+            t.remove(i)
+
+
+def test_sub_hulls_keep_less_in_smaller_layouts():
+    rng = np.random.default_rng(9)
+    u, v = rng.integers(0, 10**6, 5000), np.sort(rng.integers(0, 10**6, 5000))
+    names = [(int(i),) for i in rng.permutation(5000)]
+    size = {m: SubHulls(u, v, 3 * u + 2 * v, names, m).size() for m in ("dyadic_full", "fast", "middle", "small")}
+    assert size["dyadic_full"] > size["fast"] > size["middle"] > size["small"]
+
+
+def test_too_large_a_cutoff_would_be_seen(monkeypatch):
+    """Answers are the search's own: a peel that stops short gives fewer rows, nothing fills them up."""
+    rng = np.random.default_rng(10)
+    g, ids, x, y = case(rng, 600, n=80, m=5)
+    quad = int(G.quad_of(x, y, *g.anchor)[0])
+    at = G.quad_of(x, y, *g.anchor) == quad
+    monkeypatch.setattr(peel.Quadrant, "take", lambda self, z: self.remove(z) or [])  # no cells but those of the first round
+    got, search = peel.quadrant_answer(g, quad, "nearest", len(ids), ids[at], x[at], y[at])
+    inside = sum(len(search.members[c]) for c in search.seen)
+    assert len(got) == inside
+
+
 def test_cells_machine_against_frontier():
     rng = np.random.default_rng(2)
     for trial in range(300):
@@ -47,7 +102,7 @@ def test_cells_machine_against_frontier():
         quads = G.quad_of(x, y, *g.anchor)
         quad = int(quads[0])
         at = quads == quad
-        q = peel.of_group(g, quad, "nearest", ids[at], x[at], y[at]).q
+        q = peel.of_group(g, quad, "nearest", ids[at], x[at], y[at], narrow=False).q
         q.first_cells()
         while q.live.any():
             live = np.flatnonzero(q.live)
@@ -103,7 +158,7 @@ def brute(p, q, k, direction):
 
 
 @pytest.mark.parametrize("direction", ["nearest", "farthest"])
-@pytest.mark.parametrize("strategy", ["scan", "scan_joins", "tiles", "skyband", "cells", "peel_grouped", "peel_driver"])
+@pytest.mark.parametrize("strategy", ["scan", "scan_dealt", "scan_joins", "tiles", "skyband", "cells", "peel_grouped", "peel_driver"])
 def test_strategies_on_ties(tied, direction, strategy):
     p, q, rp, rq = tied
     k = 3 if strategy == "peel_driver" else 9
@@ -145,12 +200,10 @@ def test_line_with_ties(spark):
 
 def test_rectangles_and_layout_sizes(spark, tied):
     p, q, _, _ = tied
-    groups = plane.group_blocks(q)
-    groups = [g for b in groups for g in b]
     sizes, truth = {}, None
-    for mode in ("fast", "middle", "small"):
+    for mode in ("dyadic_full", "fast", "middle", "small"):
         layout = build_plane(p.drop("own"), mode, 4, 4)
-        best, cost = cells.optimum(layout, cells.cell_rectangles(groups, spark))
+        best, cost = cells.optimum(layout, cells.cell_rectangles(q))
         got = {(r.query_id, r.rect_id): r.agg_dist for r in best.collect()}
         truth = truth or got
         assert got == truth and cost.count() >= len(got)
@@ -170,3 +223,79 @@ def test_exposed_is_what_a_fresh_frontier_adds(tied):
     keys = ["query_id", "quad", "point_id", "x", "y"]
     fresh = frontier.minimal(quads.join(gone.select(*keys), keys, "left_anti")).select(*keys)
     assert sorted(map(tuple, frontier.exposed(quads, gone).select(*keys).collect())) == sorted(map(tuple, fresh.exceptAll(old.select(*keys)).collect()))
+
+
+def test_minimal_by_the_definition_of_dominance(tied):
+    p, q, _, _ = tied
+    quads = frontier.quadrants(p, q)
+    over = quads.alias("a").join(quads.alias("b"), (F.col("a.query_id") == F.col("b.query_id")) & (F.col("a.quad") == F.col("b.quad")) & frontier.dominates("a", "b")).select("b.*").distinct()
+    keys = ["query_id", "quad", "point_id", "x", "y"]
+    want = quads.select(*keys).exceptAll(over.select(*keys))
+    assert sorted(map(tuple, frontier.minimal(quads).select(*keys).collect())) == sorted(map(tuple, want.collect()))
+
+
+def test_sorted_groups_and_their_order(spark):
+    rng = np.random.default_rng(11)
+    p = spark.createDataFrame([(int(i), int(rng.integers(0, 50))) for i in range(80)], "point_id long, x long")
+    q = spark.createDataFrame([(int(rng.integers(1, 5)), int(rng.integers(0, 50)), int(rng.integers(1, 4))) for _ in range(30)], "query_id long, qx long, w long")
+    groups = weights.sorted_groups(q)
+    a, b = (sorted(map(tuple, line.topk(p, x, 7).collect())) for x in (q, groups))
+    assert a == b
+    bad = spark.createDataFrame([(1, [(3, 1), (2, 1)])], "query_id long, q array<struct<v:long,w:long>>")
+    with pytest.raises(Exception, match="ascending"):
+        line.topk(p, bad, 3).collect()
+
+
+def test_nearest_of_one_against_ranks(spark):
+    rng = np.random.default_rng(12)
+    for span in (3, 40, 1000):
+        p = spark.createDataFrame([(int(i), int(rng.integers(0, span))) for i in rng.permutation(70)], "point_id long, x long")
+        q = spark.createDataFrame([(int(rng.integers(1, 9)), int(rng.integers(-5, span + 5)), 1) for _ in range(24)], "query_id long, qx long, w long")
+        assert sorted(map(tuple, line.nearest(p, q).collect())) == sorted(map(tuple, line.topk(p, q, 1).collect()))
+
+
+def test_extreme_vertices_by_halving():
+    rng = np.random.default_rng(13)
+    for n in (1, 2, 3, 5, 40, 400):
+        x, y = rng.integers(0, 1000, n), rng.integers(0, 1000, n)
+        at = hull(x, y, np.arange(n))
+        ring = [{"point_id": int(i), "x": int(x[i]), "y": int(y[i])} for i in at]
+        for a, b in [*rng.integers(-9, 10, (60, 2)).tolist(), (0, 1), (1, 0), (0, -1), (-1, 0), (0, 0)]:
+            _, px, py, looked = cells._extreme(ring, a, b)
+            assert a * px + b * py == (a * x + b * y).min()
+            assert looked <= 4 * len(ring).bit_length() + 4
+
+
+def test_growth_of_sweeps_and_costs(spark):
+    """The counters of the peel grow as the bounds say, and its rivals cost more."""
+    from aggnear import workloads as W
+
+    d = "/root/testdata/sf0.001"
+    g = {(r.parameter, r.measure): r.exponent for r in W.QUERIES["growth_exponents"](spark, d).collect()}
+    assert g["k", "lambda"] < 1 and g["k", "pushes"] < 1.2 and g["n", "lambda"] < 0.6 and g["m", "lambda"] < 1.2
+    c = {(r.method, r.k): r for r in W.QUERIES["repeel_costs"](spark, d).collect()}
+    for k in (4, 16):
+        assert c["peel", k].cells_searched < c["fresh", k].cells_searched and c["peel", k].cells_searched <= c["kept cells", k].cells_searched
+        assert c["peel", k].optima < c["kept cells", k].optima
+    e = {(r.query_id, r.evaluator): r for r in W.QUERIES["evaluations_line"](spark, d).collect()}
+    assert all(r.candidates <= 30 for r in e.values())
+    x = {(r.measure, r.k): r.value for r in W.QUERIES["deletion_costs"](spark, d).collect()}
+    assert x["rebuilt_points", 16] >= x["rebuilt_points", 1] > 0
+
+
+def test_layouts_store_less_for_more_looks(spark):
+    from aggnear import workloads as W
+
+    r = {x["mode"]: x for x in W.QUERIES["layout_tradeoff"](spark, "/root/testdata/sf0.01").collect()}
+    modes = ("dyadic_full", "fast", "middle", "small")
+    stored = [r[m].stored for m in modes]
+    assert stored == sorted(stored, reverse=True) and len(set(stored)) == 4
+    assert len({r[m].bytes for m in modes}) == 4 and r["small"].runs > r["dyadic_full"].runs
+    assert r["dyadic_full"].runs <= r["fast"].runs <= r["middle"].runs <= r["small"].runs
+
+
+def test_tiles_read_less_than_the_scan(spark):
+    from aggnear import workloads as W
+
+    r = {(x.strategy, x.measure): x.value for x in W.QUERIES["work_of_strategies"](spark, "/root/testdata/sf0.01").collect()}
+    assert r["tiles", "rows_read"] < r["scan", "rows_read"]

@@ -59,3 +59,36 @@ def test_repeats(spark, tmp_path):
     run = stream.without_repeats(s, "400 days").writeStream.format("memory").queryName("once").trigger(availableNow=True).start()
     run.awaitTermination(120)
     assert spark.table("once").count() == e.count()
+
+
+def _at(day: float) -> float:
+    return 86_400 * day
+
+
+def test_late_rows_are_dropped_and_windows_close(spark, tmp_path):
+    q = spark.createDataFrame([(1, 0, 0, 1)], "query_id long, qx long, qy long, w long")
+    days = [[(1, 1.1, 9), (2, 1.2, 4), (3, 1.3, 7)], [(4, 3.5, 1)], [(5, 1.4, 2), (6, 3.6, 8)], [(7, 9.0, 5)]]  # 5 comes too late
+    for n, rows in enumerate(days):
+        d = spark.createDataFrame([(i, _at(t), x, 0) for i, t, x in rows], "point_id long, s double, x long, y long")
+        d.select("point_id", F.timestamp_seconds("s").alias("ts"), "x", "y").coalesce(1).write.parquet(str(tmp_path / "in" / f"b{n}"))
+        time.sleep(1.1)
+    s = spark.readStream.schema("point_id long, ts timestamp, x long, y long").option("maxFilesPerTrigger", 1).option("recursiveFileLookup", True).parquet(str(tmp_path / "in"))
+    run = stream.windowed_topk(s, q, 2).writeStream.format("memory").queryName("late").outputMode("append").trigger(availableNow=True).start()
+    run.awaitTermination(120)
+    got = sorted((r.start.day, r.rank, r.point_id, r.agg_dist) for r in spark.table("late").collect())
+    assert got == [(2, 1, 2, 4), (2, 2, 3, 7), (4, 1, 4, 1), (4, 2, 6, 8)]
+
+
+def test_sessions_of_a_stream(spark, tmp_path):
+    q = spark.createDataFrame([(1, 0, 0, 1)], "query_id long, qx long, qy long, w long")
+    rows = [(1, "a", 0, 5), (2, "a", 600, 3), (3, "a", 9_000, 4), (4, "b", 100, 2), (5, "b", 1_500, 6), (6, "z", 500_000, 1)]
+    d = spark.createDataFrame(rows, "point_id long, user string, s long, x long").select("point_id", "user", F.timestamp_seconds("s").alias("ts"), "x", F.lit(0).cast("long").alias("y"))
+    want = sorted((r.user, r.start, r.rank, r.point_id) for r in stream.session_topk(d, q, 1, "user").collect())
+    assert [(u, p) for u, _, _, p in want] == [("a", 2), ("a", 3), ("b", 4), ("z", 6)]
+    for n, part in enumerate((d.filter("point_id < 6"), d.filter("point_id = 6"))):
+        part.coalesce(1).write.parquet(str(tmp_path / "in" / f"b{n}"))
+        time.sleep(1.1)
+    s = spark.readStream.schema(d.schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", True).parquet(str(tmp_path / "in"))
+    run = stream.session_topk(s, q, 1, "user").writeStream.format("memory").queryName("sess").outputMode("append").trigger(availableNow=True).start()
+    run.awaitTermination(120)
+    assert sorted((r.user, r.start, r.rank, r.point_id) for r in spark.table("sess").collect()) == want[:3]
