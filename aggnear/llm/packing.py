@@ -8,8 +8,11 @@ A sequence is completed around the longest piece left. Its fillings are the undo
 other pieces for the room left; filling A dominates B if B's pieces can be put into A's. Fillings are
 tried by waste, then by larger pieces first; a branch ends once the waste it has closed reaches what
 the best packing known leaves over. The first packing known is best-fit decreasing, and every search
-result that needs fewer sequences takes its place; the search ends at the volume bound or at its node
-budget. Equal sequences are completed together, as often as the counts allow, so the depth of a
+result that needs fewer sequences takes its place. The search first looks at the few best fillings of
+each sequence; where that tree is exhausted without reaching the bound, it is searched again with more
+of them, till nothing was left out (then the packing is proved least), the bound is reached (likewise) or
+the node budget is spent. The bound is the better of the volume and of what pieces that cannot
+share a sequence, with the rest in the room they leave, need. Equal sequences are completed together, as often as the counts allow, so the depth of a
 branch is bounded by the number of classes too.
 
 The outcome is a list of patterns, each used a number of times. Pieces are ranked within their class
@@ -17,13 +20,15 @@ The outcome is a list of patterns, each used a number of times. Pieces are ranke
 patterns' rank intervals.
 
 Defined results: a null or empty text is one piece with the end id alone; repeated rows are packed
-each; null ids are carried along; an empty table gives an empty result; extra columns are not read.
+each; null ids are carried along; which of equally long pieces goes where follows their order in the
+files; an empty table gives an empty result; extra columns are not read.
 """
 
 from __future__ import annotations
 
 from bisect import bisect_right
 from collections import Counter
+from dataclasses import dataclass
 from zlib import crc32
 
 import numpy as np
@@ -36,20 +41,47 @@ from .common import slices, stage, table
 from .tokens import default_path, encode_batches
 
 CAPACITY = 4096
-#: Fillings looked at for one sequence, kept for branching, and sequences completed in a search.
-LOOKS, WIDTH, NODES = 400, 3, 60_000
+#: Fillings looked at for one sequence and kept for branching at first, and sequences completed in all searches together.
+LOOKS, WIDTH, NODES = 400, 3, 20_000
+#: Looks that fillings may take in all searches together: what bounds the driver's time.
+EFFORT = 4_000_000
 
 
-def fillings(lengths: list[int], counts: dict[int, int], room: int, looks: int = LOOKS, width: int = WIDTH) -> list[tuple[int, ...]]:
-    """Undominated fillings of the room from the sorted lengths with counts, least waste first.
+def lower_bound(histogram: dict[int, int], capacity: int) -> int:
+    """Sequences that any packing needs.
+
+    For each limit k up to half the capacity: pieces above capacity - k stand alone, those from there
+    down to half stand one to a sequence, and the pieces from k to half need what room the latter leave.
+    """
+    lengths = sorted(histogram)
+    total = sum(x * n for x, n in histogram.items())
+    best = -(-total // capacity)
+    count, volume = [0], [0]
+    for x in lengths:
+        count.append(count[-1] + histogram[x])
+        volume.append(volume[-1] + x * histogram[x])
+    half = bisect_right(lengths, capacity // 2)  # pieces that two of can share a sequence
+    for at in range(half + 1):
+        k = lengths[at] if at < half else capacity // 2 + 1
+        alone = bisect_right(lengths, capacity - k)
+        alone = max(alone, half)
+        single, room = count[alone] - count[half], capacity * (count[alone] - count[half]) - (volume[alone] - volume[half])
+        small = volume[half] - volume[min(at, half)]
+        best = max(best, count[-1] - count[alone] + single + max(0, -(-(small - room) // capacity)))
+    return best
+
+
+def fillings(lengths: list[int], counts: dict[int, int], room: int, looks: int = LOOKS, width: int = WIDTH, spent: list[int] | None = None) -> tuple[list[tuple[int, ...]], bool]:
+    """Undominated fillings of the room from the sorted lengths with counts, least waste first; and whether these are all.
 
     Depth first, larger pieces first; only maximal fillings (no further piece fits) come up. A piece
-    as long as the room dominates every other filling.
+    as long as the room dominates every other filling. The enumeration goes on after exact fillings
+    until ``width`` of them are found.
     """
     if counts.get(room, 0) > 0:
-        return [(room,)]
+        return [(room,)], True
     found: list[tuple[int, ...]] = []
-    left = [looks]
+    left, exact_found, whole = [looks], [0], [True]
 
     def pairs(room: int, below: int, taken: Counter) -> tuple[int, ...] | None:
         """Two pieces that fill the room exactly, as alike as may be: small pieces stay for later."""
@@ -61,27 +93,38 @@ def fillings(lengths: list[int], counts: dict[int, int], room: int, looks: int =
                 return x, y
         return None
 
+    def hit(filling: tuple[int, ...]) -> bool:
+        """Notes an exact filling; False once there are enough."""
+        found.append(filling)
+        exact_found[0] += 1
+        if exact_found[0] >= width:
+            whole[0] = False
+            return False
+        return True
+
     def grow(room: int, below: int, chosen: list[int], taken: Counter) -> bool:
-        """False once the looks are used up or an exact filling is found."""
+        """False once the looks are used up or enough exact fillings are found."""
         if left[0] <= 0:
+            whole[0] = False
             return False
         left[0] -= 1
         if room == 0:
-            found.append(tuple(chosen))
-            return False
-        exact = counts.get(room, 0) - taken[room] > 0 and room <= below
-        if exact:
-            found.append((*chosen, room))
-            return False
-        if two := pairs(room, below, taken):
-            found.append((*chosen, *two))
-            return False
-        fits, tried = False, 0
+            return hit(tuple(chosen))
+        if width <= WIDTH:  # short cuts to an exact filling
+            if counts.get(room, 0) - taken[room] > 0 and room <= below:
+                whole[0] = False
+                found.append((*chosen, room))
+                return False
+            if two := pairs(room, below, taken):
+                whole[0] = False
+                found.append((*chosen, *two))
+                return False
+        fits = False
         for at in range(bisect_right(lengths, min(below, room)) - 1, -1, -1):
             x = lengths[at]
             if counts[x] - taken[x] <= 0:
                 continue
-            fits, tried = True, tried + 1
+            fits = True
             chosen.append(x)
             taken[x] += 1
             more = grow(room - x, x, chosen, taken)
@@ -96,16 +139,20 @@ def fillings(lengths: list[int], counts: dict[int, int], room: int, looks: int =
         return True
 
     grow(room, room, [], Counter())
+    if spent is not None:
+        spent[0] += looks - left[0]
     if not found:
         found.append(_best_fit_fill(lengths, counts, room))
     ranked = sorted(set(found), key=lambda f: (room - sum(f), [-x for x in f]))
     kept: list[tuple[int, ...]] = []
     for f in ranked:
-        if not any(_dominates(k, f) for k in kept):
-            kept.append(f)
+        if any(_dominates(k, f) for k in kept):
+            continue
         if len(kept) == width:
+            whole[0] = False
             break
-    return kept
+        kept.append(f)
+    return kept, whole[0]
 
 
 def _best_fit_fill(lengths: list[int], counts: dict[int, int], room: int) -> tuple[int, ...]:
@@ -178,16 +225,44 @@ def best_fit_decreasing(counts: dict[int, int], capacity: int) -> list[tuple[tup
     return [(p, n) for (_, p), n in open_bins.items() if n]
 
 
-def pack_lengths(histogram: dict[int, int], capacity: int = CAPACITY, nodes: int = NODES) -> list[tuple[tuple[int, ...], int]]:
-    """Histogram of lengths -> patterns (lengths of a sequence) with the number of sequences of each."""
+@dataclass
+class Packing:
+    """Patterns (lengths of a sequence) with the number of sequences of each, the bound, and whether fewer sequences are impossible."""
+
+    patterns: list[tuple[tuple[int, ...], int]]
+    bound: int
+    proved: bool
+    nodes: int = 0
+
+    @property
+    def sequences(self) -> int:
+        return sum(n for _, n in self.patterns)
+
+
+def pack_lengths(histogram: dict[int, int], capacity: int = CAPACITY, nodes: int = NODES, effort: int = EFFORT) -> Packing:
+    """Histogram of lengths -> packing: ever wider searches from the best packing known."""
+    if not histogram:
+        return Packing([], 0, True)
+    bound = lower_bound(histogram, capacity)
+    best = Packing(best_fit_decreasing(dict(histogram), capacity), bound, False)
+    width, looks, spent = WIDTH, LOOKS, [0, 0]  # sequences completed, looks taken
+    while best.sequences > bound and spent[0] < nodes and spent[1] < effort:
+        patterns, exhausted, whole = _search(histogram, capacity, best, width, looks, spent, nodes, effort)
+        best = Packing(patterns, bound, exhausted and whole)
+        if best.proved or not exhausted:
+            break
+        width, looks = width * 8, looks * 8
+    best.proved, best.nodes = best.proved or best.sequences == bound, spent[0]
+    return best
+
+
+def _search(histogram: dict[int, int], capacity: int, start: Packing, width: int, looks: int, spent: list[int], nodes: int, effort: int):
+    """(best patterns, whether the tree was exhausted, whether no filling was left out of it)."""
     total = sum(x * n for x, n in histogram.items())
-    bound = -(-total // capacity)
     used = lambda p: sum(n for _, n in p)
-    best = best_fit_decreasing(dict(histogram), capacity) if histogram else []
-    if used(best) == bound:
-        return best
+    best, bound, whole = start.patterns, start.bound, True
     counts, lengths = dict(histogram), sorted(histogram)
-    spent = [0]
+    takes = [0]
 
     def remove(pattern, times, sign):
         for x, k in Counter(pattern).items():
@@ -203,11 +278,13 @@ def pack_lengths(histogram: dict[int, int], capacity: int = CAPACITY, nodes: int
     waste = 0
 
     def open_node():
+        nonlocal whole
         top = lengths[-1]
         counts[top] -= 1
         if not counts[top]:
             lengths.pop()
-        options = fillings(lengths, counts, capacity - top)
+        options, all_ = fillings(lengths, counts, capacity - top, looks, width, takes)
+        whole = whole and all_
         counts[top] += 1
         if counts[top] == 1:
             lengths.append(top)
@@ -215,7 +292,9 @@ def pack_lengths(histogram: dict[int, int], capacity: int = CAPACITY, nodes: int
 
     if lengths:
         open_node()
-    while stack and used(best) > bound and spent[0] < nodes:
+    done = spent[1]
+    while stack and used(best) > bound and spent[0] < nodes and spent[1] < effort:
+        spent[1] = done + takes[0]
         node = stack[-1]
         if node[1] is not None:  # come back from below
             waste -= (capacity - sum(node[1])) * node[2]
@@ -228,6 +307,8 @@ def pack_lengths(histogram: dict[int, int], capacity: int = CAPACITY, nodes: int
             continue
         need = Counter(pattern)
         times = min(counts[x] // k for x, k in need.items())
+        if times > 1:
+            whole = False  # repeats are taken together, fewer of them are not tried
         over = capacity - sum(pattern)
         allowed = (used(best) - 1) * capacity - total
         if waste + over * times > allowed:
@@ -246,7 +327,7 @@ def pack_lengths(histogram: dict[int, int], capacity: int = CAPACITY, nodes: int
                 best = list(path)
         else:
             open_node()
-    return best
+    return best, not stack, whole
 
 
 class Plan:
@@ -312,7 +393,10 @@ def _place(plan: Plan):
 
 
 def pack(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY) -> DataFrame:
-    """docs(doc_id, text) -> doc_id, piece, start, length, ids_crc32, sequence_id, offset."""
+    """docs(doc_id, text) -> doc_id, piece, start, length, ids_crc32, sequence_id, offset; and of the whole packing
+
+    ``sequences_least`` (a bound: no packing needs fewer) and ``proved`` (whether this one is as small as any).
+    """
     path = path or default_path()
     x = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"))
     pieces = stage(x.mapInArrow(_cut(path, capacity), _PIECE), "pack-pieces")
@@ -320,10 +404,12 @@ def pack(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY) ->
     before = Window.partitionBy("length").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     tasks = stage(tasks.withColumn("base", F.coalesce(F.sum("n").over(before), F.lit(0))), "pack-ranks")
     histogram = {r.length: r.n for r in tasks.groupBy("length").agg(F.sum("n").alias("n")).collect()}  # at most `capacity` rows
-    plan = Plan(pack_lengths(histogram, capacity))
-    x = pieces.join(tasks.drop("n"), ["length", "part"])
+    packing = pack_lengths(histogram, capacity)
+    plan = Plan(packing.patterns)
+    x = pieces.join(tasks.drop("n").hint("merge"), ["length", "part"])  # the ranks grow with the tasks: never broadcast
     x = x.select("doc_id", "piece", "start", "length", "ids_crc32", (F.col("base") + F.col("nth")).alias("rank"))
-    return x.mapInArrow(_place(plan), "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long")
+    x = x.mapInArrow(_place(plan), "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long")
+    return x.withColumn("sequences_least", F.lit(packing.bound)).withColumn("proved", F.lit(packing.proved))
 
 
 def op2_packing(spark, sf_dir: str) -> DataFrame:

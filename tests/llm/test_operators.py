@@ -126,7 +126,9 @@ def test_packing_is_optimal_on_small_cases():
     for n in range(300):
         capacity = rnd.choice([10, 20, 30, 100])
         items = [rnd.randint(1, capacity if n % 2 else capacity * 2 // 3) for _ in range(rnd.randint(1, 12))]
-        patterns = packing.pack_lengths(dict(Counter(items)), capacity)
+        best = packing.pack_lengths(dict(Counter(items)), capacity)
+        patterns, least = best.patterns, fewest(items, capacity)
+        assert best.bound <= least and (not best.proved or best.sequences == least)
         got = Counter()
         for p, times in patterns:
             assert sum(p) <= capacity
@@ -134,6 +136,23 @@ def test_packing_is_optimal_on_small_cases():
         assert got == Counter(items) and sum(t for _, t in patterns) == fewest(items, capacity)
 
 
+def test_packing_goes_on_after_the_first_exact_filling():
+    best = packing.pack_lengths({50: 1, 49: 1, 48: 1, 32: 1, 30: 1, 25: 2, 21: 1, 20: 1}, 100)
+    assert best.sequences == 3 and best.proved
+
+
+def test_packing_bounds_and_time():
+    import time
+
+    assert packing.lower_bound({60: 5, 50: 2}, 100) == 6 and packing.lower_bound({51: 4, 49: 4}, 100) == 4 and packing.lower_bound({70: 3, 40: 3}, 100) == 5
+    rnd = random.Random(6)
+    began = time.process_time()
+    many = dict(Counter(rnd.randint(1000, 2000) for _ in range(200)))
+    best = packing.pack_lengths(many)
+    first = sum(n for _, n in packing.best_fit_decreasing(many, 4096))
+    assert best.bound <= best.sequences <= first and best.nodes <= packing.NODES and time.process_time() - began < 60
+
+
 def test_packing_of_documents(docs, ids):
     got = packing.pack(docs).collect()
     for r in got:
