@@ -23,8 +23,22 @@ def shared_root(spark: SparkSession) -> str:
     return spark.sparkContext.getCheckpointDir()
 
 
+#: Folders that this process has named, for ``drop_staged``.
+_made: list[str] = []
+
+
 def new_folder(spark: SparkSession, name: str) -> str:
-    return f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}"
+    _made.append(f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}")
+    return _made[-1]
+
+
+def drop_staged(spark: SparkSession) -> int:
+    """Remove every table that this process has staged, once no answer is read from them any more; returns how many."""
+    many = 0
+    while _made:
+        at = spark._jvm.org.apache.hadoop.fs.Path(_made.pop())
+        many += bool(at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True))
+    return many
 
 
 def stage(df: DataFrame, name: str, path: str | None = None) -> DataFrame:
