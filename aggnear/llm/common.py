@@ -2,40 +2,16 @@
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
-import uuid
-
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..staging import new_folder
+
 #: Words are runs of anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
 
 
-def shared_root(spark: SparkSession) -> str:
-    """The folder that driver and executors share.
-
-    It is what ``spark.checkpoint.dir`` (or the context's checkpoint directory) names. Only a local
-    master may go without: there one temporary folder is made and removed at exit.
-    """
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if root:
-        return root
-    if not spark.sparkContext.master.startswith("local["):
-        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-    root = tempfile.mkdtemp(prefix="aggnear-")
-    atexit.register(shutil.rmtree, root, ignore_errors=True)
-    spark.sparkContext.setCheckpointDir(root)
-    return spark.sparkContext.getCheckpointDir()
-
-
-def new_folder(spark: SparkSession, name: str) -> str:
-    return f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}"
-
-
 def stage(df: DataFrame, name: str, path: str | None = None, codec: str | None = None) -> DataFrame:
     """Write df as a table in the shared folder and read it again: lineage ends, recovery is a re-read.
 
