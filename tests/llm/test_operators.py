@@ -269,11 +269,11 @@ def test_chaining_match_against_all_pairs():
     rows = sorted((int(k), int(rng.integers(0, 2)), int(rng.integers(0, 2)), int(d), 7) for d, k in enumerate(key))
     same = 0x1111111111111111
     cols = [np.array(c) for c in zip(*rows)]
-    names, kinds = ["key", "after", "long", "doc_id", "pos"], [pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32()]
+    names, kinds = ["key", "after", "long", "doc_id", "pos", "ref_id"], [pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.int64()]
 
     def matches(step):
         out = set()
-        full = [pa.array((c + same if n == "after" else c), k) for c, n, k in zip(cols, names, kinds)]
+        full = [pa.array((c + same if n == "after" else c), k) for c, n, k in zip(cols, names, kinds)] + [pa.nulls(len(rows), pa.int64())]
         batches = [pa.RecordBatch.from_arrays([c[a : a + step] for c in full], names=names) for a in range(0, len(rows), step)]
         for b in chaining._match(batches):
             out.update(zip(b.column(0).to_pylist(), b.column(1).to_pylist()))
@@ -291,6 +291,23 @@ def test_chaining_match_against_all_pairs():
             assert all(any(d in pair for pair in got) for d in docs)
 
 
+def test_chaining_of_what_very_many_documents_share(spark):
+    """A passage of 400 documents, a line of all of them, and stretches of two words over and over."""
+    rnd = random.Random(16)
+    w = lambda n: ["".join(rnd.choices("abcdefghij", k=6)) for _ in range(n)]
+    passage, short = w(80), w(14)
+    rows = [(i, w(30) + short + (w(20) + passage + w(9) if i % 2 else w(60))) for i in range(800)]
+    rows += [(2000 + i, w(30) + ["so", "on"] * 200 + w(10)) for i in range(60)]
+    got = chaining.passages(spark.createDataFrame([(i, " ".join(x)) for i, x in rows], "doc_id long, text string").repartition(3)).collect()
+    assert all(r.ref_doc_id < r.doc_id for r in got)
+    covered = {}
+    for r in got:
+        covered.setdefault(r.doc_id, set()).update(range(r.start_word, r.end_word))
+    assert set(covered) == {i for i, _ in rows if (i % 2 and 1 < i < 800) or i > 2000}
+    assert all(covered[i] >= set(range(64, 144)) for i in range(3, 800, 2))
+    assert all(len(covered[2000 + i] & set(range(30, 430))) >= 390 for i in range(1, 60))
+
+
 def test_chains_of_scattered_anchors():
     p, q = [0, 10, 12, 20, 30, 500, 510], [5, 15, 290, 25, 36, 1800, 1810]
     chains = chaining.chain_anchors(p, q)
