@@ -548,3 +548,82 @@ def test_topk_of_repeated_query_ids(spark):
     df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
     got = topk.top_k(df, df.filter("vec_id = 100"), 3).orderBy("rank").collect()
     assert [(r.vec_id, r.score) for r in got] == [(2, 3 << 20), (2, 3 << 20), (1, 0)]  # (0, 1) is the least vector
+
+
+def _plain_grams(text, orders, buckets, letters=None):
+    """Hashed byte n-grams one by one."""
+    data = [letters[b] for b in text] if letters is not None else list(text)
+    out = Counter()
+    for n in orders:
+        for i in range(len(data) - n + 1):
+            code = 0
+            for b in data[i : i + n]:
+                code = (code * 257 + b) % 2**32
+            out[((code + n) * 2654435761 % 2**32 >> 16) % buckets] += 1
+    return out
+
+
+def test_language_against_a_plain_nearest_centroid(spark, docs, texts):
+    model = langid.train(docs)
+    some = {i: texts[i] for i in sorted(texts)[:40] if texts[i] and any(map(str.isalpha, texts[i])) and len(texts[i]) < 4000}
+    got = {r.doc_id: r for r in langid.identify(docs, model).collect()}
+    stays = {r.doc_id for r in langid.keep_identified(docs, model).collect()}
+    assert stays == {i for i, r in got.items() if not r.rejected}
+    letters = langid._LETTERS.tolist()
+    for i, t in some.items():
+        x = {b: math.log1p(n) * float(model.idf[b]) for b, n in _plain_grams(t.lower().encode(), (1, 2, 3), langid.BUCKETS, letters).items()}
+        norm = math.sqrt(sum(v * v for v in x.values()))
+        cos = [sum(v * float(c[b]) for b, v in x.items()) / norm for c in model.centroids]
+        best = max(range(len(cos)), key=lambda j: cos[j])
+        assert abs(got[i].score - min(1, max(0, cos[best]))) < 1e-4
+        assert got[i].lang_pred == model.names[best] or sorted(cos)[-1] - sorted(cos)[-2] < 1e-5
+        assert got[i].rejected == (1 - cos[best] > model.limit[best]) or abs(1 - cos[best] - model.limit[best]) < 1e-4
+
+
+def test_quality_against_a_plain_network(spark, docs, texts):
+    labels = spark.read.parquet(f"{D}/labels.parquet")
+    model = quality.train(docs, labels)
+    net = model.net
+    got = {r.doc_id: r.score for r in quality.score(docs, model).collect()}
+    for i in [i for i in sorted(texts) if len(texts[i] or "") < 3000][:25]:
+        t = (texts[i] or "").encode()
+        words = [crc32(w) % quality.WORDS for w in t.split()]
+        grams = _plain_grams(t, (3,), quality.GRAMS)
+        mean = lambda rows, n: [sum(c) / max(n, 1) for c in zip(*rows)] if rows else [0.0] * quality.DIM
+        x = [*mean([model.vectors[b].tolist() for b in words], len(words)), *mean([quality.INDEX[b].tolist() for b in words], len(words)), *mean([(quality.GRAM_INDEX[b] * n).tolist() for b, n in grams.items()], sum(grams.values()))]
+        a = [(v - m) / s for v, m, s in zip(x, net.mean, net.scale)]
+        h = [math.tanh(sum(p * q for p, q in zip(a, col)) + b) for col, b in zip(net.w1.T.tolist(), net.b1.tolist())]
+        z = (sum(p * q for p, q in zip(h, net.w2.tolist())) + net.b2) / net.temperature
+        assert abs(got[i] - 1 / (1 + math.exp(-max(-50, min(50, z))))) < 1e-3
+
+
+def test_temperature_calibrates():
+    rng = np.random.default_rng(18)
+    x = rng.standard_normal((3000, 6))
+    y = (rng.random(3000) < 1 / (1 + np.exp(-1.5 * x[:, 0]))).astype(float)
+    net = quality.fit(x, y)
+    aside = np.arange(len(x)) % 5 == 0
+    z = net.logits(x[aside])
+    loss = lambda t: float(np.mean(np.logaddexp(0, z / t) - y[aside] * z / t))
+    assert all(loss(net.temperature) <= loss(t) + 1e-9 for t in (0.25, 0.5, 1, 2, 4, 8))
+    p = net.score(rng_x := rng.standard_normal((4000, 6)))
+    truth = 1 / (1 + np.exp(-1.5 * rng_x[:, 0]))
+    for lo in (0.1, 0.4, 0.7):
+        at = (p >= lo) & (p < lo + 0.2)
+        assert abs(p[at].mean() - truth[at].mean()) < 0.08
+
+
+def test_cut_passages_against_their_spans(spark, docs, texts):
+    gone = {}
+    for r in chaining.passages(docs).collect():
+        gone.setdefault(r.doc_id, set()).update(range(r.start_word, r.end_word))
+    left = {r.doc_id: r.text for r in chaining.cut_passages(docs).collect()}
+    for i, t in texts.items():
+        words = (t or "").encode().split()
+        stay = [w.decode() for n, w in enumerate(words) if n not in gone.get(i, ())]
+        if i not in gone:
+            assert left[i] == t
+        elif stay:
+            assert [w.decode() for w in left[i].encode().split()] == stay
+        else:
+            assert i not in left
