@@ -27,7 +27,8 @@ def best(f, ids, x, y, k: int, sign: int) -> np.ndarray:
 
 
 def rows(held: dict) -> pa.RecordBatch:
-    parts = [np.vstack([np.full(len(a[0]), q), *a]) for q, a in held.items() if len(a[0])]
+    """held: query_id, or (part, query_id) -> (point_id, x, y, agg_dist)."""
+    parts = [np.vstack([np.full(len(a[0]), q[1] if isinstance(q, tuple) else q), *a]) for q, a in held.items() if len(a[0])]
     all_ = np.hstack(parts) if parts else np.zeros((5, 0), np.int64)
     return pa.RecordBatch.from_arrays([pa.array(c) for c in all_], schema=SCHEMA)
 
@@ -75,12 +76,15 @@ def _meet(k: int, sign: int):
     """Rows of ``_MEET`` sorted by (chunk, kind, query_id): a chunk's points, then every group -> k best of the chunk per group."""
 
     def run(batches):
-        chunk, points, one = None, [], [[], None]  # one: rows of the group that is being read, its id
+        chunk, points, one, found = None, [], [[], None], {}  # one: rows of the group that is being read, its id
 
         def close():
             nonlocal points
             if one[1] is None:
                 return
+            if len(found) >= 512:
+                yield rows(found)
+                found.clear()
             if not isinstance(points, tuple):
                 points = tuple(np.concatenate(c) for c in zip(*points)) if points else ()
             qx, qy, w = (np.concatenate(c) for c in zip(*one[0]))
@@ -90,7 +94,7 @@ def _meet(k: int, sign: int):
                 ids, x, y = (c[use] for c in points[:3])
                 f = g(x, y)
                 at = best(f, ids, x, y, k, sign)
-                yield rows({g.query_id: (ids[at], x[at], y[at], f[at])})
+                found[chunk, g.query_id] = ids[at], x[at], y[at], f[at]
 
         for batch in batches:
             if not batch.num_rows:
@@ -109,6 +113,8 @@ def _meet(k: int, sign: int):
                     one[0].append((x[at], y[at], w[at]))
                     one[1] = int(q[a])
         yield from close()
+        if found:
+            yield rows(found)
 
     return run
 
@@ -116,7 +122,8 @@ def _meet(k: int, sign: int):
 def scan_dealt(points: DataFrame, query: DataFrame, k: int, direction: str) -> DataFrame:
     """The k best of each group per chunk of points, groups of any number: points are dealt once, groups go to every chunk by shuffle."""
     n = int(points.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    chunks = max(1, -(-points.count() // CHUNK))
+    many = points.count()
+    chunks = max(1, -(-many // CHUNK), min(n, many // 4096))
     own = F.col("own") if "own" in points.columns else F.lit(None)
     none = F.lit(None).cast("long")
     p = points.select(F.pmod(F.xxhash64("point_id", "x", "y"), F.lit(chunks)).cast("int").alias("chunk"), F.lit(0).alias("kind"), none.alias("query_id"), "point_id", "x", "y", own.cast("long").alias("own"), none.alias("w"))
