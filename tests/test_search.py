@@ -299,3 +299,24 @@ def test_tiles_read_less_than_the_scan(spark):
 
     r = {(x.strategy, x.measure): x.value for x in W.QUERIES["work_of_strategies"](spark, "/root/testdata/sf0.01").collect()}
     assert r["tiles", "rows_read"] < r["scan", "rows_read"]
+
+
+def test_least_ids_of_ranges(spark, monkeypatch):
+    """Ranges of any length look at a few entries, not at the points inside, and find the least ids exactly."""
+    from aggnear.operators import least
+
+    monkeypatch.setattr(least, "FAN", 4)
+    monkeypatch.setattr(least, "BLOCK", 2)
+    r = np.random.default_rng(5)
+    for n, k in ((1, 1), (37, 2), (700, 5)):
+        ids, x = r.integers(0, 2 * n, n), np.sort(r.integers(0, 50, n))
+        points = spark.createDataFrame([(int(i), int(v), p) for p, (i, v) in enumerate(zip(ids, x))], "point_id long, x long, pos long")
+        ends = [sorted(map(int, r.integers(0, n + 1, 2))) for _ in range(150)] + [[0, n], [0, 0], [n - 1, n]]
+        ranges = spark.createDataFrame([(q, *e) for q, e in enumerate(ends)], "query_id long, lo long, hi long")
+        got = {}
+        for row in least.least_ids(points, n, ranges, k).collect():
+            got.setdefault(row.query_id, []).append((row.point_id, row.x))
+        for q, (lo, hi) in enumerate(ends):
+            want = sorted((int(ids[p]), int(x[p])) for p in range(lo, hi))[:k]
+            assert sorted(got.get(q, []))[:k] == want
+            assert len(got.get(q, [])) <= k * 4 * 6
