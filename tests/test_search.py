@@ -320,3 +320,18 @@ def test_least_ids_of_ranges(spark, monkeypatch):
             want = sorted((int(ids[p]), int(x[p])) for p in range(lo, hi))[:k]
             assert sorted(got.get(q, []))[:k] == want
             assert len(got.get(q, [])) <= k * 4 * 6
+
+
+def test_repeated_query_points_count_once_against_the_limit(spark, monkeypatch):
+    from aggnear.functions import profile
+
+    monkeypatch.setattr(profile, "BLOCK_ROWS", 20)
+    rows = [(g, 10 * i, 7 * i, 1 + g) for g in (1, 2) for i in range(8)]
+    q = spark.createDataFrame(rows * 5, "query_id long, qx long, qy long, w long")
+    p = spark.createDataFrame([(i, (37 * i) % 101, (53 * i) % 89) for i in range(300)], "point_id long, x long, y long")
+    got = [tuple(r) for r in plane.topk(p, q, 3, strategy="tiles").collect()]
+    want = []
+    for g in (1, 2):
+        d = sorted((sum(5 * w * (abs(r.x - x) + abs(r.y - y)) for h, x, y, w in rows if h == g), r.point_id, r.x, r.y) for r in p.collect())[:3]
+        want += [(g, n + 1, i, x, y, f) for n, (f, i, x, y) in enumerate(d)]
+    assert sorted(got) == want
