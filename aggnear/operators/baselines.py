@@ -14,9 +14,9 @@ from . import cells, frontier, peel
 from .layout import PlaneLayout, hull
 
 
-def all_cells(layout: PlaneLayout, query: DataFrame, direction: str = "nearest") -> tuple[DataFrame, DataFrame]:
-    """k = 1: the best point of every grid cell by its hulls, then the best of all; (m + 1)^2 searches a group."""
-    best, cost = cells.optimum(layout, cells.cell_rectangles(query), direction)
+def all_cells(layout: PlaneLayout, groups: list[Group], direction: str = "nearest") -> tuple[DataFrame, DataFrame]:
+    """k = 1: the best point of every grid cell that holds one, by its hulls where it holds whole tiles, then the best of all."""
+    best, cost = cells.cell_optimum(layout, groups, direction)
     return merge_quadrants(best.drop("rect_id"), 1, direction), cost
 
 
