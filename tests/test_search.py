@@ -335,3 +335,21 @@ def test_repeated_query_points_count_once_against_the_limit(spark, monkeypatch):
         d = sorted((sum(5 * w * (abs(r.x - x) + abs(r.y - y)) for h, x, y, w in rows if h == g), r.point_id, r.x, r.y) for r in p.collect())[:3]
         want += [(g, n + 1, i, x, y, f) for n, (f, i, x, y) in enumerate(d)]
     assert sorted(got) == want
+
+
+@pytest.mark.parametrize("direction", ["nearest", "farthest"])
+def test_cell_optimum_makes_no_empty_cells(spark, direction):
+    """The same rows as over all rectangles of the grid, and costs of occupied cells alone; cells with and without whole tiles."""
+    r = np.random.default_rng(8)
+    p = spark.createDataFrame([(i, *map(int, r.integers(0, 400, 2))) for i in range(600)], "point_id long, x long, y long")
+    rows = [(1, *map(int, r.integers(0, 400, 2)), int(r.integers(1, 4))) for _ in range(12)] + [(2, 390, 395, 1), (3, 200, 200, 2), (3, 380, 10, 1)]
+    q = spark.createDataFrame(rows, "query_id long, qx long, qy long, w long")
+    groups = [Group.of(i, *zip(*[t[1:] for t in rows if t[0] == i])) for i in (1, 2, 3)]
+    layout = build_plane(p, "fast", slabs=8, bands=16)
+    want, cost = cells.optimum(layout, cells.cell_rectangles(q), direction)
+    got, mine = cells.cell_optimum(layout, groups, direction)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+    used = {(c.query_id, c.rect_id): c for c in cost.collect() if c.runs or c.border_points}
+    for c in mine.collect():
+        assert tuple(c) == tuple(used.pop((c.query_id, c.rect_id)))
+    assert all(c.runs and not c.vertices for c in used.values())
