@@ -353,3 +353,26 @@ def test_cell_optimum_makes_no_empty_cells(spark, direction):
     for c in mine.collect():
         assert tuple(c) == tuple(used.pop((c.query_id, c.rect_id)))
     assert all(c.runs and not c.vertices for c in used.values())
+
+
+@pytest.mark.parametrize("direction", ["nearest", "farthest"])
+def test_dealt_scan_asks_few_tiles(spark, monkeypatch, direction):
+    """Groups go to the tiles that can hold an answer, not to all points; own points, ties, heavy tiles and large k stay exact."""
+    from aggnear.operators import local
+
+    monkeypatch.setattr(local, "TILE", 16)
+    monkeypatch.setattr(local, "CHUNK", 50)
+    r = np.random.default_rng(9)
+    p = [(i, *map(int, r.integers(0, 60, 2)), int(r.integers(1, 6))) for i in range(900)] + [(900 + i, 30, 30, 1) for i in range(150)]
+    rows = [(g, *map(int, r.integers(0, 60, 2)), int(r.integers(1, 4))) for g in range(1, 9) for _ in range(3)]
+    pts, q = spark.createDataFrame(p, "point_id long, x long, y long, own long"), spark.createDataFrame(rows, "query_id long, qx long, qy long, w long")
+    sign = 1 if direction == "nearest" else -1
+    for k in (3, 400):
+        want = []
+        for g in range(1, 9):
+            d = sorted((sign * sum(w * (abs(x - qx) + abs(y - qy)) for h, qx, qy, w in rows if h == g), i, x, y) for i, x, y, own in p if own != g)[:k]
+            want += [(g, n + 1, i, x, y, sign * f) for n, (f, i, x, y) in enumerate(d)]
+        assert sorted(map(tuple, plane.topk(pts, q, k, direction, strategy="scan_dealt").collect())) == want
+    _, tiles = local._tiles(pts, len(p))
+    asked = list(local._wanted(tiles, 3, sign)([spark.createDataFrame(sorted(rows), "query_id long, qx long, qy long, w long").selectExpr("*", "0L as away").toArrow().combine_chunks().to_batches()[0]]))
+    assert sum(b.num_rows for b in asked) < len(rows) * tiles["parts"].sum() / 2
