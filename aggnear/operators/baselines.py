@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import plane_geometry as G
+from ..functions import weights
 from ..functions.profile import Group
 from ..plans.plane import merge_quadrants
 from . import cells, frontier, peel
@@ -26,11 +27,12 @@ def full_frontier(points: DataFrame, query: DataFrame, groups: list[Group], dire
 
 
 def grid_walk(points: DataFrame, query: DataFrame, groups: list[Group], direction: str = "nearest") -> DataFrame:
-    """k = 1: make the whole grid, keep the cells that the frontier walks through, and take the best point of those."""
+    """k = 1: keep the cells of the grid that the frontier walks through, and take the best point of those."""
     located = cells.cell_of(points, query, groups, direction)
     keys = ["query_id", "quad", "ci", "cj"]
-    grid = cells.grid(query).select("query_id", F.explode(F.array(*[F.lit(i) for i in (1, 2, 3, 4)])).alias("quad"), "ci", "cj")
-    walked = grid.join(frontier.minimal(located).select(*keys).distinct(), keys, "left_semi")
+    walked = frontier.minimal(located).select(*keys).distinct()
+    for c, axis in (("ci", "x"), ("cj", "y")):  # the grid is the product of its axes' pieces: a cell is in it if both of its are
+        walked = walked.join(weights.intervals(query, axis).select("query_id", F.col("i").alias(c)), ["query_id", c], "left_semi")
     return merge_quadrants(located.join(walked, keys).select("query_id", "point_id", "x", "y", "agg_dist"), 1, direction)
 
 

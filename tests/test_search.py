@@ -376,3 +376,15 @@ def test_dealt_scan_asks_few_tiles(spark, monkeypatch, direction):
     _, tiles = local._tiles(pts, len(p))
     asked = list(local._wanted(tiles, 3, sign)([spark.createDataFrame(sorted(rows), "query_id long, qx long, qy long, w long").selectExpr("*", "0L as away").toArrow().combine_chunks().to_batches()[0]]))
     assert sum(b.num_rows for b in asked) < len(rows) * tiles["parts"].sum() / 2
+
+
+def test_grid_walk_makes_no_grid(spark, monkeypatch):
+    from aggnear.operators import baselines
+
+    monkeypatch.setattr(cells, "grid", lambda query: pytest.fail("all cells were made"))
+    p = spark.createDataFrame([(i, (37 * i) % 101, (53 * i) % 89) for i in range(200)], "point_id long, x long, y long")
+    rows = [(1, 20, 30, 1), (1, 70, 10, 2), (1, 50, 60, 1)]
+    g = Group.of(1, *zip(*[t[1:] for t in rows]))
+    got = baselines.grid_walk(p, spark.createDataFrame(rows, "query_id long, qx long, qy long, w long"), [g]).collect()
+    want = min((sum(w * (abs(r.x - x) + abs(r.y - y)) for _, x, y, w in rows), r.point_id) for r in p.collect())
+    assert [(r.agg_dist, r.point_id) for r in got] == [want]
