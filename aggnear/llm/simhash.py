@@ -10,6 +10,7 @@ needs only the values with one set bit cleared, as of two values that differ in
 Documents with equal fingerprints are one node, so groups of copies cost nothing; a value shared by
 more than ``BLOCK`` entries is compared in pairs of salted blocks; of the links under a value that
 many share only the nearest ones that connect the same nodes (a least spanning forest) become rows.
+Where links are verified, ``keep_one`` compares the nodes that these rows bring together, but no verified link, once more in all pairs.
 
 ``keep_one`` links texts by the similarity itself: fingerprints of ``WIDE`` words of 64 bits, which for
 texts alike to 0.8 differ in 15 % of the bits, give candidates within ``WIDE_RADIUS`` bits, and
@@ -273,18 +274,94 @@ def near_fingerprints(prints: DataFrame, radius: int, width: int, plan) -> DataF
     n, names = parallelism(prints.sparkSession), _words(width)
     entries = prints.select("id", *names).repartition(n, "id").mapInArrow(_entries(plan, width), "key long, own boolean, id long, " + ", ".join(f"{c} long" for c in names))
     entries = stage(entries, "simhash-entries")
-    big = stage(entries.groupBy("key").count().filter(F.col("count") > BLOCK), "simhash-large")
-    x = entries.join(big, "key", "left").withColumn("parts", F.ceil(F.coalesce("count", F.lit(1)) / BLOCK).cast("int"))
-    x = x.withColumn("salt", F.pmod(F.xxhash64("id"), "parts").cast("int"))
-    pair = F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda j: F.struct(F.least("salt", j).alias("pa"), F.greatest("salt", j).alias("pb")))
-    x = x.withColumn("pair", F.explode(pair)).select("key", F.col("pair.pa").cast("long").alias("pa"), F.col("pair.pb").cast("long").alias("pb"), "own", "id", *names)
     keys = ["key", "pa", "pb"]
+    x = _blocks(entries, ["key"]).select(*keys, "own", "id", *names)
     found = x.repartition(n, *keys).sortWithinPartitions(*keys).mapInArrow(_link(radius, width), "a long, b long, dist int")
     found = stage(found.groupBy("a", "b").agg(F.min("dist").alias("dist")), "simhash-edges")
     drop(entries)
     return found
 
 
+def _blocks(entries: DataFrame, by: list[str]) -> DataFrame:
+    """(Staged) entries with pa and pb: those of a value shared by more than BLOCK meet in pairs of salted blocks."""
+    big = stage(entries.groupBy(*by).count().filter(F.col("count") > BLOCK), "simhash-large")
+    x = entries.join(big, by, "left").withColumn("parts", F.ceil(F.coalesce("count", F.lit(1)) / BLOCK).cast("int"))
+    x = x.withColumn("salt", F.pmod(F.xxhash64("id"), "parts").cast("int"))
+    pair = F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda j: F.struct(F.least("salt", j).alias("pa"), F.greatest("salt", j).alias("pb")))
+    x = x.withColumn("pair", F.explode(pair))
+    return x.withColumn("pa", F.col("pair.pa").cast("long")).withColumn("pb", F.col("pair.pb").cast("long")).drop("pair", "parts", "salt", "count")
+
+
+def _across(radius: int, width: int, plan):
+    """Rows (part, key, pa, pb, own, id, root, fp0..) sorted by the first four -> (a, b): every pair of different
+    roots within the radius that meets under a value, in the first segment where it does."""
+    masks = np.array([[sum(1 << b % 64 for b in bits if b // 64 == w) for w in range(width)] for bits, _ in plan], np.uint64)
+
+    def solve(key, own, ids, roots, fp):
+        order = np.argsort(ids, kind="stable")
+        own, ids, roots, fp = own[order], ids[order], roots[order], fp[order]
+        mine, seen = np.flatnonzero(own), masks[: int(key[1]) >> 40]
+        step = max(1, (1 << 20) // len(ids))
+        for at in range(0, len(mine), step):
+            some = mine[at : at + step]
+            r, c = np.nonzero((roots[some, None] != roots) & (_far(fp[some, None], fp[None]) <= radius))
+            r = some[r]
+            new = ~own[c] | (r < c)
+            r, c = r[new], c[new]
+            new = np.ones(len(r), bool)
+            for m in seen:
+                new &= np.bitwise_count((fp[r] ^ fp[c]) & m).sum(axis=1) > 1  # met there: all segments have balls of radius one
+            a, b = ids[np.minimum(r, c)[new]], ids[np.maximum(r, c)[new]]
+            if len(a):
+                yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
+
+    def run(batches):
+        held = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            cols = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+            now = np.stack(cols[:4], axis=1), *cols[4:7], np.stack([c.view(np.uint64) for c in cols[7:]], axis=1)
+            if held is not None:
+                now = tuple(np.concatenate(x) for x in zip(held, now))
+            cuts = np.flatnonzero(np.r_[True, (now[0][1:] != now[0][:-1]).any(axis=1)])
+            for a, b in zip(cuts[:-1], cuts[1:]):
+                yield from solve(now[0][a], *(x[a:b] for x in now[1:]))
+            held = tuple(x[cuts[-1] :] for x in now)
+        if held is not None:
+            yield from solve(held[0][0], *held[1:])
+
+    return run
+
+
+def _passed_over(near: DataFrame, roots: DataFrame, prints: DataFrame, radius: int, width: int, plan) -> DataFrame | None:
+    """Pairs (a, b) within the radius that ``near`` leaves out, between nodes that verified links (id, root) do not connect.
+
+    Forests keep together what a value's pairs connect, so such pairs lie between roots that pairs of ``near``
+    connect: only their nodes are entered again, and compared with those of the same part.
+    """
+    n, names = parallelism(prints.sparkSession), _words(width)
+    x = near.select("a", "b")
+    for c in "ab":
+        x = x.join(roots.select(F.col("id").alias(c), F.col("root").alias(f"root_{c}")), c, "left").withColumn(f"root_{c}", F.coalesce(f"root_{c}", c))
+    x = stage(x, "simhash-rooted")
+    apart = components(x.select(F.col("root_a").alias("a"), F.col("root_b").alias("b")))
+    apart = stage(apart.select(F.col("id").alias("root"), F.col("root").alias("part")), "simhash-apart")
+    if apart.isEmpty():
+        return None
+    nodes = x.select(F.col("a").alias("id"), F.col("root_a").alias("root")).union(x.select("b", "root_b")).distinct().join(apart, "root")
+    nodes = stage(nodes, "simhash-open")
+    kinds = "key long, own boolean, id long, " + ", ".join(f"{c} long" for c in names)
+    entries = prints.select("id", *names).join(nodes.select("id"), "id", "left_semi").repartition(n, "id").mapInArrow(_entries(plan, width), kinds)
+    entries = stage(entries.join(nodes, "id"), "simhash-entries")
+    keys = ["part", "key", "pa", "pb"]
+    x = _blocks(entries, ["part", "key"]).select(*keys, "own", "id", "root", *names)
+    x = x.repartition(n, *keys).sortWithinPartitions(*keys).mapInArrow(_across(radius, width, plan), "a long, b long")
+    found = stage(x.distinct().join(near.select("a", "b"), ["a", "b"], "left_anti"), "simhash-over")
+    drop(entries)
+    return found
+
+
 def link_fingerprints(prints: DataFrame, radius: int = RADIUS, many: int = SEGMENTS) -> DataFrame:
     """Distinct prints(id, fp0) -> (id, root) of those that a chain of links connects to others; no link is missed."""
     return components(near_fingerprints(prints, radius, 1, segments(radius, many)).select("a", "b"))
@@ -342,11 +419,12 @@ def _alike(least: float):
     return run
 
 
-def _verified(near: DataFrame, prints: DataFrame, docs: DataFrame, k: int, least: float) -> DataFrame:
+def _verified(near: DataFrame, prints: DataFrame, docs: DataFrame, k: int, least: float, plan) -> DataFrame:
     """near(a, b, dist) -> (id, root) over the pairs whose texts are alike.
 
     The nearest pairs of each node are verified first; of the others only those between nodes that
-    are not connected yet, so a large group of near copies costs a few verified pairs a node.
+    are not connected yet, so a large group of near copies costs a few verified pairs a node. Last come
+    the pairs that least forests have left out, between nodes that are still not connected.
     """
     wanted = near.select(F.col("a").alias("id")).union(near.select("b")).distinct()
     text = docs.select(F.col("doc_id").cast("long").alias("first_id"), F.col("text").cast("binary").alias("text")).withColumn("print", F.xxhash64("text"))
@@ -369,8 +447,10 @@ def _verified(near: DataFrame, prints: DataFrame, docs: DataFrame, k: int, least
     for c in "ab":
         rest = rest.join(roots.select(F.col("id").alias(c), F.col("root").alias(f"root_{c}")), c, "left")
     rest = stage(rest.filter("coalesce(root_a, a) <> coalesce(root_b, b)").select("a", "b"), "simhash-rest")
-    out = components(links.union(alike(rest)))
-    return out
+    links = links.union(alike(rest))
+    roots = stage(components(links), "simhash-part")
+    over = _passed_over(near, roots, prints, WIDE_RADIUS, WIDE, plan)
+    return roots if over is None else components(links.union(alike(over)))
 
 
 def keep_one(docs: DataFrame, k: int = NEAR_SHINGLE, alike: float = ALIKE) -> DataFrame:
@@ -385,8 +465,9 @@ def keep_one(docs: DataFrame, k: int = NEAR_SHINGLE, alike: float = ALIKE) -> Da
     one = F.min(F.struct("doc_id", "print")).alias("one")
     prints = rows.groupBy("id", *names).agg(one).select("id", *names, F.col("one.doc_id").alias("first_id"), F.col("one.print").alias("print"))
     prints = stage(prints, "simhash-distinct")
-    near = near_fingerprints(prints, WIDE_RADIUS, WIDE, wide_segments(WIDE, prints.count()))
-    named = _least_of(prints, _verified(near, prints, docs, k, alike))
+    plan = wide_segments(WIDE, prints.count())
+    near = near_fingerprints(prints, WIDE_RADIUS, WIDE, plan)
+    named = _least_of(prints, _verified(near, prints, docs, k, alike, plan))
     found = stage(rows.join(named, "id").select("doc_id", "component_id"), "simhash-found")
     gone = found.filter("doc_id <> component_id").select("doc_id").distinct()
     again = found.groupBy("doc_id").agg(F.count("*").alias("n")).filter("n > 1").select("doc_id")
