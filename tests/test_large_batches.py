@@ -21,10 +21,11 @@ def _tables(spark, own: bool):
 
 @pytest.mark.parametrize("own", [False, True])
 @pytest.mark.parametrize("direction", ["nearest", "farthest"])
-def test_tiles_answer_batches_of_any_size(spark, monkeypatch, direction, own):
+def test_tiles_and_peel_answer_batches_of_any_size(spark, monkeypatch, direction, own):
     p, q = _tables(spark, own)
     want = sorted(plane.topk(p, q, 7, direction, strategy="scan").collect())
     layout = build_plane(p, slabs=6, bands=6)
     monkeypatch.setattr(profile, "BLOCK_ROWS", 50)
     monkeypatch.setattr(tiles, "CHUNK", 40)
-    assert sorted(plane.topk(layout, q, 7, direction, strategy="tiles").collect()) == want
+    for strategy in ("tiles", "peel_grouped"):
+        assert sorted(plane.topk(layout, q, 7, direction, strategy=strategy).collect()) == want
