@@ -5,9 +5,12 @@ import random
 import pytest
 
 from aggnear.functions import profile
-from aggnear.operators import tiles
+from aggnear.functions.profile import groups_or_table, merged
+from aggnear.model import check_k, checked_query
+from aggnear.operators import metrics, tiles
 from aggnear.operators.layout import build_plane
 from aggnear.plans import plane
+from aggnear.staging import stage
 
 
 def _tables(spark, own: bool):
@@ -29,3 +32,11 @@ def test_tiles_and_peel_answer_batches_of_any_size(spark, monkeypatch, direction
     monkeypatch.setattr(tiles, "CHUNK", 40)
     for strategy in ("tiles", "peel_grouped"):
         assert sorted(plane.topk(layout, q, 7, direction, strategy=strategy).collect()) == want
+
+
+def test_tiles_read_of_a_batch_of_any_size(spark, monkeypatch):
+    p, q = _tables(spark, False)
+    layout, q = build_plane(p, slabs=6, bands=6), stage(merged(checked_query(q)), "query")
+    want = sorted(metrics.tiles_read(layout, groups_or_table(q), check_k(7)).collect())
+    monkeypatch.setattr(profile, "BLOCK_ROWS", 50)
+    assert sorted(metrics.tiles_read(layout, groups_or_table(q), 7).collect()) == want
